@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import mixing, sharding, simhash
+from . import fingerprints, mixing, packing, sharding, simhash
 from .common import table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -20,6 +20,8 @@ QUERIES: dict[str, Query] = {
     "op1_mixing": _on("documents", mixing.op1),
     "op2_hilbert_shards": _on("documents", sharding.op2),
     "op3_simhash": _on("documents", simhash.op3),
+    "op4_improbable_features": _on("documents", fingerprints.op4),
+    "op5_harmonic_packing": _on("documents", packing.op5),
 }
 
 ORACLES: dict[str, str] = {"op1_mixing": mixing.ORACLE}
