@@ -19,6 +19,8 @@ LEAST_POINTS = 16
 STEPS = 1000
 #: In texts of fewer bytes each window that is the rarest among so few neighbours is selected.
 SHORT, SHORT_NEIGHBOURS = 256, 8
+#: Of texts below so many bytes every window of TINY_WINDOW bytes is a feature.
+TINY, TINY_WINDOW = 128, 16
 #: Entropies that carry nothing: runs of few bytes, and noise.
 LOW, HIGH = 100, 990
 FILTER_BITS, FILTER_FEATURES, HASHES = 2048, 160, 5
@@ -107,7 +109,7 @@ def _features(x: np.ndarray, ends: np.ndarray, rank: np.ndarray) -> tuple[np.nda
     starts, owners = [], []
     for t, (a, b) in enumerate(zip(ends[:-1].tolist(), ends[1:].tolist(), strict=True)):
         last = b - WINDOW + 1  # one past the last window of the text
-        if last <= a:
+        if b - a < TINY:
             continue
         if b - a < SHORT:
             near = np.lib.stride_tricks.sliding_window_view(key[a:last], min(SHORT_NEIGHBOURS, last - a))
@@ -149,15 +151,15 @@ Digest = np.ndarray  # filters x FILTER_BITS / 8 bytes
 
 
 def digests(texts: list[bytes], rank: np.ndarray) -> list[Digest]:
-    """The filters of each text. A text shorter than a window is one feature, filled up with zero bytes; an empty one has no filter."""
+    """The filters of each text; an empty one has none. Tiny texts are cut into all their small windows, filled up with zero bytes."""
     out: list[Digest] = [np.zeros((0, FILTER_BITS // 8), np.uint8)] * len(texts)
     for at, x, ends in batches_of(texts):
         starts, owners = _features(x, ends, rank)
         rows = x[starts[:, None] + np.arange(WINDOW)] if len(starts) else np.empty((0, WINDOW), np.uint8)
-        short = [(i, x[a:b]) for i, (a, b) in enumerate(zip(ends[:-1], ends[1:], strict=True)) if 0 < b - a < WINDOW]
-        if short:
-            rows = np.concatenate([rows, [np.pad(s, (0, WINDOW - len(s))) for _, s in short]])
-            owners = np.concatenate([owners, [i for i, _ in short]]).astype(np.int64)
+        tiny = [(i, x[k : min(k + TINY_WINDOW, b)]) for i, (a, b) in enumerate(zip(ends[:-1].tolist(), ends[1:].tolist(), strict=True)) if 0 < b - a < TINY for k in range(a, max(b - TINY_WINDOW, a) + 1)]
+        if tiny:
+            rows = np.concatenate([rows, [np.pad(w, (0, WINDOW - len(w))) for _, w in tiny]])
+            owners = np.concatenate([owners, [i for i, _ in tiny]]).astype(np.int64)
         if not len(rows):
             continue
         order = np.argsort(owners, kind="stable")
