@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import re
 import zlib
+from array import array
 from collections.abc import Iterator
 
 import numpy as np
@@ -20,8 +22,8 @@ VOCABULARY, END_ID = "word_bpe_49k.json", 2
 SMALLEST_CUT = 128
 #: Share of its place that a piece may leave empty instead of being cut.
 SLACK = 1 / 64
-#: Words whose ids a worker keeps.
-KEPT_WORDS = 300_000
+#: Words whose ids a worker keeps, in each of two generations.
+KEPT_WORDS = 700_000
 SALT_BITS = 6
 
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, class int, salt int"
@@ -47,30 +49,83 @@ def cut(n: int, capacity: int = CAPACITY) -> list[tuple[int, int]]:
     return out
 
 
+#: Signs that may follow a word's letters.
+SIGNS = b".,;:!?#$%&*)]}\"-+=/|"
+SIGN_BYTES = frozenset(SIGNS)
+#: Words of Latin letters with or without such signs: their normal form is their lower case.
+SIMPLE = re.compile(rb"(?<![^ ])(?:[A-Za-z]|\xc3[\x80-\x96\x98-\xb6\xb8-\xbf])+[" + re.escape(SIGNS) + rb"]*(?![^ ])")
+
+
 class Words:
-    """Ids of texts, word by word: no token of this vocabulary reaches over white space, so a word's ids are kept."""
+    """Ids of texts, word by word: no token of this vocabulary reaches over white space, so a word's ids are kept.
+
+    Two generations of KEPT_WORDS are kept: when the young one is full it becomes the old one, and
+    words that occur again move over. A worker keeps them from task to task.
+    """
 
     def __init__(self, path: str):
-        from tokenizers import Tokenizer
+        from tokenizers import Tokenizer, pre_tokenizers
+
+        self.tokenizer, self.young, self.old = Tokenizer.from_file(path), {}, {}
+        self.simple = Tokenizer(self.tokenizer.model)
+        self.simple.pre_tokenizer = pre_tokenizers.Sequence([pre_tokenizers.WhitespaceSplit(), pre_tokenizers.Punctuation("contiguous"), pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=False)])
+        self.closing = np.zeros(self.tokenizer.get_vocab_size(), bool)
+        self.closing[[i for t, i in self.tokenizer.get_vocab().items() if t.endswith("</w>")]] = True
+
+    def learn(self, words: set[bytes]) -> None:
+        new = words - self.young.keys()
+        if len(self.young) + len(new) > KEPT_WORDS:
+            self.young, self.old = {}, self.young
+            new = words
+        again = new & self.old.keys()
+        self.young.update(zip(again, map(self.old.__getitem__, again), strict=True))
+        new -= again
+        simple = SIMPLE.findall(b" ".join(new))
+        self.encode_each(list(new.difference(simple)))
+        for at in range(0, len(simple), 4096):
+            self.encode_joined(simple[at : at + 4096])
+
+    def encode_each(self, words: list[bytes]) -> None:
+        for at in range(0, len(words), 4096):
+            part = words[at : at + 4096]
+            found = self.tokenizer.encode_batch_fast([w.decode() for w in part], add_special_tokens=False)
+            self.young.update((w, array("I", e.ids).tobytes()) for w, e in zip(part, found, strict=True))
+
+    def encode_joined(self, words: list[bytes]) -> None:
+        """Words of SIMPLE as one text, through the same merges without the slower patterns.
+
+        Their letters are one part and the signs behind them another, and each part ends with the
+        one token that closes it.
+        """
+        ids = np.array(self.simple.encode_batch_fast([b" ".join(words).decode().lower()], add_special_tokens=False)[0].ids, "<u4")
+        closings = np.flatnonzero(self.closing[ids]) + 1
+        ends = np.cumsum([1 if w[-1] not in SIGN_BYTES else 2 for w in words])
+        data, ends = ids.tobytes(), (closings[ends - 1] * 4).tolist()
+        self.young.update(zip(words, [data[a:b] for a, b in zip([0, *ends[:-1]], ends, strict=True)], strict=True))
+
+    def ids(self, texts: list[bytes]) -> list[bytes]:
+        """Little-endian unsigned 32-bit ids of each text."""
+        split = [t.split() for t in texts]
+        self.learn(set().union(*split))
+        get = self.young.__getitem__
+        return [b"".join(map(get, words)) for words in split]
 
-        self.tokenizer, self.known = Tokenizer.from_file(path), {}
 
-    def ids(self, texts: list[bytes]) -> Iterator[bytes]:
-        """Little-endian unsigned 32-bit ids of each text."""
-        for text in texts:
-            words = text.split()
-            known = self.known
-            try:
-                yield b"".join(map(known.__getitem__, words))
-            except KeyError:
-                new = list({w for w in words if w not in known})
-                if len(known) + len(new) > KEPT_WORDS:
-                    known.clear()
-                    new = list(set(words))
-                for at in range(0, len(new), 4096):
-                    part = new[at : at + 4096]
-                    known.update((w, np.array(e.ids, "<u4").tobytes()) for w, e in zip(part, self.tokenizer.encode_batch_fast([w.decode() for w in part], add_special_tokens=False), strict=True))
-                yield b"".join(map(known.__getitem__, words))
+_WORDS: dict[str, Words] = {}
+#: Characters of texts that are looked up together.
+TOGETHER = 1 << 21
+
+
+def together(texts: list[bytes]) -> Iterator[list[bytes]]:
+    part, size = [], 0
+    for t in texts:
+        part.append(t)
+        size += len(t)
+        if size > TOGETHER:
+            yield part
+            part, size = [], 0
+    if part:
+        yield part
 
 
 def tokenized_pieces(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -78,11 +133,13 @@ def tokenized_pieces(docs: DataFrame, path: str, id_col: str = "doc_id", text_co
         import os
 
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
-        words, end, seen = Words(path), np.array([END_ID], "<u4").tobytes(), 0
+        words, end, seen = _WORDS.setdefault(path, None) or Words(path), np.array([END_ID], "<u4").tobytes(), 0
+        _WORDS[path] = words
         for b in batches:
             rows = []
-            texts = (t.as_py() or b"" for t in b.column(1).cast(pa.binary()))
-            for doc, ids in zip(b.column(0).to_pylist(), words.ids(texts), strict=True):
+            texts = [t.as_py() or b"" for t in b.column(1).cast(pa.binary())]
+            found = (ids for part in together(texts) for ids in words.ids(part))
+            for doc, ids in zip(b.column(0).to_pylist(), found, strict=True):
                 ids, start, seen = ids + end, 0, seen + 1
                 for length, k in cut(len(ids) // 4):
                     rows.append((doc, start, length, zlib.crc32(ids[4 * start : 4 * (start + length)]), len(ids) // 4, k, (zlib.crc32(b"%d" % (doc or 0)) + start + seen * (doc is None)) % (1 << SALT_BITS)))
