@@ -23,7 +23,7 @@ SMALLEST_CUT = 128
 #: Share of its place that a piece may leave empty instead of being cut.
 SLACK = 1 / 64
 #: Words whose ids a worker keeps, in each of two generations.
-KEPT_WORDS = 700_000
+KEPT_WORDS = 1_000_000
 SALT_BITS = 6
 
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, class int, salt int"
@@ -55,6 +55,11 @@ SIGN_BYTES = frozenset(SIGNS)
 #: Words of Latin letters with or without such signs: their normal form is their lower case.
 SIMPLE = re.compile(rb"(?<![^ ])(?:[A-Za-z]|\xc3[\x80-\x96\x98-\xb6\xb8-\xbf])+[" + re.escape(SIGNS) + rb"]*(?![^ ])")
 
+TAIL = re.compile(rb"(?<=[A-Za-z\x80-\xbf])[" + re.escape(SIGNS) + rb"]+")
+_SHOWN = [*range(33, 127), *range(161, 173), *range(174, 256)]
+#: The letters that stand for bytes in byte-level vocabularies: shown characters for themselves, the others from 256 on. Blanks stay.
+BYTE_LETTERS = {b: chr(256 + i) for i, b in enumerate(b for b in range(256) if b not in _SHOWN) if b != 32}
+
 
 class Words:
     """Ids of texts, word by word: no token of this vocabulary reaches over white space, so a word's ids are kept.
@@ -68,7 +73,7 @@ class Words:
 
         self.tokenizer, self.young, self.old = Tokenizer.from_file(path), {}, {}
         self.simple = Tokenizer(self.tokenizer.model)
-        self.simple.pre_tokenizer = pre_tokenizers.Sequence([pre_tokenizers.WhitespaceSplit(), pre_tokenizers.Punctuation("contiguous"), pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=False)])
+        self.simple.pre_tokenizer = pre_tokenizers.WhitespaceSplit()
         self.closing = np.zeros(self.tokenizer.get_vocab_size(), bool)
         self.closing[[i for t, i in self.tokenizer.get_vocab().items() if t.endswith("</w>")]] = True
 
@@ -97,7 +102,8 @@ class Words:
         Their letters are one part and the signs behind them another, and each part ends with the
         one token that closes it.
         """
-        ids = np.array(self.simple.encode_batch_fast([b" ".join(words).decode().lower()], add_special_tokens=False)[0].ids, "<u4")
+        text = TAIL.sub(rb" \g<0>", b" ".join(words)).decode().lower().encode().decode("latin-1").translate(BYTE_LETTERS)
+        ids = np.array(self.simple.encode_batch_fast([text], add_special_tokens=False)[0].ids, "<u4")
         closings = np.flatnonzero(self.closing[ids]) + 1
         ends = np.cumsum([1 if w[-1] not in SIGN_BYTES else 2 for w in words])
         data, ends = ids.tobytes(), (closings[ends - 1] * 4).tolist()
