@@ -12,11 +12,13 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..functions.filters import prefix_length, size_close
 from ..functions.metrics import Metric, metric_of, objects, padded
 from ..plans.config import SAMPLERS, SPLITTERS, JoinConfig
 from . import sampling
 from .fits import NodeFit, fit_nodes, with_nodes
 from .split import Tree, choose_axes, cluster_labels, grow
+from .tables import materialize
 
 PAIRS = "id_x long, id_y long, distance double"
 #: Real objects that come to the driver for axes and, where pivots are drawn, for snapping.
@@ -279,6 +281,16 @@ def verify_blocks(routed: DataFrame, plan: JoinPlan) -> DataFrame:
     return _grid(routed, plan).groupBy("region", "a", "b").applyInArrow(run, PAIRS)
 
 
+def with_rarest_first(sets: DataFrame, keys: list[str] | None = None) -> DataFrame:
+    """The same sets with their tokens from the rarest (ties by token); sets without tokens stay empty."""
+    keys = keys or ["id"]
+    each = sets.select(*keys, F.explode("obj").alias("token"))
+    counts = each.groupBy("token").agg(F.count(F.lit(1)).alias("n"))
+    found = each.join(counts, "token").groupBy(*keys).agg(F.array_sort(F.collect_list(F.struct("n", "token"))).alias("t")).select(*keys, F.col("t.token").alias("obj"))
+    none = sets.where(F.size("obj") == 0).select(*keys, "obj")
+    return found.unionByName(none)
+
+
 def coord_prune(x: Column, y: Column, delta: float) -> Column:
     """Coordinates of a pair within delta differ by at most delta on every axis."""
     return F.forall(F.zip_with(x, y, lambda a, b: F.abs(a - b) <= F.lit(padded(delta))), lambda v: v)
@@ -289,10 +301,40 @@ def verify_sql(routed: DataFrame, plan: JoinPlan) -> DataFrame:
     x, y = routed.where(F.col("home") == F.col("region")).alias("x"), routed.alias("y")
     px, py = F.col("x.obj"), F.col("y.obj")
     once = F.when(F.col("y.home") == F.col("y.region"), F.col("x.id") < F.col("y.id")).otherwise(F.col("y.home") > F.col("y.region"))
+    if uses_prefixes(plan):
+        return _prefix_pairs(x, y, plan, once)
     both = x.join(y, (F.col("x.region") == F.col("y.region")) & once)
     return _checked(both, plan, px, py)
 
 
+def uses_prefixes(plan: JoinPlan) -> bool:
+    return plan.metric.name == "jaccard" and plan.config.filters and 0 <= plan.delta < 1
+
+
+def _prefix_pairs(x: DataFrame, y: DataFrame, plan: JoinPlan, once: Column | None, ordered: bool = True) -> DataFrame:
+    """Sets (tokens from the rarest): inside a region only those that share a token of both prefixes are compared. No exchange beyond the region's."""
+    delta = plan.delta
+
+    def posted(side: DataFrame, name: str) -> DataFrame:
+        size = F.size("obj")
+        prefix = F.slice("obj", F.lit(1), F.greatest(prefix_length(size, delta), F.lit(0)).cast("int"))
+        # a set without tokens has one mark of its own: two such sets are at distance 0
+        return side.withColumn("token", F.explode(F.when(size == 0, F.array(F.lit(""))).otherwise(prefix))).alias(name)
+
+    px, py = F.col("x.obj"), F.col("y.obj")
+    on = (F.col("x.region") == F.col("y.region")) & (F.col("x.token") == F.col("y.token")) & size_close(F.size(px), F.size(py), delta)
+    both = posted(x, "x").join(posted(y, "y"), on if once is None else on & once)
+    if plan.axes:
+        both = both.where(coord_prune(F.col("x.coord"), F.col("y.coord"), delta))
+    # a pair is kept at the first token that the prefixes share
+    shared = F.array_intersect(px, py)
+    both = both.where((F.size(px) == 0) | (F.element_at(shared, 1) == F.col("x.token")))
+    union = F.size(px) + F.size(py) - F.size(shared)
+    both = both.select("x.id", F.col("y.id").alias("id2"), F.when(union == 0, F.lit(0.0)).otherwise(1.0 - F.size(shared) / union).alias("distance")).where(F.col("distance") <= F.lit(padded(delta)))
+    ends = (F.least("id", "id2"), F.greatest("id", "id2")) if ordered else (F.col("id"), F.col("id2"))
+    return both.select(ends[0].alias("id_x"), ends[1].alias("id_y"), "distance")
+
+
 def _checked(both: DataFrame, plan: JoinPlan, px: Column, py: Column, ordered: bool = True) -> DataFrame:
     m, delta = plan.metric, plan.delta
     if plan.config.filters:
@@ -326,6 +368,8 @@ def metric_self_join(df: DataFrame, id_col: str, obj_col: str, metric: str | Met
         return objs.sparkSession.createDataFrame([], PAIRS)
     if config.collapse:
         return _collapsed(objs, m, delta, config)
+    if m.name == "jaccard" and config.filters and delta < 1:
+        objs = materialize(with_rarest_first(objs))
     plan = make_plan(objs, m, delta, config)
     return verify(route(objs, plan), plan)
 
@@ -360,12 +404,19 @@ def metric_join(left: DataFrame, right: DataFrame, id_cols: tuple[str, str], obj
     a, b = (validate_objects(d, i, o, m) for d, i, o in zip((left, right), id_cols, obj_cols, strict=True))
     if delta < 0:
         return a.sparkSession.createDataFrame([], PAIRS)
+    if m.name == "jaccard" and config.filters and delta < 1:
+        # one order of tokens for both sides
+        both = a.select(F.lit(0).alias("side"), "id", "obj").unionByName(b.select(F.lit(1).alias("side"), "id", "obj"))
+        both = materialize(with_rarest_first(both, ["side", "id"]))
+        a, b = (both.where(F.col("side") == s).select("id", "obj") for s in (0, 1))
     plan = make_plan(a, m, delta, config)
     x = mapped(a, plan)
     if config.bounds == "data_box":
         plan.boxes = data_boxes(x, plan)
     kernel = x.select(F.col("home").alias("region"), "home", "id", "obj", "coord")
     whole = mapped(b, plan).select(F.explode(region_lists(plan, "whole")).alias("region"), "home", "id", "obj", "coord")
+    if engine_of(plan) == "sql" and uses_prefixes(plan):
+        return _prefix_pairs(kernel, whole, plan, None, ordered=False)
     if engine_of(plan) == "sql":
         both = kernel.alias("x").join(whole.alias("y"), F.col("x.region") == F.col("y.region"))
         return _checked(both, plan, F.col("x.obj"), F.col("y.obj"), ordered=False)
