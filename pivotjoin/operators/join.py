@@ -298,6 +298,7 @@ def coord_prune(x: Column, y: Column, delta: float) -> Column:
 
 def verify_sql(routed: DataFrame, plan: JoinPlan) -> DataFrame:
     """Pairs within delta by an equi-join on the region, in the JVM; adaptive execution splits hot regions."""
+    routed = materialize(routed)  # both sides read it: mapping is not done twice
     x, y = routed.where(F.col("home") == F.col("region")).alias("x"), routed.alias("y")
     px, py = F.col("x.obj"), F.col("y.obj")
     once = F.when(F.col("y.home") == F.col("y.region"), F.col("x.id") < F.col("y.id")).otherwise(F.col("y.home") > F.col("y.region"))

@@ -93,7 +93,7 @@ def entropy(labels: np.ndarray) -> float:
 
 def split_gain(labels: np.ndarray, below: np.ndarray) -> float:
     """How much a split lowers the entropy of the labels."""
-    f = below.mean()
+    f = float(below.mean())
     return entropy(labels) - f * (entropy(labels[below]) if below.any() else 0) - (1 - f) * (entropy(labels[~below]) if (~below).any() else 0)
 
 
