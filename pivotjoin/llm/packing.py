@@ -118,6 +118,15 @@ class Words:
 
 
 _WORDS: dict[str, Words] = {}
+
+
+def words_of(path: str) -> Words:
+    """The worker's own, kept from task to task. (A task's function travels by value, with copies of the globals it names; this one is found by name.)"""
+    if path not in _WORDS:
+        _WORDS[path] = Words(path)
+    return _WORDS[path]
+
+
 #: Characters of texts that are looked up together.
 TOGETHER = 1 << 21
 
@@ -139,8 +148,7 @@ def tokenized_pieces(docs: DataFrame, path: str, id_col: str = "doc_id", text_co
         import os
 
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
-        words, end, seen = _WORDS.setdefault(path, None) or Words(path), np.array([END_ID], "<u4").tobytes(), 0
-        _WORDS[path] = words
+        words, end, seen = words_of(path), np.array([END_ID], "<u4").tobytes(), 0
         for b in batches:
             rows = []
             texts = [t.as_py() or b"" for t in b.column(1).cast(pa.binary())]
