@@ -87,8 +87,12 @@ def rows_to_arrow(m: np.ndarray) -> pa.Array:
     return pa.ListArray.from_arrays(pa.array(np.arange(0, n * k + 1, k, dtype=np.int32) if k else np.zeros(n + 1, np.int32)), pa.array(np.ascontiguousarray(m, np.float64).ravel()))
 
 
-def _vectors(x) -> np.ndarray:
-    return np.asarray(x, np.float64).reshape(len(x), -1)
+def as_matrix(x) -> np.ndarray:
+    """Vectors as rows; no vectors are a matrix without rows."""
+    return np.asarray(x, np.float64).reshape(len(x), -1) if len(x) else np.zeros((0, 0))
+
+
+_vectors = as_matrix
 
 
 def _by_rows(step: Callable[[np.ndarray, np.ndarray], np.ndarray], cells: int = 1 << 22):

@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import filters
-from ..functions.metrics import Metric, metric_of, objects, padded
+from ..functions.metrics import Metric, as_matrix, metric_of, objects, padded
 from ..plans.config import JoinConfig
 from .join import PAIRS, JoinPlan, metric_self_join, validate_objects, verify
 from .sampling import random_pivots
@@ -34,10 +34,15 @@ def oversampled_join(df: DataFrame, id_col: str, obj_col: str, metric: str | Met
     return metric_self_join(df, id_col, obj_col, metric, delta, replace(config or JoinConfig(), sampler="random", splitter="iterative", oversample=factor))
 
 
-@F.arrow_udf("int")
-def _nearest(parts: Iterator[pa.Array]) -> Iterator[pa.Array]:
-    for part in parts:
-        yield pa.array(np.asarray(objects(part), float).reshape(len(part), -1).argmin(axis=1), pa.int32())
+def _nearest(distances: str):
+    """Place of the least of an array of distances."""
+
+    @F.arrow_udf("int")
+    def least(parts: Iterator[pa.Array]) -> Iterator[pa.Array]:
+        for part in parts:
+            yield pa.array(as_matrix(objects(part)).argmin(axis=1), pa.int32())
+
+    return least(distances)
 
 
 def _cells(objs: DataFrame, pivots: list, m: Metric, delta: float) -> DataFrame:

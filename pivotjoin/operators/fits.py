@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from ..functions.families import FAMILIES, Family, MultiNormal, Params
-from ..functions.metrics import objects
+from ..functions.metrics import as_matrix, objects
 from ..functions.numerics import bisect, chi2_isf, chi2_sf
 
 #: Fixed values of the portable hash: a multiplicative generator, repeatable in any SQL engine.
@@ -93,8 +93,7 @@ def vector_moments(df: DataFrame, obj: str = "obj", node: str = "node") -> DataF
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: dict[int, list[np.ndarray]] = {}
         for b in batches:
-            x, nodes = objects(b.column(1)), b.column(0).to_numpy(zero_copy_only=False)
-            x = np.asarray(x, float).reshape(len(nodes), -1)
+            x, nodes = as_matrix(objects(b.column(1))), b.column(0).to_numpy(zero_copy_only=False)
             for k in np.unique(nodes):
                 v = x[nodes == k]
                 with np.errstate(divide="ignore", invalid="ignore"):
@@ -175,7 +174,7 @@ def cell_counts(df: DataFrame, cuts: dict[tuple[int, int, int], np.ndarray], obj
         held: dict[tuple[int, int, int], np.ndarray] = {}
         for b in batches:
             nodes = b.column(0).to_numpy(zero_copy_only=False)
-            x = np.asarray(objects(b.column(1)), float).reshape(len(nodes), -1)
+            x = as_matrix(objects(b.column(1)))
             for k in np.unique(nodes):
                 v = x[nodes == k]
                 for d, c, at in by_node.get(int(k), ()):
@@ -242,7 +241,7 @@ def _fit_joint(df: DataFrame, some: DataFrame, obj: str, sizes: dict[int, int],
         held: dict[int, np.ndarray] = {}
         for b in batches:
             nodes = b.column(0).to_numpy(zero_copy_only=False)
-            x = np.asarray(objects(b.column(1)), float).reshape(len(nodes), -1)
+            x = as_matrix(objects(b.column(1)))
             for k in np.unique(nodes):
                 v = x[nodes == k]
                 held[int(k)] = held.get(int(k), 0) + np.concatenate([[len(v)], v.sum(0), (v.T @ v).ravel()])
@@ -267,7 +266,7 @@ def _fit_joint(df: DataFrame, some: DataFrame, obj: str, sizes: dict[int, int],
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             nodes = b.column(0).to_numpy(zero_copy_only=False)
-            x = np.asarray(objects(b.column(1)), float).reshape(len(nodes), -1)
+            x = as_matrix(objects(b.column(1)))
             cell = np.zeros(len(nodes), np.int32)
             for k in np.unique(nodes):
                 cell[nodes == k] = np.searchsorted(shells[int(k)], fits[int(k)].radius2(x[nodes == k]))

@@ -13,7 +13,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.filters import prefix_length, size_close
-from ..functions.metrics import Metric, metric_of, objects, padded
+from ..functions.metrics import Metric, as_matrix, metric_of, objects, padded
 from ..plans.config import SAMPLERS, SPLITTERS, JoinConfig
 from . import sampling
 from .fits import NodeFit, fit_nodes, with_nodes
@@ -119,7 +119,7 @@ def make_plan(objs: DataFrame, metric: Metric, delta: float, config: JoinConfig)
         labels = cluster_labels(list(pivots) if origin else list(coords), metric if origin else None, config.n_labels, seed=config.seed)
     tree = grow(coords, p, config.splitter, labels, config.seed)
     seconds["split"] = time.time() - began
-    plan = JoinPlan(metric, delta, config, rows, k, p, n, axes, tree, np.asarray(coords, float).reshape(len(coords), -1), labels, fits, None, seconds)
+    plan = JoinPlan(metric, delta, config, rows, k, p, n, axes, tree, as_matrix(coords), labels, fits, None, seconds)
     if config.bounds == "pivot_box":
         plan.boxes = _boxes_of(plan.coords, tree.home(plan.coords), tree.regions)
     return plan
@@ -140,7 +140,7 @@ def mapped(objs: DataFrame, plan: JoinPlan) -> DataFrame:
     @F.arrow_udf("int")
     def home(parts: Iterator[pa.Array]) -> Iterator[pa.Array]:
         for part in parts:
-            x = np.asarray(objects(part), float).reshape(len(part), -1)
+            x = as_matrix(objects(part))
             h = tree.home(x)
             if lossy:
                 inside = ((x >= boxes[0][h]) & (x <= boxes[1][h])).all(axis=1)
@@ -167,7 +167,7 @@ def region_lists(plan: JoinPlan, which: str):
 
     @F.arrow_udf("array<int>")
     def regions(coord: pa.Array, home: pa.Array) -> pa.Array:
-        x = np.asarray(objects(coord), float).reshape(len(coord), -1)
+        x = as_matrix(objects(coord))
         h = home.to_numpy(zero_copy_only=False)
         row, region = tree.near(x, delta)
         if lossy:  # published boxes: every region is asked
@@ -257,7 +257,7 @@ def verify_blocks(routed: DataFrame, plan: JoinPlan) -> DataFrame:
         region, a, b = (t.column(c)[0].as_py() for c in ("region", "a", "b"))
         ids, home, own = (t.column(c).to_numpy() for c in ("id", "home", "own"))
         xs = objects(t.column("obj").chunk(0))
-        coord = np.asarray(objects(t.column("coord").chunk(0)), float).reshape(len(ids), -1)
+        coord = as_matrix(objects(t.column("coord").chunk(0)))
         kernel = home == region
         steps = [(kernel, np.ones(len(ids), bool))] if a == b else [(kernel & (own == a), own == b), (kernel & (own == b), ~kernel & (own == a))]
         found = []
@@ -437,7 +437,7 @@ def metric_join(left: DataFrame, right: DataFrame, id_cols: tuple[str, str], obj
             p, q = p.combine_chunks(), q.combine_chunks()
             ids = [t.column("id").to_numpy() for t in (p, q)]
             os = [objects(t.column("obj").chunk(0)) for t in (p, q)]
-            cs = [np.asarray(objects(t.column("coord").chunk(0)), float).reshape(t.num_rows, -1) for t in (p, q)]
+            cs = [as_matrix(objects(t.column("coord").chunk(0))) for t in (p, q)]
             i, j, dist = _block_pairs(m, delta, *os, *cs, lambda s: np.ones((s.stop - s.start, len(ids[1])), bool))
             out = [ids[0][i], ids[1][j], dist]
         return pa.table({"id_x": pa.array(out[0], pa.int64()), "id_y": pa.array(out[1], pa.int64()), "distance": pa.array(out[2], pa.float64())})

@@ -8,7 +8,7 @@ from dataclasses import dataclass
 
 import numpy as np
 
-from ..functions.metrics import Metric, padded
+from ..functions.metrics import Metric, as_matrix, padded
 
 #: Pivots that are clustered; further ones take the label of the nearest of these.
 MOST_CLUSTERED = 2000
@@ -110,7 +110,7 @@ def grow(coords: np.ndarray, p: int, how: str = "iterative", labels: np.ndarray
     the one of the best gain ratio of the labels ('learned'), or the widest ('widest').
     """
     g = np.random.default_rng(seed)
-    coords = np.asarray(coords, float).reshape(len(coords), -1)
+    coords = as_matrix(coords)
     axis, cut, left, right = [], [], [], []
     leaves = 0
 

@@ -15,7 +15,7 @@ from pivotjoin.streaming import streams
 def folder(spark, sf_dir, tmp_path_factory):
     base = tmp_path_factory.mktemp("stream")
     spark.read.parquet(f"{sf_dir}/events.parquet").repartition(2).write.parquet(str(base / "events"))
-    workloads.descriptors(spark, sf_dir, 4).withColumn("ts", F.timestamp_seconds(F.col("id") * 60)).withColumn("event_type", (F.col("id") % 2).cast("string")).repartition(1).write.parquet(str(base / "objs"))
+    workloads.descriptors(spark, sf_dir, 4).withColumn("ts", F.timestamp_seconds(F.col("id") * 60 + 86_400)).withColumn("event_type", (F.col("id") % 2).cast("string")).repartition(1).write.parquet(str(base / "objs"))
     return base
 
 
