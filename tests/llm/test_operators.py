@@ -418,7 +418,7 @@ def slow_top(rows, k=5, every=50):
 def test_top_k(spark):
     g = np.random.default_rng(2)
     rows = [(i, [float(x) for x in g.integers(-2, 3, 6) / 4]) for i in range(260)] + [(300, None), (301, [1.0, None, 0.0, 0.0, 0.0, 0.0]), (302, [float("nan")] * 6), (303, [float("inf")] * 6), (350, [0.0] * 6), (None, [1.0] * 6)]
-    d = spark.createDataFrame(rows, "vec_id long, embedding array<double>, rank int, score long")
+    d = spark.createDataFrame([(*r, 9, 9) for r in rows], "vec_id long, embedding array<double>, rank int, score long")
     assert {tuple(r) for r in topk.op9(d).collect()} == slow_top(rows)
     assert topk.op9(d.limit(0)).count() == 0
     few = d.where("vec_id in (0, 1, 2)")
