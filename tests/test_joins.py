@@ -7,7 +7,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from pivotjoin import queries, workloads
+from pivotjoin import queries, surrounding, workloads
 from pivotjoin.functions.metrics import JACCARD, L1, L2, edit_block, metric_of
 from pivotjoin.operators import baselines, fits, sampling, split
 from pivotjoin.operators.join import bad_rows, brute_force_join, join_classes, make_plan, mapped, metric_join, metric_self_join, refined, route, validate_objects, verify
@@ -344,6 +344,9 @@ def test_workload_inputs(spark, sf_dir):
     assert x.count() == x.select("id").distinct().count()
 
 
+assert surrounding.TABLES  # its queries are in the catalogue
+
+
 @pytest.mark.parametrize("name", sorted(queries.ORACLES))
 def test_catalogue(spark, sf_dir, name, oracle):
     oracle(name, queries.QUERIES[name], queries.ORACLES[name])
