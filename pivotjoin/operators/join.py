@@ -118,6 +118,10 @@ def make_plan(objs: DataFrame, metric: Metric, delta: float, config: JoinConfig)
         origin = pivots is not None and (config.label_space or ("origin" if metric.kind in ("vector", "scalar") else "target")) == "origin"
         labels = cluster_labels(list(pivots) if origin else list(coords), metric if origin else None, config.n_labels, seed=config.seed)
     tree = grow(coords, p, config.splitter, labels, config.seed)
+    while config.max_copies and tree.regions > 1 and expected_copies(tree, coords, delta, config.replication) > config.max_copies:
+        # coordinates do not tell these objects apart at this threshold: fewer regions, down to one that is dealt into blocks
+        p = max(1, tree.regions // 2)
+        tree = grow(coords, p, config.splitter, labels, config.seed)
     seconds["split"] = time.time() - began
     plan = JoinPlan(metric, delta, config, rows, k, p, n, axes, tree, as_matrix(coords), labels, fits, None, seconds)
     if config.bounds == "pivot_box":
@@ -125,6 +129,16 @@ def make_plan(objs: DataFrame, metric: Metric, delta: float, config: JoinConfig)
     return plan
 
 
+def expected_copies(tree: Tree, coords: np.ndarray, delta: float, replication: str) -> float:
+    """Rows per object after routing, as the pivots tell."""
+    x = as_matrix(coords)
+    if not len(x):
+        return 1.0
+    row, region = tree.near(x, delta)
+    home = tree.home(x)[row]
+    return 1.0 + float((region < home).sum() if replication == "lower" else (region != home).sum()) / len(x)
+
+
 def _boxes_of(x: np.ndarray, home: np.ndarray, regions: int) -> tuple[np.ndarray, np.ndarray]:
     lo, hi = np.full((regions, x.shape[1]), np.inf), np.full((regions, x.shape[1]), -np.inf)
     np.minimum.at(lo, home, x)
@@ -301,9 +315,9 @@ def verify_sql(routed: DataFrame, plan: JoinPlan) -> DataFrame:
     routed = materialize(routed)  # both sides read it: mapping is not done twice
     x, y = routed.where(F.col("home") == F.col("region")).alias("x"), routed.alias("y")
     px, py = F.col("x.obj"), F.col("y.obj")
-    once = F.when(F.col("y.home") == F.col("y.region"), F.col("x.id") < F.col("y.id")).otherwise(F.col("y.home") > F.col("y.region"))
     if uses_prefixes(plan):
-        return _prefix_pairs(x, y, plan, once)
+        return _prefix_pairs(x, y, plan)
+    once = F.when(F.col("y.home") == F.col("y.region"), F.col("x.id") < F.col("y.id")).otherwise(F.col("y.home") > F.col("y.region"))
     both = x.join(y, (F.col("x.region") == F.col("y.region")) & once)
     return _checked(both, plan, px, py)
 
@@ -312,27 +326,32 @@ def uses_prefixes(plan: JoinPlan) -> bool:
     return plan.metric.name == "jaccard" and plan.config.filters and 0 <= plan.delta < 1
 
 
-def _prefix_pairs(x: DataFrame, y: DataFrame, plan: JoinPlan, once: Column | None, ordered: bool = True) -> DataFrame:
-    """Sets (tokens from the rarest): inside a region only those that share a token of both prefixes are compared. No exchange beyond the region's."""
+def _prefix_pairs(x: DataFrame, y: DataFrame, plan: JoinPlan, ordered: bool = True) -> DataFrame:
+    """Sets (tokens from the rarest): inside a region only those that share a token of both prefixes are compared.
+
+    Postings carry ids and sizes; the sets themselves join the few candidates afterwards.
+    """
     delta = plan.delta
 
     def posted(side: DataFrame, name: str) -> DataFrame:
         size = F.size("obj")
         prefix = F.slice("obj", F.lit(1), F.greatest(prefix_length(size, delta), F.lit(0)).cast("int"))
         # a set without tokens has one mark of its own: two such sets are at distance 0
-        return side.withColumn("token", F.explode(F.when(size == 0, F.array(F.lit(""))).otherwise(prefix))).alias(name)
-
-    px, py = F.col("x.obj"), F.col("y.obj")
-    on = (F.col("x.region") == F.col("y.region")) & (F.col("x.token") == F.col("y.token")) & size_close(F.size(px), F.size(py), delta)
-    both = posted(x, "x").join(posted(y, "y"), on if once is None else on & once)
+        return side.select("region", "home", "id", size.alias("size"), F.explode(F.when(size == 0, F.array(F.lit(""))).otherwise(prefix)).alias("token")).alias(name)
+
+    on = (F.col("x.region") == F.col("y.region")) & (F.col("x.token") == F.col("y.token")) & size_close(F.col("x.size"), F.col("y.size"), delta)
+    if ordered:
+        on = on & F.when(F.col("y.home") == F.col("y.region"), F.col("x.id") < F.col("y.id")).otherwise(F.col("y.home") > F.col("y.region"))
+    found = posted(x, "x").join(posted(y, "y"), on).select(F.col("x.id").alias("i"), F.col("y.id").alias("j")).distinct()
+    a = x.select(F.col("id").alias("i"), F.col("obj").alias("p"), F.col("coord").alias("c"))
+    b = (x if ordered else y.dropDuplicates(["id"])).select(F.col("id").alias("j"), F.col("obj").alias("q"), F.col("coord").alias("e"))
+    both = found.join(a, "i").join(b, "j")
     if plan.axes:
-        both = both.where(coord_prune(F.col("x.coord"), F.col("y.coord"), delta))
-    # a pair is kept at the first token that the prefixes share
-    shared = F.array_intersect(px, py)
-    both = both.where((F.size(px) == 0) | (F.element_at(shared, 1) == F.col("x.token")))
-    union = F.size(px) + F.size(py) - F.size(shared)
-    both = both.select("x.id", F.col("y.id").alias("id2"), F.when(union == 0, F.lit(0.0)).otherwise(1.0 - F.size(shared) / union).alias("distance")).where(F.col("distance") <= F.lit(padded(delta)))
-    ends = (F.least("id", "id2"), F.greatest("id", "id2")) if ordered else (F.col("id"), F.col("id2"))
+        both = both.where(coord_prune(F.col("c"), F.col("e"), delta))
+    shared = F.size(F.array_intersect("p", "q"))
+    both = both.select("i", "j", shared.alias("n"), (F.size("p") + F.size("q")).alias("s"))
+    both = both.select("i", "j", F.when(F.col("s") == 0, F.lit(0.0)).otherwise(1.0 - F.col("n") / (F.col("s") - F.col("n"))).alias("distance")).where(F.col("distance") <= F.lit(padded(delta)))
+    ends = (F.least("i", "j"), F.greatest("i", "j")) if ordered else (F.col("i"), F.col("j"))
     return both.select(ends[0].alias("id_x"), ends[1].alias("id_y"), "distance")
 
 
@@ -417,7 +436,7 @@ def metric_join(left: DataFrame, right: DataFrame, id_cols: tuple[str, str], obj
     kernel = x.select(F.col("home").alias("region"), "home", "id", "obj", "coord")
     whole = mapped(b, plan).select(F.explode(region_lists(plan, "whole")).alias("region"), "home", "id", "obj", "coord")
     if engine_of(plan) == "sql" and uses_prefixes(plan):
-        return _prefix_pairs(kernel, whole, plan, None, ordered=False)
+        return _prefix_pairs(materialize(kernel), materialize(whole), plan, ordered=False)
     if engine_of(plan) == "sql":
         both = kernel.alias("x").join(whole.alias("y"), F.col("x.region") == F.col("y.region"))
         return _checked(both, plan, F.col("x.obj"), F.col("y.obj"), ordered=False)

@@ -48,6 +48,7 @@ class JoinConfig:
     filters: bool = True
     collapse: bool = False
     max_region: int = 20_000
+    max_copies: float | None = 4.0
     seed: int = 7
 
     def sized(self, rows: int) -> tuple[int, int, int]:
