@@ -183,14 +183,18 @@ def _with_empty(candidates: DataFrame, objs: DataFrame) -> DataFrame:
 
 
 def fragment_set_join(df: DataFrame, id_col: str, obj_col: str, delta: float, fragments: int = 8) -> DataFrame:
-    """Sets are cut into fragments of the token order; overlaps are counted in each fragment and added up."""
+    """Sets are cut into fragments of the tokens; overlaps are counted in each fragment and added up.
+
+    Only pairs that share a token of both prefixes are counted, so frequent tokens make no pairs.
+    """
     if delta >= 1:
         raise ValueError("below 1 only: sets without a common token are not compared")
     m = metric_of("jaccard")
     objs = validate_objects(df, id_col, obj_col, m)
     each = objs.select("id", F.size("obj").alias("size"), F.explode("obj").alias("token")).withColumn("fragment", F.pmod(F.xxhash64("token"), F.lit(fragments)))
-    both = each.alias("x").join(each.alias("y"), ["fragment", "token"]).where((F.col("x.id") < F.col("y.id")) & filters.size_close(F.col("x.size"), F.col("y.size"), delta))
-    part = both.groupBy(F.col("x.id").alias("id_x"), F.col("y.id").alias("id_y"), "fragment", F.col("x.size").alias("sx"), F.col("y.size").alias("sy")).agg(F.count(F.lit(1)).alias("n"))
+    left = filters.prefix_candidates(objs, delta).join(each.alias("x"), F.col("id_x") == F.col("x.id")).select("id_x", "id_y", "fragment", "token", F.col("size").alias("sx"))
+    right = each.select(F.col("id").alias("id_y"), "fragment", "token", F.col("size").alias("sy"))
+    part = left.join(right, ["id_y", "fragment", "token"]).groupBy("id_x", "id_y", "fragment", "sx", "sy").agg(F.count(F.lit(1)).alias("n"))
     total = part.groupBy("id_x", "id_y", "sx", "sy").agg(F.sum("n").alias("n"))
     found = total.select("id_x", "id_y", (1.0 - F.col("n") / (F.col("sx") + F.col("sy") - F.col("n"))).alias("distance")).where(F.col("distance") <= F.lit(padded(delta)))
     none = objs.where(F.size("obj") == 0).select("id")
