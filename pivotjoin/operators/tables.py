@@ -20,7 +20,10 @@ def shared_dir(spark: SparkSession) -> str:
 
 
 def materialize(df: DataFrame) -> DataFrame:
-    """Write df as Parquet into the shared folder and read it back: the lineage ends there, and lost executors lose nothing."""
+    """Write df as Parquet into the shared folder and read it back: the lineage ends there, and lost executors lose nothing.
+
+    The new scan has no partitioning, so a join on it gets an exchange of its own, which adaptive execution can split.
+    """
     path = f"{shared_dir(df.sparkSession)}/tables/{uuid.uuid4().hex}"
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
