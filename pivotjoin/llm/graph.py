@@ -1,33 +1,14 @@
-"""Connected components by alternating stars, on tables only."""
+"""Connected components of links."""
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialize
+from ..operators.tables import connected_components
 
 
 def components(edges: DataFrame) -> DataFrame:
-    """(u, v) long -> (node, root): root is the smallest node of its component; nodes without edges are absent.
-
-    Each round points the larger neighbours of every node, then its smaller ones, at the smallest
-    neighbour; the rounds, about the logarithm of the longest chain, end when the edges are stars.
-    Every join is between two written tables, so a node with many neighbours can be split.
-    """
-    e = edges.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).where("u <> v").distinct()
-    e = materialize(e)
-    seen = None
-    while True:
-        low = materialize(e.groupBy("u").agg(F.min("v").alias("m")))
-        large = e.alias("e").join(low.alias("l"), F.col("e.v") == F.col("l.u"), "left")
-        large = materialize(large.select(F.col("e.u").alias("u"), F.coalesce("l.m", "e.v").alias("v")).distinct())
-        low = materialize(large.groupBy("u").agg(F.min("v").alias("m")))
-        rest = large.alias("e").join(low.alias("l"), F.col("e.u") == F.col("l.u")).where("e.v <> l.m").select(F.col("e.v").alias("u"), F.col("l.m").alias("v"))
-        e = materialize(rest.unionByName(low.select("u", F.col("m").alias("v"))).distinct())
-        now = e.agg(F.count(F.lit(1)).alias("n"), F.sum(F.xxhash64("u", "v") % F.lit(1 << 40)).alias("s")).first()
-        if now == seen or not now["n"]:
-            break
-        seen = now
-    roots = e.select(F.col("v").alias("node"), F.col("v").alias("root")).distinct()
-    return e.select(F.col("u").alias("node"), F.col("v").alias("root")).unionByName(roots)
+    """(u, v) long -> (node, root): root is the smallest node of its component; nodes without edges are absent."""
+    found = connected_components(edges.select(F.col("u").alias("id_x"), F.col("v").alias("id_y")))
+    return found.select(F.col("id").alias("node"), F.col("component").alias("root"))
