@@ -23,7 +23,7 @@ SMALLEST_CUT = 128
 #: Share of its place that a piece may leave empty instead of being cut.
 SLACK = 1 / 64
 #: Words whose ids a worker keeps, in each of two generations.
-KEPT_WORDS = 800_000
+KEPT_WORDS = 600_000
 SALT_BITS = 6
 
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, class int, salt int"
