@@ -48,12 +48,12 @@ HELD = 200_000
 
 
 class Block:
-    """Text between two block boundaries: its place in the style tree (hashes of the elements it is in) and what the names of these elements say."""
+    """Text between two block boundaries: its place in the style tree (hashes of the elements it is in), what the names of these elements say, and how many of them lead to the article it is in."""
 
-    __slots__ = ("chrome", "content", "nodes", "parts")
+    __slots__ = ("chrome", "content", "nodes", "parts", "within")
 
-    def __init__(self, nodes: tuple[int, ...], chrome: bool, content: bool):
-        self.nodes, self.chrome, self.content, self.parts = nodes, chrome, content, []
+    def __init__(self, nodes: tuple[int, ...], chrome: bool, content: bool, within: int):
+        self.nodes, self.chrome, self.content, self.within, self.parts = nodes, chrome, content, within, []
 
     def text(self) -> str:
         return " ".join(unescape("".join(self.parts)).split())
@@ -70,7 +70,7 @@ def _role(tag: str, attrs: str, inside: bool) -> tuple[str, bool]:
 def blocks(html: str) -> list[Block]:
     """Blocks of a page in order. Broken markup is read the way browsers do, as far as it matters here."""
     out: list[Block] = []
-    stack: list[tuple[str, tuple[int, ...], bool, bool]] = [("", (), False, False)]
+    stack: list[tuple[str, tuple[int, ...], bool, bool, int]] = [("", (), False, False, 0)]
     current, at, skip = None, 0, None
 
     def put(text: str, fresh: bool = False) -> None:
@@ -78,8 +78,8 @@ def blocks(html: str) -> list[Block]:
         if current is None:
             if not text.strip():
                 return
-            _, nodes, chrome, content = stack[-1]
-            current = Block(nodes, chrome, content)
+            _, nodes, chrome, content, within = stack[-1]
+            current = Block(nodes, chrome, content, within)
             out.append(current)
         current.parts.append(text)
 
@@ -131,10 +131,10 @@ def blocks(html: str) -> list[Block]:
                 break
         if chrome and not stack[-1][2]:
             current = None
-        _, nodes, over, content = stack[-1]
+        _, nodes, over, content, within = stack[-1]
         if len(nodes) < DEPTH:
             nodes = (*nodes, xxhash.xxh64_intdigest(style, nodes[-1] & (1 << 63) - 1 if nodes else 0) - (1 << 63))
-        stack.append((tag, nodes, over or chrome, (content or tag in CONTENT_TAGS) and not chrome))
+        stack.append((tag, nodes, over or chrome, (content or tag in CONTENT_TAGS) and not chrome, len(nodes) if tag in CONTENT_TAGS else within))
     if at < len(html):
         put(html[at:])
     return out
@@ -210,13 +210,17 @@ def site_tree(pages: DataFrame, url_col: str = "url", html_col: str = "html") ->
 def main_text(html: str, low: frozenset | set = frozenset()) -> str:
     """Main text of a page; low: nodes of its site's tree that are to go.
 
-    Names settle most cases: what is called a menu, footer, advert and so on goes, and the inside
-    of an article or main element stays. The tree decides on the rest: of a page without an
-    article, the branches of low importance go.
+    Names come first: what is called a menu, footer, advert and so on goes, and so does what is
+    outside of an article or main element if there is one. The tree decides on the rest: the
+    branches of low importance go, in an article those below it. An article that is low
+    throughout stays, since then the site's pages are copies and nothing tells text from frame.
     """
     found = [b for b in blocks(html) if not b.chrome]
     inside = [b for b in found if b.content]
-    kept = inside or [b for b in found if not low.intersection(b.nodes)]
+    if inside:
+        kept = [b for b in inside if not low.intersection(b.nodes[b.within :])] or inside
+    else:
+        kept = [b for b in found if not low.intersection(b.nodes)]
     return "\n".join(t for b in kept if (t := b.text()))
 
 

@@ -431,6 +431,16 @@ def test_top_k_of_huge_numbers():
     assert sorted(ids.tolist()) == [1, 3] and scores.dtype == np.int64
 
 
+def test_style_tree_decides_inside_articles(spark):
+    page = "<body><article><p>Text {0} of its own</p><div class=x><p>Same line on all pages</p></div></article></body>"
+    rows = [(i, f"http://h.example/{i}", page.format(i)) for i in range(12)] + [(90, "http://other.example/", page.format(90))]
+    rows += [(i, f"http://copies.example/{i}", page.format(0)) for i in range(100, 112)]
+    found = {r["page_id"]: r["text"] for r in html_extract.op6(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    assert all(found[i] == f"Text {i} of its own" for i in range(12))
+    assert found[90] == "Text 90 of its own\nSame line on all pages"
+    assert all(found[i] == "Text 0 of its own\nSame line on all pages" for i in range(100, 112))
+
+
 # -- 10 languages --------------------------------------------------------------------------------
 def test_languages(docs, odd, empty):
     d = langid.fit(docs)
