@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
-
 import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
@@ -12,7 +10,7 @@ from pyspark.sql.window import Window
 
 from . import workloads as w
 from .operators.join import make_plan, metric_self_join
-from .operators.tables import materialize
+from .operators.tables import materialize, shared_dir
 from .plans.config import JoinConfig
 from .queries import QUERIES, query
 from .sources import io
@@ -260,8 +258,8 @@ def _drained(df: DataFrame, mode: str = "append") -> DataFrame:
     from uuid import uuid4
 
     name = f"stream_{uuid4().hex}"
-    writer = df.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).option("checkpointLocation", tempfile.mkdtemp())
-    writer.start().awaitTermination(300)
+    writer = df.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).option("checkpointLocation", f"{shared_dir(df.sparkSession)}/streams/{name}")
+    writer.start().awaitTermination()  # without a limit: a table that is read before the end is partial
     return df.sparkSession.table(name)
 
 

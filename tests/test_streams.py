@@ -89,3 +89,19 @@ def test_drift(spark, folder):
     streams.drift_monitor(fit, 0, 1e-6, calm)(e, 0)
     streams.drift_monitor(fit, 0, 1e-6, alarms)(e.withColumn("value", F.col("value") * 3), 1)
     assert not calm and alarms and alarms[0][0] == 1
+
+
+def test_drained_waits_for_the_end(spark, sf_dir, monkeypatch):
+    from pyspark.sql.streaming import StreamingQuery
+
+    from pivotjoin import surrounding
+    from pivotjoin.operators.tables import shared_dir
+
+    limits, whole = [], StreamingQuery.awaitTermination
+    monkeypatch.setattr(StreamingQuery, "awaitTermination", lambda q, timeout=None: (limits.append(timeout), whole(q, timeout))[1])
+    t = surrounding._Tables(spark, sf_dir)
+    found = surrounding._drained(surrounding._stream(t, "events").select("event_id"))
+    assert found.count() == t.events.count() and limits == [None]
+    jvm = spark._jvm
+    path = jvm.org.apache.hadoop.fs.Path(f"{shared_dir(spark)}/streams")
+    assert path.getFileSystem(spark._jsc.hadoopConfiguration()).exists(path)
