@@ -85,22 +85,25 @@ def cut_at(values: np.ndarray, share: float) -> float | None:
     return float(v[at])
 
 
-def entropy(labels: np.ndarray) -> float:
-    _, n = np.unique(labels, return_counts=True)
-    f = n / n.sum() if len(n) else np.ones(1)
+def entropy(labels: np.ndarray, n: np.ndarray | None = None) -> float:
+    """Entropy of labels; n: how many rows each entry stands for, one without it."""
+    _, at = np.unique(labels, return_inverse=True)
+    f = np.bincount(at, n) if len(at) else np.ones(1)
+    f = f[f > 0] / f.sum()
     return float(-(f * np.log(f)).sum())
 
 
-def split_gain(labels: np.ndarray, below: np.ndarray) -> float:
+def split_gain(labels: np.ndarray, below: np.ndarray, n: np.ndarray | None = None) -> float:
     """How much a split lowers the entropy of the labels."""
-    f = float(below.mean())
-    return entropy(labels) - f * (entropy(labels[below]) if below.any() else 0) - (1 - f) * (entropy(labels[~below]) if (~below).any() else 0)
+    n = np.ones(len(labels)) if n is None else n
+    f = float(np.average(below, weights=n))
+    return entropy(labels, n) - f * (entropy(labels[below], n[below]) if below.any() else 0) - (1 - f) * (entropy(labels[~below], n[~below]) if (~below).any() else 0)
 
 
-def gain_ratio(labels: np.ndarray, below: np.ndarray) -> float:
+def gain_ratio(labels: np.ndarray, below: np.ndarray, n: np.ndarray | None = None) -> float:
     """The gain over the entropy of the split itself; 0 where nothing is split off."""
-    own = entropy(below.astype(int))
-    return split_gain(labels, below) / own if own > 0 else 0.0
+    own = entropy(below.astype(int), n)
+    return split_gain(labels, below, n) / own if own > 0 else 0.0
 
 
 def grow(coords: np.ndarray, p: int, how: str = "iterative", labels: np.ndarray | None = None, seed: int = 7, measure: str = "ratio") -> Tree:

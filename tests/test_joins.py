@@ -377,3 +377,11 @@ def oracle(spark, sf_dir):
     return check
 
 
+
+
+def test_label_measures_count_the_whole_table(spark, tmp_path):
+    n = 5000  # rows of the lowest ids, all alike; the rest differ
+    rows = spark.range(2 * n).selectExpr("id AS vec_id", f"CASE WHEN id < {n} THEN 'a' ELSE 'b' END AS label", f"array(CASE WHEN id < {n} THEN -1.0f ELSE 1.0f END) AS embedding")
+    rows.write.parquet(f"{tmp_path}/embeddings.parquet")
+    got = [queries.QUERIES[q](spark, str(tmp_path)).first()[0] for q in ("label_entropy", "split_gain", "gain_ratio")]
+    assert got == [round(math.log(2), 6), round(math.log(2), 6), 1.0]
