@@ -189,15 +189,15 @@ def cell_counts(df: DataFrame, cuts: dict[tuple[int, int, int], np.ndarray], obj
     return parts.groupBy("node", "dim", "candidate", "cell").agg(F.sum("n").alias("n"))
 
 
-def test_rows(df: DataFrame, id_col: str, sizes: dict[int, int], gof_rows: int, seed: int) -> DataFrame:
-    """About gof_rows rows of each node, by hash: with all rows of a large node every law is rejected."""
-    if all(n <= gof_rows for n in sizes.values()):
+def test_rows(df: DataFrame, id_col: str, sizes: dict[int, int], gof_rows: int | None, seed: int) -> DataFrame:
+    """About gof_rows rows of each node, by hash: with all rows of a large node every law is rejected. None: all rows."""
+    if gof_rows is None or all(n <= gof_rows for n in sizes.values()):
         return df
     share = F.create_map(*[F.lit(v) for k, n in sizes.items() for v in (k, min(1.0, gof_rows / n))])
     return df.where(portable_hash(F.col(id_col), seed + 101) < F.element_at(share, F.col("node")) * F.lit(MIX_P))
 
 
-def fit_nodes(df: DataFrame, id_col: str = "id", obj: str = "obj", families: Sequence[str] = ("normal", "exponential", "gamma"), model: str = "marginal", cells: int | None = None, gof_rows: int = 10_000, seed: int = 7, dof: str = "printed") -> list[NodeFit]:
+def fit_nodes(df: DataFrame, id_col: str = "id", obj: str = "obj", families: Sequence[str] = ("normal", "exponential", "gamma"), model: str = "marginal", cells: int | None = None, gof_rows: int | None = 10_000, seed: int = 7, dof: str = "printed") -> list[NodeFit]:
     """Fit and test the law of each node (column ``node``). Two passes; what comes to the driver is sums per node and dimension.
 
     model 'marginal': per dimension the family of the highest confidence, statistics and degrees
@@ -213,7 +213,7 @@ def fit_nodes(df: DataFrame, id_col: str = "id", obj: str = "obj", families: Seq
     cuts = {}
     for (k, d), fits in candidates.items():
         for c, f in enumerate(fits):
-            cuts[k, d, c] = make_cells(f, cells or cell_number(min(sizes[k], gof_rows), f.law.w))
+            cuts[k, d, c] = make_cells(f, cells or cell_number(min(sizes[k], gof_rows or sizes[k]), f.law.w))
     seen: dict[tuple[int, int, int], np.ndarray] = {key: np.zeros(len(at) + 1) for key, at in cuts.items()}
     for r in cell_counts(some, cuts, obj).collect():
         seen[r["node"], r["dim"], r["candidate"]][r["cell"]] = r["n"]

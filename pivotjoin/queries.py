@@ -245,7 +245,7 @@ def _(spark, sf_dir):
 
 
 def _value_fits(spark, sf_dir) -> list:
-    return fits.fit_nodes(_event_values(spark, sf_dir), families=("exponential", "normal", "gamma"))
+    return fits.fit_nodes(_event_values(spark, sf_dir), families=("exponential", "normal", "gamma"), gof_rows=None)
 
 
 @query("gof_confidence")

@@ -385,3 +385,13 @@ def test_label_measures_count_the_whole_table(spark, tmp_path):
     rows.write.parquet(f"{tmp_path}/embeddings.parquet")
     got = [queries.QUERIES[q](spark, str(tmp_path)).first()[0] for q in ("label_entropy", "split_gain", "gain_ratio")]
     assert got == [round(math.log(2), 6), round(math.log(2), 6), 1.0]
+
+
+def test_registered_fits_count_all_rows(spark, sf_dir, monkeypatch):
+    x = queries._event_values(spark, sf_dir)
+    many = x.crossJoin(spark.range(60).select()).withColumn("id", F.monotonically_increasing_id())
+    monkeypatch.setattr(queries, "_event_values", lambda spark, sf_dir: many)
+    seen, whole = [], fits.cell_counts
+    monkeypatch.setattr(fits, "cell_counts", lambda df, cuts, obj: (seen.append(df.count()), whole(df, cuts, obj))[1])
+    found = queries._value_fits(spark, sf_dir)
+    assert max(f.n for f in found) > 10_000 and seen == [sum(f.n for f in found)]
