@@ -32,12 +32,13 @@ def held_out(doc_id: Column) -> Column:
 def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> dict[str, bytes]:
     """Raw dictionaries by language, from documents that are not held out, in the order of a hash of the text; copies count once."""
     x = docs.where(docs[lang_col].isNotNull() & docs[text_col].isNotNull() & ~held_out(docs[id_col])).select(docs[lang_col].alias("lang"), docs[text_col].alias("text"))
-    sizes = {r["lang"]: r["n"] for r in x.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).limit(MOST_LANGUAGES + 1).collect()}
+    distinct = x.select("lang", F.xxhash64("text").alias("h")).distinct()
+    sizes = {r["lang"]: r["n"] for r in distinct.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).limit(MOST_LANGUAGES + 1).collect()}
     if len(sizes) > MOST_LANGUAGES:
         raise ValueError(f"more than {MOST_LANGUAGES} languages")
     if not sizes:
         return {}
-    # a share by hash that leaves about twice the documents wanted; copies fall to the same side
+    # a share by hash that leaves about twice the distinct texts wanted, and all where there are fewer
     share = F.create_map(*[F.lit(v) for lang, n in sizes.items() for v in (lang, min(1.0, 2 * FIT_DOCS / n))])
     place = F.pmod(F.xxhash64("text"), F.lit(1 << 30)) / F.lit(float(1 << 30))
     some = x.where(place < F.element_at(share, F.col("lang"))).select("lang", F.substring("text", 1, FIT_CHARS).alias("text"), place.alias("place"))

@@ -468,3 +468,9 @@ def test_gapless_rank(spark):
 def test_small_checks_the_count(spark):
     assert "broadcast" in common.small(spark.range(5), 10)._jdf.queryExecution().toString().lower()
     assert "broadcast" not in common.small(spark.range(50), 10)._jdf.queryExecution().analyzed().toString().lower()
+
+
+def test_languages_of_many_copies_are_learned(spark):
+    rows = spark.range(80_000).selectExpr("id AS doc_id", "concat('text number ', repeat(char(97 + id % 8), 1 + id % 8)) AS text", "'en' AS lang")
+    found = langid.fit(rows)
+    assert found["en"].count(b"text number") == 8
