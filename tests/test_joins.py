@@ -395,3 +395,14 @@ def test_registered_fits_count_all_rows(spark, sf_dir, monkeypatch):
     monkeypatch.setattr(fits, "cell_counts", lambda df, cuts, obj: (seen.append(df.count()), whole(df, cuts, obj))[1])
     found = queries._value_fits(spark, sf_dir)
     assert max(f.n for f in found) > 10_000 and seen == [sum(f.n for f in found)]
+
+
+def test_components_by_rounds_and_in_one_task(spark):
+    import random
+
+    g = random.Random(1)
+    links = [(g.randrange(300), g.randrange(300)) for _ in range(200)] + [(1000 + i, 1000 + i // 2) for i in range(1, 200)] + [(5000, i) for i in range(5001, 5100)]
+    e = spark.createDataFrame(links, "id_x long, id_y long")
+    found = {tuple(r) for r in connected_components(e).collect()}
+    assert found == {tuple(r) for r in connected_components(e, local_links=0, most_links=len(links)).collect()}
+    assert {c for i, c in found if 1000 <= i < 1200} == {1000} and {c for i, c in found if i >= 5000} == {5000}
