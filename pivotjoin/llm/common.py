@@ -2,14 +2,21 @@
 
 from __future__ import annotations
 
+import ctypes
+import functools
+from collections.abc import Callable, Iterator
+
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.window import Window
 
-from ..operators.tables import materialize, shared_dir
+from ..operators.tables import discard, materialize, remove, shared_dir
+
+__all__ = ["BROADCAST_ROWS", "WORD", "discard", "field", "gapless_rank", "hash32", "materialize", "remove", "shared_dir", "small", "table", "tidy", "word_count"]
 
-__all__ = ["BROADCAST_ROWS", "WORD", "field", "gapless_rank", "hash32", "materialize", "shared_dir", "small", "table", "word_count"]
+Batches = Iterator[pa.RecordBatch]
 
 #: ASCII white space; everything else belongs to a word.
 WORD = r"[^\x20\x09-\x0D]+"
@@ -56,3 +63,19 @@ def gapless_rank(df: DataFrame, key: str, order: list[Column], out: str, low_bit
 
 def field(name: str, kind: str, nullable: bool = True) -> T.StructField:
     return T.StructField(name, T._parse_datatype_string(kind), nullable)
+
+
+def tidy(run: Callable[[Batches], Batches]) -> Callable[[Batches], Batches]:
+    """The same function of batches, which gives freed memory back to the system when its task ends: workers outlive tasks."""
+
+    @functools.wraps(run)
+    def tidied(batches):
+        try:
+            yield from run(batches)
+        finally:
+            pa.default_memory_pool().release_unused()
+            trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # GNU's C library has it
+            if trim:
+                trim(0)
+
+    return tidied

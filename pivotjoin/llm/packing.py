@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
+import json
 import re
 import zlib
 from array import array
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -13,7 +14,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from .common import gapless_rank, materialize
+from .common import gapless_rank, materialize, tidy
 
 CAPACITY = 4096
 #: The vocabulary file, and the id that ends a document.
@@ -22,8 +23,10 @@ VOCABULARY, END_ID = "word_bpe_49k.json", 2
 SMALLEST_CUT = 128
 #: Share of its place that a piece may leave empty instead of being cut.
 SLACK = 1 / 64
-#: Words whose ids a worker keeps, in each of two generations.
-KEPT_WORDS = 800_000
+#: Bytes that the words and ids kept by a task may take, in each of two generations; longer words are not kept.
+KEPT_BYTES, LONGEST_KEPT = 32 << 20, 256
+#: What a kept word takes beside its own bytes and those of its ids.
+ENTRY_BYTES = 120
 SALT_BITS = 6
 
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, class int, salt int"
@@ -56,72 +59,115 @@ SIGN_BYTES = frozenset(SIGNS)
 SIMPLE = re.compile(rb"(?<![^ ])(?:[A-Za-z]|\xc3[\x80-\x96\x98-\xb6\xb8-\xbf])+[" + re.escape(SIGNS) + rb"]*(?![^ ])")
 
 TAIL = re.compile(rb"(?<=[A-Za-z\x80-\xbf])[" + re.escape(SIGNS) + rb"]+")
+#: Bytes that byte-level vocabularies show as themselves; the others are shown by the letters from 256 on.
 _SHOWN = [*range(33, 127), *range(161, 173), *range(174, 256)]
-#: The letters that stand for bytes in byte-level vocabularies: shown characters for themselves, the others from 256 on. Blanks stay.
-BYTE_LETTERS = {b: chr(256 + i) for i, b in enumerate(b for b in range(256) if b not in _SHOWN) if b != 32}
+LETTER_BYTES = {chr(b): b for b in _SHOWN} | {chr(256 + i): b for i, b in enumerate(b for b in range(256) if b not in _SHOWN)}
+#: Ends a part of a word in the texts of ``merger``; no word holds it, since it is white space.
+END = b"\n"
+
+
+def merger(model: dict):
+    """An encoder of the same merges over ranks of byte strings, or None where the vocabulary does not number its tokens in the order of its merges."""
+    import tiktoken
+
+    vocab, suffix = model["vocab"], model.get("end_of_word_suffix") or ""
+    made = [vocab.get("".join(m if isinstance(m, list) else m.split(" "))) for m in model["merges"]]
+    first = len(vocab) - len(made)
+    if not suffix or made != list(range(first, len(vocab))) or any(model.get(k) for k in ("dropout", "continuing_subword_prefix", "byte_fallback", "ignore_merges")):
+        return None
+    ranks: dict[bytes, int] = {}
+    for token, i in vocab.items():
+        ends = token.endswith(suffix) and token != suffix
+        letters = token[: -len(suffix)] if ends else token
+        if not all(c in LETTER_BYTES for c in letters):
+            return None
+        raw = bytes(LETTER_BYTES[c] for c in letters)
+        if END in raw:
+            continue  # white space, in no word
+        if ranks.setdefault(raw + END * ends, i) != i:
+            return None
+    if any(bytes([b]) not in ranks or bytes([b]) + END not in ranks for b in range(256) if b != END[0]):
+        return None
+    ranks[END] = len(vocab)  # no result: it joins the byte before it first
+    return tiktoken.Encoding("words", pat_str=r"[^\n]+\n", mergeable_ranks=ranks, special_tokens={})
 
 
 class Words:
-    """Ids of texts, word by word: no token of this vocabulary reaches over white space, so a word's ids are kept.
+    """Ids of texts, word by word: no token of this vocabulary reaches over white space, so a word's ids can be kept.
 
-    Two generations of KEPT_WORDS are kept: when the young one is full it becomes the old one, and
-    words that occur again move over. A worker keeps them from task to task.
+    Two generations of KEPT_BYTES are kept: when the young one is full it becomes the old one, and
+    words that occur again move over. ``forget`` drops both; a task does so at its end.
     """
 
     def __init__(self, path: str):
-        from tokenizers import Tokenizer, pre_tokenizers
-
-        self.tokenizer, self.young, self.old = Tokenizer.from_file(path), {}, {}
-        self.simple = Tokenizer(self.tokenizer.model)
-        self.simple.pre_tokenizer = pre_tokenizers.WhitespaceSplit()
-        self.closing = np.zeros(self.tokenizer.get_vocab_size(), bool)
-        self.closing[[i for t, i in self.tokenizer.get_vocab().items() if t.endswith("</w>")]] = True
-
-    def learn(self, words: set[bytes]) -> None:
-        new = words - self.young.keys()
-        if len(self.young) + len(new) > KEPT_WORDS:
-            self.young, self.old = {}, self.young
-            new = words
-        again = new & self.old.keys()
-        self.young.update(zip(again, map(self.old.__getitem__, again), strict=True))
-        new -= again
-        simple = SIMPLE.findall(b" ".join(new))
-        self.encode_each(list(new.difference(simple)))
+        from tokenizers import Tokenizer
+
+        with open(path, encoding="utf-8") as f:
+            model = json.load(f)["model"]
+        self.tokenizer, self.merger = Tokenizer.from_file(path), merger(model)
+        self.closing = np.zeros(len(model["vocab"]) + 1, bool)
+        self.closing[[i for t, i in model["vocab"].items() if t.endswith("</w>")]] = True
+        self.forget()
+
+    def forget(self) -> None:
+        self.young, self.old, self.size = {}, {}, 0
+
+    def learned(self, words: set[bytes]) -> dict[bytes, bytes]:
+        """Ids of words."""
+        simple = SIMPLE.findall(b" ".join(words)) if self.merger else []
+        found = self.encode_each(list(words.difference(simple)))
         for at in range(0, len(simple), 4096):
-            self.encode_joined(simple[at : at + 4096])
+            found |= self.encode_joined(simple[at : at + 4096])
+        return found
 
-    def encode_each(self, words: list[bytes]) -> None:
+    def encode_each(self, words: list[bytes]) -> dict[bytes, bytes]:
+        found = {}
         for at in range(0, len(words), 4096):
             part = words[at : at + 4096]
-            found = self.tokenizer.encode_batch_fast([w.decode() for w in part], add_special_tokens=False)
-            self.young.update((w, array("I", e.ids).tobytes()) for w, e in zip(part, found, strict=True))
+            made = self.tokenizer.encode_batch_fast([w.decode() for w in part], add_special_tokens=False)
+            found.update((w, array("I", e.ids).tobytes()) for w, e in zip(part, made, strict=True))
+        return found
 
-    def encode_joined(self, words: list[bytes]) -> None:
+    def encode_joined(self, words: list[bytes]) -> dict[bytes, bytes]:
         """Words of SIMPLE as one text, through the same merges without the slower patterns.
 
         Their letters are one part and the signs behind them another, and each part ends with the
-        one token that closes it.
+        one token that closes it. Where the closing tokens are not as many as the parts, the whole
+        tokenizer is asked.
         """
-        text = TAIL.sub(rb" \g<0>", b" ".join(words)).decode().lower().encode().decode("latin-1").translate(BYTE_LETTERS)
-        ids = np.array(self.simple.encode_batch_fast([text], add_special_tokens=False)[0].ids, "<u4")
+        parts = TAIL.sub(END + rb"\g<0>", END.join(words) + END).decode().lower()
+        ids = self.merger.encode_to_numpy(parts, disallowed_special=()).astype("<u4")
         closings = np.flatnonzero(self.closing[ids]) + 1
         ends = np.cumsum([1 if w[-1] not in SIGN_BYTES else 2 for w in words])
+        if len(closings) != ends[-1] or closings[-1] != len(ids):
+            return self.encode_each(words)
         data, ends = ids.tobytes(), (closings[ends - 1] * 4).tolist()
-        self.young.update(zip(words, [data[a:b] for a, b in zip([0, *ends[:-1]], ends, strict=True)], strict=True))
+        return dict(zip(words, [data[a:b] for a, b in zip([0, *ends[:-1]], ends, strict=True)], strict=True))
 
     def ids(self, texts: list[bytes]) -> list[bytes]:
         """Little-endian unsigned 32-bit ids of each text."""
         split = [t.split() for t in texts]
-        self.learn(set().union(*split))
-        get = self.young.__getitem__
-        return [b"".join(map(get, words)) for words in split]
+        new = set().union(*split) - self.young.keys()
+        again = new & self.old.keys()
+        found = dict(zip(again, map(self.old.__getitem__, again), strict=True))
+        found |= self.learned(new - again)
+        self.young |= found
+        out = [b"".join(map(self.young.__getitem__, words)) for words in split]
+        for w, i in found.items():
+            if len(w) > LONGEST_KEPT:
+                del self.young[w]
+            else:
+                self.size += ENTRY_BYTES + len(w) + len(i)
+        if self.size > KEPT_BYTES:
+            self.young, self.old, self.size = {}, self.young, 0
+        return out
 
 
 _WORDS: dict[str, Words] = {}
 
 
 def words_of(path: str) -> Words:
-    """The worker's own, kept from task to task. (A task's function travels by value, with copies of the globals it names; this one is found by name.)"""
+    """The worker's own tokenizer, kept from task to task; its words are not. (A task's function travels by value, with copies of the globals it names; this one is found by name.)"""
     if path not in _WORDS:
         _WORDS[path] = Words(path)
     return _WORDS[path]
@@ -131,7 +177,7 @@ def words_of(path: str) -> Words:
 TOGETHER = 1 << 21
 
 
-def together(texts: list[bytes]) -> Iterator[list[bytes]]:
+def together(texts: Iterable[bytes]) -> Iterator[list[bytes]]:
     part, size = [], 0
     for t in texts:
         part.append(t)
@@ -149,20 +195,23 @@ def tokenized_pieces(docs: DataFrame, path: str, id_col: str = "doc_id", text_co
 
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         words, end, seen = words_of(path), np.array([END_ID], "<u4").tobytes(), 0
-        for b in batches:
-            rows = []
-            texts = [t.as_py() or b"" for t in b.column(1).cast(pa.binary())]
-            found = (ids for part in together(texts) for ids in words.ids(part))
-            for doc, ids in zip(b.column(0).to_pylist(), found, strict=True):
-                ids, start, seen = ids + end, 0, seen + 1
-                for length, k in cut(len(ids) // 4):
-                    rows.append((doc, start, length, zlib.crc32(ids[4 * start : 4 * (start + length)]), len(ids) // 4, k, (zlib.crc32(b"%d" % (doc or 0)) + start + seen * (doc is None)) % (1 << SALT_BITS)))
-                    start += length
-            if rows:
-                kinds = [pa.int64()] * 5 + [pa.int32()] * 2
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), kinds, strict=True)], ["doc_id", "start", "length", "ids_crc32", "doc_tokens", "class", "salt"])
-
-    return docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].alias("text")).mapInArrow(run, PIECES)
+        try:
+            for b in batches:
+                rows = []
+                texts = (t.as_py() or b"" for t in b.column(1).cast(pa.binary()))
+                found = (ids for part in together(texts) for ids in words.ids(part))
+                for doc, ids in zip(b.column(0).to_pylist(), found, strict=True):
+                    ids, start, seen = ids + end, 0, seen + 1
+                    for length, k in cut(len(ids) // 4):
+                        rows.append((doc, start, length, zlib.crc32(ids[4 * start : 4 * (start + length)]), len(ids) // 4, k, (zlib.crc32(b"%d" % (doc or 0)) + start + seen * (doc is None)) % (1 << SALT_BITS)))
+                        start += length
+                if rows:
+                    kinds = [pa.int64()] * 5 + [pa.int32()] * 2
+                    yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), kinds, strict=True)], ["doc_id", "start", "length", "ids_crc32", "doc_tokens", "class", "salt"])
+        finally:
+            words.forget()
+
+    return docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].alias("text")).mapInArrow(tidy(run), PIECES)
 
 
 def packed(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
