@@ -10,9 +10,8 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
-from .common import materialize
+from .common import discard, materialize, small, tidy
 from .graph import components
 
 SHINGLE, SEED, DISTANCE = 3, 42, 3
@@ -54,7 +53,7 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(found)], ["doc_id", "fp"])
 
     light = docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].alias("text"))
-    return light.mapInArrow(run, "doc_id long, fp long")
+    return light.mapInArrow(tidy(run), "doc_id long, fp long")
 
 
 def links(fps: np.ndarray, other: np.ndarray | None = None) -> list[tuple[int, int]]:
@@ -102,39 +101,41 @@ def sorted_groups(batches: Iterator[pa.RecordBatch], n_keys: int) -> Iterator[np
         yield held
 
 
-def near_links(distinct: DataFrame, block: int = BLOCK) -> DataFrame:
+def near_links(distinct: DataFrame, block: int = BLOCK, rows: int | None = None) -> DataFrame:
     """(fp) distinct -> (u, v): links that connect what lies within DISTANCE bits, directly or through others.
 
     Postings: each fingerprint under eight triples of positional bytes. A pair that shares the
     guaranteed five bytes meets in one of them. A posting list is compared in one task as long as
     it has ``block`` rows; a longer one is dealt into blocks, and each pair of blocks goes to a task
-    of its own. A task returns a forest, never all pairs of its list.
+    of its own. A task returns a forest, never all pairs of its list. ``rows``: a bound of the rows of ``distinct``, if known.
     """
 
     def byte(p: int) -> Column:
         return F.shiftrightunsigned("fp", 8 * p).bitwiseAND(F.lit(255))
 
-    keys = [F.struct(F.lit(i).alias("triple"), sum((byte(p) * F.lit(1 << 8 * j) for j, p in enumerate(t)), F.lit(0)).cast("long").alias("bytes")) for i, t in enumerate(TRIPLES)]
-    posted = distinct.select("fp", F.explode(F.array(*keys)).alias("k")).select("k.triple", "k.bytes", "fp")
-    posted = posted.withColumn("n", F.count(F.lit(1)).over(Window.partitionBy("triple", "bytes"))).where("n > 1")
+    keys = [sum((byte(p) * F.lit(1 << 8 * j) for j, p in enumerate(t)), F.lit(i << 24)).cast("long") for i, t in enumerate(TRIPLES)]
+    posted = distinct.select("fp", F.explode(F.array(*keys)).alias("key"))
+    # written, so that a hot list is split in the join, as it is in the count
+    lists = materialize(posted.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1"), rows and len(TRIPLES) * rows)
+    posted = posted.join(lists, "key")
     parts = F.ceil(F.col("n") / block).cast("int")
     own = F.pmod(F.xxhash64("fp"), parts).cast("int")
     posted = posted.withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), parts - 1)))
-    posted = posted.select("triple", "bytes", F.least("own", "other").alias("a"), F.greatest("own", "other").alias("b"), "own", "fp")
+    posted = posted.select("key", F.least("own", "other").alias("a"), F.greatest("own", "other").alias("b"), "own", "fp")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for g in sorted_groups(batches, 4):
-            fps = np.ascontiguousarray(g[:, 5]).view(np.uint64)
-            left = g[:, 4] == g[0, 2]
-            both = g[0, 2] == g[0, 3]
+        for g in sorted_groups(batches, 3):
+            fps = np.ascontiguousarray(g[:, 4]).view(np.uint64)
+            left = g[:, 3] == g[0, 1]
+            both = g[0, 1] == g[0, 2]
             x = fps if both else np.concatenate([fps[left], fps[~left]])
             found = links(fps) if both else links(fps[left], fps[~left])
             if found:
                 i, j = np.array(found).T
                 yield pa.RecordBatch.from_arrays([pa.array(x[i].view(np.int64)), pa.array(x[j].view(np.int64))], ["u", "v"])
 
-    dealt = posted.repartition("triple", "bytes", "a", "b").sortWithinPartitions("triple", "bytes", "a", "b")
-    return dealt.mapInArrow(run, "u long, v long")
+    dealt = posted.repartition("key", "a", "b").sortWithinPartitions("key", "a", "b")
+    return dealt.mapInArrow(tidy(run), "u long, v long")
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", block: int = BLOCK) -> DataFrame:
@@ -143,25 +144,26 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     Equal fingerprints are one node, so copies make no pairs. Texts without words (null, empty,
     white space) have fingerprint zero and are linked like any other; a null id stands in no other
     document's component (the smallest id counts known ids only) and its row is returned too;
-    repeated rows share a component; an empty table gives no rows.
+    repeated rows share a component; texts of any length count whole; an empty table gives no rows.
     """
     prints = materialize(fingerprints(docs, id_col, text_col))
-    reps = materialize(prints.groupBy("fp").agg(F.min("doc_id").alias("least")))
-    roots = components(near_links(reps.select("fp"), block))
+    n = prints.count()
+    reps = materialize(prints.groupBy("fp").agg(F.min("doc_id").alias("least")), n)
+    # a list's forest has fewer links than rows
+    roots = components(near_links(reps.select("fp"), block, n), len(TRIPLES) * n)
     nodes = roots.join(reps, F.col("node") == F.col("fp")).select("fp", "root", "least")
     tops = nodes.groupBy("root").agg(F.min("least").alias("component_id"))
-    nodes = materialize(nodes.join(tops, "root").select("fp", "component_id"))
-    classes = reps.join(nodes, "fp", "left").select("fp", F.coalesce("component_id", "least").alias("component_id"))
-    return prints.join(materialize(classes), "fp").select("doc_id", "fp", "component_id")
+    nodes = materialize(nodes.join(tops, "root").select("fp", "component_id"), n)
+    classes = materialize(reps.join(nodes, "fp", "left").select("fp", F.coalesce("component_id", "least").alias("component_id")), n)
+    discard(reps, nodes)
+    return prints.join(classes, "fp").select("doc_id", "fp", "component_id")
 
 
 def drop_near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", find: Callable[..., DataFrame] = near_duplicates) -> DataFrame:
     """One document of each group that ``find`` makes stays, that with the smallest id; rows without an id stay."""
-    from .common import small
-
     found = materialize(find(docs, id_col, text_col))
     gone = found.where("doc_id <> component_id").select(F.col("doc_id").alias("_gone")).distinct()
-    kept = docs.join(small(gone, 2_000_000), docs[id_col] == F.col("_gone"), "left_anti")
+    kept = docs.join(small(gone), docs[id_col] == F.col("_gone"), "left_anti")
     again = materialize(found.where("doc_id = component_id").groupBy(F.col("doc_id").alias("_again")).count().where("count > 1").select("_again"))
     if not again.limit(1).count():
         return kept
