@@ -13,7 +13,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialize
+from .common import materialize, tidy
 
 #: Bound of the labelled rows that the lexicon is learned from, by label 1 and 0. All texts are used whole.
 FIT_ROWS = {1: 3000, 0: 9000}
@@ -181,14 +181,14 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
         for b in batches:
             yield pa.RecordBatch.from_arrays([pa.array([sorted(terms(t.as_py() or "")) for t in b.column(0)], pa.list_(pa.string()))], ["terms"])
 
-    common = toxic.select("text").mapInArrow(listed, "terms array<string>").select(F.explode("terms").alias("term")).groupBy("term").count().where(F.col("count") >= least)
+    common = toxic.select("text").mapInArrow(tidy(listed), "terms array<string>").select(F.explode("terms").alias("term")).groupBy("term").count().where(F.col("count") >= least)
     n_toxic = Counter({r["term"]: r["count"] for r in common.orderBy(F.desc("count"), "term").limit(MOST_TERMS).collect()})
 
     def known_terms(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             yield pa.RecordBatch.from_arrays([pa.array([sorted(n_toxic.keys() & terms(t.as_py() or "")) for t in b.column(0)], pa.list_(pa.string()))], ["terms"])
 
-    n_clean = clean.select("text").mapInArrow(known_terms, "terms array<string>").select(F.explode("terms").alias("term")).groupBy("term").count()
+    n_clean = clean.select("text").mapInArrow(tidy(known_terms), "terms array<string>").select(F.explode("terms").alias("term")).groupBy("term").count()
     n_clean = Counter({r["term"]: r["count"] for r in n_clean.collect()})  # at most MOST_TERMS rows
     rare = {t for t, n in n_toxic.items() if n_clean[t] <= MOST_CLEAN * n}
 
@@ -196,7 +196,7 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
         for b in batches:
             yield pa.RecordBatch.from_arrays([pa.array([sorted(rare & terms(t.as_py() or "")) for t in b.column(0)], pa.list_(pa.string()))], ["terms"])
 
-    found = [set(r["terms"]) for r in toxic.select("text").mapInArrow(rare_terms, "terms array<string>").collect()]  # bounded by FIT_ROWS
+    found = [set(r["terms"]) for r in toxic.select("text").mapInArrow(tidy(rare_terms), "terms array<string>").collect()]  # bounded by FIT_ROWS
     lexicon = Lexicon(select_terms(found, n_toxic, n_clean, n_clean_docs, least))
 
     def measured(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -205,7 +205,7 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
             f = np.array([lexicon.features(a, t.as_py() or "") for t in b.column(0)]).reshape(-1, 2)
             yield pa.RecordBatch.from_arrays([pa.array(f[:, 0]), pa.array(f[:, 1]), b.column(1)], ["w", "n", "toxic"])
 
-    seen = rows.select("text", "toxic").mapInArrow(measured, "w double, n double, toxic int").collect()  # three numbers a row, bounded by FIT_ROWS
+    seen = rows.select("text", "toxic").mapInArrow(tidy(measured), "w double, n double, toxic int").collect()  # three numbers a row, bounded by FIT_ROWS
     lexicon.curve = fit_curve(np.array([(r["w"], r["n"]) for r in seen]), np.array([float(r["toxic"]) for r in seen]))
     return lexicon
 
@@ -214,6 +214,7 @@ def scored(docs: DataFrame, lexicon: Lexicon, text_col: str = "text") -> DataFra
     """The documents' columns in _row, and score. Null and empty texts have no match and the score of such texts."""
 
     @F.arrow_udf("double")
+    @tidy
     def score(texts: Iterator[pa.Array]) -> Iterator[pa.Array]:
         a = lexicon.automaton()
         for part in texts:

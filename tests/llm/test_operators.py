@@ -474,3 +474,58 @@ def test_languages_of_many_copies_are_learned(spark):
     rows = spark.range(80_000).selectExpr("id AS doc_id", "concat('text number ', repeat(char(97 + id % 8), 1 + id % 8)) AS text", "'en' AS lang")
     found = langid.fit(rows)
     assert found["en"].count(b"text number") == 8
+
+
+# -- bounds ----------------------------------------------------------------------------------------
+def test_words_are_bounded(docs, monkeypatch):
+    w = packing.Words(packing.vocabulary())
+    texts = [(r["text"] or "").encode() for r in docs.collect()] + [b"x" * 5000, b"\xc3\xa9" * 3000 + b"."]
+    want = [np.array(e.ids, "<u4").tobytes() for e in w.tokenizer.encode_batch([t.decode() for t in texts], add_special_tokens=False)]
+    monkeypatch.setattr(packing, "KEPT_BYTES", 1 << 16)
+    most = 0
+    for at in range(0, len(texts), 5):
+        assert w.ids(texts[at : at + 5]) == want[at : at + 5]
+        assert w.size <= 1 << 16 and all(len(k) <= packing.LONGEST_KEPT for k in w.young)
+        most = max(most, len(w.old))
+    assert most
+    w.forget()
+    assert not w.young and not w.old and not w.size
+
+
+def test_words_without_closing_tokens_go_to_the_whole_tokenizer():
+    w = packing.Words(packing.vocabulary())
+    want = w.ids([b"some words, here."])
+    w.forget()
+    w.closing[:] = False
+    assert w.ids([b"some words, here."]) == want
+    w.forget()
+    w.merger = None
+    assert w.ids([b"some words, here."]) == want
+    assert packing.merger({"vocab": {"a": 1, "b": 0}, "merges": [], "end_of_word_suffix": "</w>"}) is None
+
+
+def test_signatures_never_differ_by_more_than_the_sets():
+    from pivotjoin.llm import word_shingles
+
+    g = np.random.default_rng(4)
+    for _ in range(200):
+        x, y = (np.unique(g.integers(0, 400, g.integers(1, 200), np.uint64)) for _ in range(2))
+        differ = sum(int(v).bit_count() for v in (word_shingles.signature(x) ^ word_shingles.signature(y)).view(np.uint64))
+        assert differ <= len(np.setxor1d(x, y))
+
+
+def test_close_pairs_miss_nothing(spark):
+    from pivotjoin.llm import word_shingles
+
+    g = np.random.default_rng(6)
+    common = g.integers(0, 1 << 62, 60)
+    sets = {}
+    for i in range(120):
+        base = g.integers(0, 1 << 62, 40) if i % 6 == 0 else list(sets.values())[i - i % 6][:40]
+        own = np.concatenate([common[: g.integers(0, 60)], np.array(base)[: g.integers(30, 41)], g.integers(0, 1 << 62, g.integers(0, 12))])
+        sets[i] = np.unique(own.astype(np.uint64)).view(np.int64)
+    table = spark.createDataFrame([(i, s.tolist(), word_shingles.signature(s.view(np.uint64)).tolist()) for i, s in sets.items()], "node long, items array<long>, bits array<long>")
+    nodes = spark.createDataFrame([(i, i % 50, len(s)) for i, s in sets.items()], "node long, root long, n long")
+    found = {tuple(r) for r in word_shingles.verified(word_shingles.close_pairs(table, nodes), table).collect()}
+    want = {(i, j) for i in sets for j in sets if i < j and i % 50 != j % 50 and 9 * len(np.intersect1d(sets[i], sets[j])) >= 4 * (len(sets[i]) + len(sets[j]))}
+    assert found == want and len(want) > 10
