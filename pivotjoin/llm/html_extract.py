@@ -12,12 +12,12 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialize, small
+from .common import materialize, small, tidy
 
 TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*>|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*+)>|<(/?)([a-zA-Z][^\s/>]*)([^>]*)>|<[/a-zA-Z][^>]*\Z", re.S)
 NAMED = re.compile(r"\b(?:class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", re.I)
 HIDDEN = re.compile(r"(?:^|\s)hidden(?:\s|=|$)|aria-hidden\s*=\s*[\"']?true|display\s*:\s*none|visibility\s*:\s*hidden", re.I)
-#: Elements by what they do.
+#: Elements by what they do, and names that tell it.
 RAW = {"script", "style", "textarea", "noscript", "template", "iframe", "svg", "math", "title", "noembed", "noframes", "xmp", "object", "canvas", "audio", "video"}
 VOID = {"area", "base", "br", "col", "embed", "hr", "img", "input", "link", "meta", "param", "source", "track", "wbr"}
 BLOCKS = {
@@ -26,10 +26,11 @@ BLOCKS = {
 }
 SPACED = {"br", "td", "th", "img", "wbr"}
 CHROME_TAGS = {"nav", "footer", "aside", "form", "menu", "dialog", "button", "select", "option", "datalist", "head", "fieldset", "label", "search", "marquee"}
+READER_ROLES = {"comment", "comments", "discussion", "disqus", "replies", "reply", "respond", "responses"}
 CHROME_ROLES = {
-    "ad", "ads", "advert", "advertisement", "adverts", "advertising", "adsense", "banner", "billboard", "breadcrumb", "breadcrumbs", "byline-share", "captcha", "comment", "comments", "complementary", "consent", "contentinfo", "cookie", "cookies",
-    "copyright", "disclaimer", "discussion", "disqus", "feedback", "footer", "gdpr", "header", "login", "masthead", "menu", "menubar", "modal", "nav", "navbar", "navigation", "newsletter", "notice", "notices", "notification", "pager",
-    "pagination", "popup", "promo", "promoted", "promotion", "recommended", "related", "replies", "reply", "respond", "responses", "search", "share", "sharing", "sidebar", "signup", "skip", "social", "sponsor", "sponsored", "subscribe",
+    "ad", "ads", "advert", "advertisement", "adverts", "advertising", "adsense", "banner", "billboard", "breadcrumb", "breadcrumbs", "byline-share", "captcha", "complementary", "consent", "contentinfo", "cookie", "cookies",
+    "copyright", "disclaimer", "feedback", "footer", "gdpr", "header", "login", "masthead", "menu", "menubar", "modal", "nav", "navbar", "navigation", "newsletter", "notice", "notices", "notification", "pager",
+    "pagination", "popup", "promo", "promoted", "promotion", "recommended", "related", "search", "share", "sharing", "sidebar", "signup", "skip", "social", "sponsor", "sponsored", "subscribe",
     "subscription", "tags", "toolbar", "topbar", "trending", "warning", "alert", "widget", "widgets",
 }
 CONTENT_TAGS = {"article", "main"}
@@ -41,36 +42,40 @@ SCOPES = {"ul", "ol", "dl", "table", "article", "main", "section", "div", "body"
 DEPTH = 10
 #: How much of an element's importance comes from below it.
 BELOW = 0.9
-#: Branches of lower importance go, where at least so many pages of the site have them.
+#: Branches of lower importance go wherever they are, where at least so many pages of the site have them.
 LEAST_IMPORTANCE, LEAST_PAGES = 0.2, 8
+#: What names call a frame, or what is outside of the article, goes below this importance; in a place of fewer pages the names decide.
+FRAME_IMPORTANCE, FRAME_PAGES = 0.97, 50
 #: Counts that a worker gathers before it passes them on.
 HELD = 200_000
 
 
 class Block:
-    """Text between two block boundaries: its place in the style tree (hashes of the elements it is in), what the names of these elements say, and how many of them lead to the article it is in."""
+    """Text between two block boundaries: its place in the style tree (hashes of the elements it is in), whether it is no content by what its elements are (chrome) or are called (frame), and whether it is in an article."""
 
-    __slots__ = ("chrome", "content", "nodes", "parts", "within")
+    __slots__ = ("chrome", "content", "frame", "nodes", "parts", "within")
 
-    def __init__(self, nodes: tuple[int, ...], chrome: bool, content: bool, within: int):
-        self.nodes, self.chrome, self.content, self.within, self.parts = nodes, chrome, content, within, []
+    def __init__(self, nodes: tuple[int, ...], chrome: bool, frame: bool, content: bool, within: int):
+        self.nodes, self.chrome, self.frame, self.content, self.within, self.parts = nodes, chrome, frame, content, within, []
 
     def text(self) -> str:
         return " ".join(unescape("".join(self.parts)).split())
 
 
-def _role(tag: str, attrs: str, inside: bool) -> tuple[str, bool]:
-    """Style of an element and whether its name says it is no content."""
+def _role(tag: str, attrs: str, inside: bool) -> tuple[str, bool, bool]:
+    """Style of an element, whether it is no content by its tag, and whether its name says so: a whole name inside an article, a part of one outside."""
     names = sorted({re.sub(r"\d+", "0", w) for m in NAMED.finditer(attrs) for w in (m[1] or m[2] or m[3] or "").lower().split()}) if attrs else []
-    words = {w for n in names for w in (n, *re.split(r"[-_]+", n))}
-    chrome = tag in CHROME_TAGS or tag == "header" and not inside or bool(words & CHROME_ROLES) and tag not in ("body", "html", "main") or bool(attrs and HIDDEN.search(attrs))
-    return tag + "".join("." + n for n in names), chrome
+    parts = {w for n in names for w in (n, *re.split(r"[-_]+", n))}
+    chrome = tag in CHROME_TAGS or tag == "header" and not inside or bool(parts & READER_ROLES and tag not in ("body", "html", "main")) or bool(attrs and HIDDEN.search(attrs))
+    frame = bool((set(names) if inside else parts) & CHROME_ROLES) and tag not in ("body", "html", "main")
+    return tag + "".join("." + n for n in names), chrome, frame
 
 
 def blocks(html: str) -> list[Block]:
     """Blocks of a page in order. Broken markup is read the way browsers do, as far as it matters here."""
     out: list[Block] = []
-    stack: list[tuple[str, tuple[int, ...], bool, bool, int]] = [("", (), False, False, 0)]
+    # tag, place, no content by tag, by name, in an article, how many elements lead to it
+    stack: list[tuple[str, tuple[int, ...], bool, bool, bool, int]] = [("", (), False, False, False, 0)]
     current, at, skip = None, 0, None
 
     def put(text: str, fresh: bool = False) -> None:
@@ -78,8 +83,7 @@ def blocks(html: str) -> list[Block]:
         if current is None:
             if not text.strip():
                 return
-            _, nodes, chrome, content, within = stack[-1]
-            current = Block(nodes, chrome, content, within)
+            current = Block(*stack[-1][1:])
             out.append(current)
         current.parts.append(text)
 
@@ -110,7 +114,7 @@ def blocks(html: str) -> list[Block]:
         if closing:
             for i in range(len(stack) - 1, 0, -1):
                 if stack[i][0] == tag:
-                    if current is not None and stack[i][2] != stack[i - 1][2]:
+                    if current is not None and stack[i][2:4] != stack[i - 1][2:4]:
                         current = None
                     del stack[i:]
                     break
@@ -118,8 +122,8 @@ def blocks(html: str) -> list[Block]:
                     break
             continue
         block = tag in BLOCKS
-        style, chrome = _role(tag, attrs, stack[-1][3]) if attrs or block or tag in CHROME_TAGS else (tag, False)
-        if not block and not chrome:
+        style, chrome, frame = _role(tag, attrs, stack[-1][4]) if attrs or block or tag in CHROME_TAGS else (tag, False, False)
+        if not block and not chrome and not frame:
             continue  # inline markup has no place in the tree
         if block and stack[-1][0] == "p":
             stack.pop()
@@ -129,12 +133,13 @@ def blocks(html: str) -> list[Block]:
                 break
             if stack[i][0] in SCOPES:
                 break
-        if chrome and not stack[-1][2]:
+        if chrome and not stack[-1][2] or frame and not stack[-1][3]:
             current = None
-        _, nodes, over, content, within = stack[-1]
+        _, nodes, over, named, content, within = stack[-1]
         if len(nodes) < DEPTH:
             nodes = (*nodes, xxhash.xxh64_intdigest(style, nodes[-1] & (1 << 63) - 1 if nodes else 0) - (1 << 63))
-        stack.append((tag, nodes, over or chrome, (content or tag in CONTENT_TAGS) and not chrome, len(nodes) if tag in CONTENT_TAGS else within))
+        opens = tag in CONTENT_TAGS
+        stack.append((tag, nodes, over or chrome, named or frame, (content or opens) and not chrome, len(nodes) if opens else within))
     if at < len(html):
         put(html[at:])
     return out
@@ -191,7 +196,7 @@ def site_tree(pages: DataFrame, url_col: str = "url", html_col: str = "html") ->
         if held:
             yield flush()
 
-    counts = pages.select(host_of(pages[url_col]).alias("host"), pages[html_col].alias("html")).mapInArrow(run, "host string, place array<long>, kind int, value long, n long")
+    counts = pages.select(host_of(pages[url_col]).alias("host"), pages[html_col].alias("html")).mapInArrow(tidy(run), "host string, place array<long>, kind int, value long, n long")
     counts = counts.groupBy("host", "place", "kind", "value").agg(F.sum("n").alias("n"))
     nodes = counts.groupBy("host", "place").agg(
         F.sum(F.when(F.col("kind") == 0, F.col("n"))).alias("m"), F.sum(F.when(F.col("kind") == 1, F.col("n") * F.log("n"))).alias("made"), F.sum(F.when(F.col("kind") == 1, F.col("n"))).alias("with"),
@@ -207,20 +212,33 @@ def site_tree(pages: DataFrame, url_col: str = "url", html_col: str = "html") ->
     return up.groupBy("host", "node").agg(F.max(here).alias("pages"), (F.sum(weight * F.col("own")) / F.sum(weight)).alias("importance"))
 
 
-def main_text(html: str, low: frozenset | set = frozenset()) -> str:
-    """Main text of a page; low: nodes of its site's tree that are to go.
+def decisions(tree: DataFrame) -> DataFrame:
+    """(host, low, text): places of each host, by hash, that go because all pages are alike there, and that are text because hardly any two are."""
+    low = (F.col("importance") < LEAST_IMPORTANCE) & (F.col("pages") >= LEAST_PAGES)
+    text = (F.col("importance") >= FRAME_IMPORTANCE) & (F.col("pages") >= FRAME_PAGES)
+    kept = lambda c: F.collect_set(F.when(c, F.col("node")))
+    return tree.where(low | text).groupBy("host").agg(kept(low).alias("low"), kept(text).alias("text"))
 
-    Names come first: what is called a menu, footer, advert and so on goes, and so does what is
-    outside of an article or main element if there is one. The tree decides on the rest: the
-    branches of low importance go, in an article those below it. An article that is low
-    throughout stays, since then the site's pages are copies and nothing tells text from frame.
+
+def main_text(html: str, low: frozenset | set = frozenset(), text: frozenset | set = frozenset()) -> str:
+    """Main text of a page; low, text: places of its site's tree (see ``decisions``).
+
+    What elements are comes first: menus, footers, forms, reader comments and so on go. The rest
+    is in an article, or may be a frame: called one (an advert, a notice), or outside of the article
+    where a page has one. The tree decides on frames: those whose texts are each page's own stay,
+    those that the site repeats go, and so do those that too few pages have to tell. Branches of
+    low importance go everywhere, in an article those below it. An article that is low throughout
+    stays, since then the site's pages are copies and nothing tells text from frame.
     """
     found = [b for b in blocks(html) if not b.chrome]
-    inside = [b for b in found if b.content]
+    article = any(b.content for b in found)
+    kept = [b for b in found if not (b.frame or article and not b.content) or b.nodes and b.nodes[-1] in text]
+    inside = [b for b in kept if b.content]
     if inside:
-        kept = [b for b in inside if not low.intersection(b.nodes[b.within :])] or inside
+        high = [b for b in kept if not low.intersection(b.nodes[b.within :] if b.content else b.nodes)]
+        kept = high if any(b.content for b in high) else inside
     else:
-        kept = [b for b in found if not low.intersection(b.nodes)]
+        kept = [b for b in kept if not low.intersection(b.nodes)]
     return "\n".join(t for b in kept if (t := b.text()))
 
 
@@ -228,20 +246,20 @@ def extract(pages: DataFrame, url_col: str = "url", html_col: str = "html", id_c
     """(page_id, url, text, n_chars) of whole pages.
 
     Null and empty html have the empty text; a null or odd address has the host ''; repeated rows
-    count as pages of their own; an empty table gives no rows.
+    count as pages of their own; pages of any length are read whole; an empty table gives no rows.
     """
     tree = materialize(site_tree(pages, url_col, html_col))
-    low = tree.where((F.col("importance") < LEAST_IMPORTANCE) & (F.col("pages") >= LEAST_PAGES))
-    # a site has at most as many nodes in the tree as its templates have elements, and only the unimportant ones are kept here
-    low = small(materialize(low.groupBy("host").agg(F.collect_set("node").alias("low"))), 50_000)
-    x = pages.select(pages[id_col].cast("long").alias("page_id"), pages[url_col].alias("url"), pages[html_col].alias("html"), host_of(pages[url_col]).alias("host")).join(low, "host", "left")
+    # a site has at most as many places as its templates have elements, and only those of many pages are kept here
+    sets = small(materialize(decisions(tree)), 50_000)
+    x = pages.select(pages[id_col].cast("long").alias("page_id"), pages[url_col].alias("url"), pages[html_col].alias("html"), host_of(pages[url_col]).alias("host")).join(sets, "host", "left")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            texts = [main_text(h.as_py() or "", frozenset(w or ())) for h, w in zip(b.column(2), b.column(3).to_pylist(), strict=True)]
+            places = zip(*(c.to_pylist() for c in b.columns[3:]), strict=True)
+            texts = [main_text(h.as_py() or "", *(frozenset(p or ()) for p in ps)) for h, ps in zip(b.column(2), places, strict=True)]
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())], ["page_id", "url", "text", "n_chars"])
 
-    return x.select("page_id", "url", "html", "low").mapInArrow(run, "page_id long, url string, text string, n_chars long")
+    return x.select("page_id", "url", "html", "low", "text").mapInArrow(tidy(run), "page_id long, url string, text string, n_chars long")
 
 
 def op6(pages: DataFrame) -> DataFrame:

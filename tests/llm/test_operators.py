@@ -529,3 +529,87 @@ def test_close_pairs_miss_nothing(spark):
     found = {tuple(r) for r in word_shingles.verified(word_shingles.close_pairs(table, nodes), table).collect()}
     want = {(i, j) for i in sets for j in sets if i < j and i % 50 != j % 50 and 9 * len(np.intersect1d(sets[i], sets[j])) >= 4 * (len(sets[i]) + len(sets[j]))}
     assert found == want and len(want) > 10
+
+
+# -- the style tree by brute force -----------------------------------------------------------------
+def slow_importance(pages):
+    """{place: importance} of one site, from the definition: entropy of texts, of make-up, and means over what is below."""
+    n_pages, texts, made = Counter(), {}, {}
+    for h in pages:
+        seen, kids, own = set(), {}, {}
+        for b in html_extract.blocks(h):
+            for i in range(1, len(b.nodes) + 1):
+                seen.add(b.nodes[:i])
+                if i > 1:
+                    k = kids.setdefault(b.nodes[: i - 1], [])
+                    if not k or k[-1] != b.nodes[i - 1]:
+                        k.append(b.nodes[i - 1])
+            own.setdefault(b.nodes, set()).add(b.text())
+        n_pages.update(seen)
+        for p, k in kids.items():
+            made.setdefault(p, Counter())[tuple(k)] += 1
+        for p, t in own.items():
+            texts.setdefault(p, Counter()).update(t)
+    own, share = {}, {}
+    for p, m in n_pages.items():
+        if m == 1:
+            own[p] = 1.0
+        elif p in texts:
+            # a text on n of m pages has entropy log n / log m; importance is what is missing to 1, in the mean
+            own[p] = 1 - sum(-sum(1 / n * math.log(1 / n, m) for _ in range(n)) for n in texts[p].values()) / len(texts[p])
+        else:
+            own[p] = -sum(n / m * math.log(n / m, m) for n in made[p].values()) if p in made else 1.0
+        share[p] = 1.0 if p in texts else 0.1
+    out = {}
+    for p in n_pages:
+        below = [q for q in n_pages if q[: len(p)] == p]
+        w = [share.get(q, 1.0 if q in texts else 0.1) * n_pages[q] * 0.9 ** (len(q) - len(p)) for q in below]
+        out[p[-1]] = sum(a * own[q] for a, q in zip(w, below, strict=True)) / sum(w)
+    return out
+
+
+def site(n, variants=6):
+    page = "<body><div class=top><p>{0}</p></div><article><h1>Title {1}</h1><p>Text {1} alone</p>{2}</article><div class=promo>{0}</div></body>"
+    return [page.format(f"offer {i % variants}", i, "<p>Shared</p>" if i % 2 else "") for i in range(n)]
+
+
+def test_importance_by_brute_force(spark):
+    pages = site(30)
+    rows = [(i, f"http://s.example/{i}", h) for i, h in enumerate(pages)]
+    tree = html_extract.site_tree(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()
+    want = slow_importance(pages)
+    assert {r["node"] for r in tree} == set(want) and {r["host"] for r in tree} == {"s.example"}
+    assert all(abs(r["importance"] - want[r["node"]]) < 1e-9 for r in tree)
+
+
+def test_tree_decides_on_frames(spark):
+    """On a site of enough pages the tree tells adverts from text, whatever they are called; on a small one names do."""
+    page = "<body><div class=lead>Summary {1} of its own</div><div class=x>{0}</div><article><div class=notice><p>Own notice {1}</p></div><p>Text {1}</p></article></body>"
+    rows = [(i, f"http://big.example/{i}", page.format(f"offer {i % 9}", i)) for i in range(60)]
+    rows += [(100 + i, f"http://small.example/{i}", page.format(f"offer {i % 9}", i)) for i in range(20)]
+    found = {r["page_id"]: r["text"] for r in html_extract.op6(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    assert all(found[i] == f"Summary {i} of its own\nOwn notice {i}\nText {i}" for i in range(60))
+    assert all(found[100 + i] == f"Text {i}" for i in range(20))
+
+
+def test_given_pages_need_the_tree(spark, sf_dir):
+    """The articles of the given pages come out whole; if every place counted as text, adverts of the larger sites would come too."""
+    pages = spark.read.parquet(f"{sf_dir}/../sf0.1/pages.parquet")
+    held = pages.collect()
+    want = {r["page_id"]: html_extract.main_text(r["html"][r["html"].index("<article>") : r["html"].rindex("</article>") + 10]) for r in held}
+    assert {r["page_id"]: r["text"] for r in html_extract.op6(pages).collect()} == want
+    tree = html_extract.site_tree(pages)
+    blind = {r["host"]: frozenset(r["text"]) for r in html_extract.decisions(tree.withColumn("importance", F.lit(1.0))).collect()}
+    host = {r["page_id"]: r["host"] for r in pages.select("page_id", html_extract.host_of(F.col("url")).alias("host")).collect()}
+    changed = sum(html_extract.main_text(r["html"], frozenset(), blind.get(host[r["page_id"]], frozenset())) != want[r["page_id"]] for r in held)
+    assert changed > 0.4 * len(held)
+
+
+def test_names_inside_articles_are_whole_names():
+    page = "<article><div class='section-header'><h2>Kept</h2></div><div class=alert>Gone</div><p>Text</p><div id=user-comments>Gone too</div></article><div class='page-header'>Gone</div>"
+    assert html_extract.main_text(page) == "Kept\nText"
+
+
+def test_a_very_long_page():
+    text = " ".join(f"word{i}" for i in range(200_000))
+    assert html_extract.main_text(f"<nav>{text}</nav><article><p>{text}</p></article>") == text
