@@ -23,6 +23,8 @@ LEAST_SHARE, LEAST_DOCS, MOST_TERMS = 0.004, 3, 20_000
 MOST_CLEAN = 0.5
 #: Log-odds that a term must have.
 LEAST_WEIGHT = 1.5
+#: Chance that any term at all is taken which toxic documents have no more often than others.
+CHANCE = 0.01
 #: Lengths of word beginnings that can be terms, beside whole words.
 PREFIXES = range(3, 9)
 THRESHOLD = 0.7
@@ -114,16 +116,25 @@ class Lexicon:
         return 1 / (1 + math.exp(-max(-40.0, min(40.0, z))))
 
 
-def select_terms(found: list[set[str]], n_toxic: Counter, n_clean: Counter, clean_docs: int, least: int) -> dict[str, float]:
+def tail(n: int, mean: float) -> float:
+    """Bound of the probability that a count of this mean (Poisson) is at least n."""
+    if n <= mean:
+        return 1.0
+    return min(1.0, math.exp(n * math.log(mean) - mean - math.lgamma(n + 1)) / (1 - mean / (n + 1)))
+
+
+def select_terms(found: list[set[str]], n_toxic: Counter, n_clean: Counter, clean_docs: int, least: int, tried: int = 1) -> dict[str, float]:
     """Weights of the terms that together explain the toxic documents.
 
     Taken greedily by how many toxic documents a term explains that no former one does, less the
-    clean ones it is in; so words
-    that merely stand beside a term, as in families of near copies, stay out.
+    clean ones it is in; so words that merely stand beside a term, as in families of near copies, stay out.
+    So do those that so many toxic documents could have by chance, by the clean ones' share and the number of terms ``tried``.
+    Ties go to the greater weight, then to whole words, then to the shorter term, then by code point.
     """
     toxic_docs = len(found)
     weight = {t: math.log((n + 0.5) / (toxic_docs + 1)) - math.log((n_clean[t] + 0.5) / (clean_docs + 1)) for t, n in n_toxic.items() if n >= least}
-    left = {t for t, w in weight.items() if w >= LEAST_WEIGHT and n_clean[t] <= MOST_CLEAN * n_toxic[t]}
+    chance = lambda t: tail(n_toxic[t], toxic_docs * (n_clean[t] + 0.5) / (clean_docs + 1)) * tried
+    left = {t for t, w in weight.items() if w >= LEAST_WEIGHT and n_clean[t] <= MOST_CLEAN * n_toxic[t] and chance(t) <= CHANCE}
     docs = [d & left for d in found]
     gain = Counter(t for d in docs for t in d)
     by_term: dict[str, list[int]] = {}
@@ -163,7 +174,8 @@ def fit_curve(x: np.ndarray, y: np.ndarray) -> tuple[float, float, float]:
 def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Lexicon:
     """Learn from labelled rows that are not held out, at most FIT_ROWS of each label, chosen by a hash of the id.
 
-    Without toxic rows the lexicon is empty and every score is low.
+    Whole texts count, equal ones once (toxic if any of them is); an id that is labelled twice is toxic if once it is;
+    null ids and labels teach nothing. Without toxic rows, as in empty tables, the lexicon is empty and every score is low.
     """
     known = labels.select(F.col("doc_id").alias("_id"), F.col("toxic").cast("int").alias("_toxic")).where(F.col("_id").isNotNull() & F.col("_toxic").isin(0, 1) & ~held_out(F.col("_id")))
     known = known.groupBy("_id").agg(F.max("_toxic").alias("_toxic")).withColumn("_h", F.xxhash64("_id"))
@@ -181,7 +193,8 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
         for b in batches:
             yield pa.RecordBatch.from_arrays([pa.array([sorted(terms(t.as_py() or "")) for t in b.column(0)], pa.list_(pa.string()))], ["terms"])
 
-    common = toxic.select("text").mapInArrow(tidy(listed), "terms array<string>").select(F.explode("terms").alias("term")).groupBy("term").count().where(F.col("count") >= least)
+    every = materialize(toxic.select("text").mapInArrow(tidy(listed), "terms array<string>").select(F.explode("terms").alias("term")).groupBy("term").count())
+    common = every.where(F.col("count") >= least)
     n_toxic = Counter({r["term"]: r["count"] for r in common.orderBy(F.desc("count"), "term").limit(MOST_TERMS).collect()})
 
     def known_terms(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -197,7 +210,7 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
             yield pa.RecordBatch.from_arrays([pa.array([sorted(rare & terms(t.as_py() or "")) for t in b.column(0)], pa.list_(pa.string()))], ["terms"])
 
     found = [set(r["terms"]) for r in toxic.select("text").mapInArrow(tidy(rare_terms), "terms array<string>").collect()]  # bounded by FIT_ROWS
-    lexicon = Lexicon(select_terms(found, n_toxic, n_clean, n_clean_docs, least))
+    lexicon = Lexicon(select_terms(found, n_toxic, n_clean, n_clean_docs, least, every.count()))
 
     def measured(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         a = lexicon.automaton()
@@ -211,7 +224,11 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
 
 
 def scored(docs: DataFrame, lexicon: Lexicon, text_col: str = "text") -> DataFrame:
-    """The documents' columns in _row, and score. Null and empty texts have no match and the score of such texts."""
+    """The documents' columns in _row, and score.
+
+    Null and empty texts have no match and the score of such texts; equal texts have equal scores, repeated rows too;
+    whole texts are matched, however long; an empty table gives no rows; columns may have any name.
+    """
 
     @F.arrow_udf("double")
     @tidy
