@@ -13,9 +13,11 @@ from pyspark.sql.window import Window
 K, EVERY, SCALE = 5, 50, 256
 #: Rows of a block of queries and of one of candidates; one task holds one of each.
 QUERY_ROWS, CANDIDATE_ROWS, MOST_CANDIDATE_ROWS = 4096, 1024, 32_768
-#: Queries whose dense score rows are held at once.
-SCORED_ROWS = 128
-FOUND = "query_id long, vec_id long, score long"
+#: Queries whose dense score rows are held at once, and scores that are added to at once.
+SCORED_ROWS, SCORED_AT_ONCE = 128, 1 << 17
+#: Blocks of candidates whose best rows meet before those of all blocks do.
+MERGED_BLOCKS = 64
+FOUND = "query_id long, vec_id long, score long, part long"
 
 
 def usable(v: Column) -> Column:
@@ -37,25 +39,33 @@ def best(q_ids: np.ndarray, q: np.ndarray, ids: np.ndarray, c: np.ndarray, k: in
     """(query id, candidate id, score) of each query's k best candidates of other ids, ties to the smaller id.
 
     For every term the queries that have it add their weight times the term's postings to dense
-    rows of scores; then each row is partitioned at its k-th place.
+    rows of scores, few rows at a time, so that they stay in the cache; then each row is partitioned at its k-th place.
     """
     order = np.argsort(ids, kind="stable")
     ids, c = ids[order], c[order]
     width = min(q.shape[1], c.shape[1])
     peak = int(np.abs(q).max(initial=0)) * int(np.abs(c).max(initial=0)) * max(width, 1)
     kind = np.int64 if (peak + 1) * (len(ids) + 1) < 2**62 else object  # beyond, Python's integers
+    small = np.int32 if peak < 2**31 else kind
     postings = []
     for t in range(width):
         at = np.flatnonzero(c[:, t])
-        postings.append((slice(None) if len(at) == len(ids) else at, c[at, t].astype(kind)))
+        # a term that most candidates have is added to whole rows
+        postings.append((None, c[:, t].astype(small)) if 2 * len(at) > len(ids) else (at, c[at, t].astype(small)))
+    step = max(1, SCORED_AT_ONCE // max(1, len(ids)))
     out_q, out_c, out_s = [], [], []
     for a in range(0, len(q_ids), SCORED_ROWS):
         part, own = q[a : a + SCORED_ROWS].astype(kind), q_ids[a : a + SCORED_ROWS]
-        scores = np.zeros((len(own), len(ids)), kind)
-        for t, (at, weights) in enumerate(postings):
-            if len(weights):
-                for i in np.flatnonzero(part[:, t]):
-                    scores[i, at] += part[i, t] * weights
+        scores = np.zeros((len(own), len(ids)), small)
+        for r in range(0, len(own), step):
+            rows, weigh = scores[r : r + step], part[r : r + step].astype(small)
+            for t, (at, weights) in enumerate(postings):
+                if at is None:
+                    rows += weigh[:, t, None] * weights
+                else:
+                    for i in np.flatnonzero(weigh[:, t]):
+                        rows[i, at] += weigh[i, t] * weights
+        scores = scores.astype(kind)
         key = scores * len(ids) - np.arange(len(ids))
         low = -(peak + 1) * (len(ids) + 1)
         same = own[:, None] == ids[None, :]
@@ -77,8 +87,8 @@ def top_k(vectors: DataFrame, k: int = K, every: int = EVERY, id_col: str = "vec
 
     Queries are the rows whose id is divisible by ``every``. Queries and candidates are dealt into
     blocks by a hash of the id; each pair of blocks goes to one task, which holds no more than one
-    of each and returns k rows per query. Rows of a null id take no part; of repeated rows each is
-    a candidate, and none is one for a query of the same id; a repeated query is one query; vectors
+    of each and returns k rows per query; these are merged by groups of blocks first. Rows of a null id take no part; of repeated rows each is
+    a candidate, and none is one for a query of the same id; a repeated query is one query, with the least of its vectors; vectors
     of unlike lengths are filled up with zeros; an empty table gives no rows.
     """
     whole = F.transform(vectors[vec_col], lambda x: F.floor(x.cast("double") * SCALE))
@@ -87,22 +97,25 @@ def top_k(vectors: DataFrame, k: int = K, every: int = EVERY, id_col: str = "vec
     rows = min(max(CANDIDATE_ROWS, n // (8 * int(vectors.sparkSession.conf.get("spark.sql.shuffle.partitions")))), MOST_CANDIDATE_ROWS)
     c_blocks, q_blocks = -(-n // rows) or 1, -(-n // (every * QUERY_ROWS)) or 1
     block = lambda of, salt: F.pmod(F.xxhash64("vec_id", F.lit(salt)), F.lit(of)).cast("int")
-    queries = x.where(F.col("vec_id") % every == 0).dropDuplicates(["vec_id"])
-    queries = queries.select("vec_id", "v", block(q_blocks, 1).alias("qb"), F.explode(F.sequence(F.lit(0), F.lit(c_blocks - 1))).alias("cb"))
+    queries = x.where(F.col("vec_id") % every == 0).groupBy("vec_id").agg(F.min("v").alias("v"))
+    queries = queries.select(F.col("vec_id").alias("query_id"), "v", block(q_blocks, 1).alias("qb"), F.explode(F.sequence(F.lit(0), F.lit(c_blocks - 1))).alias("cb"))
     candidates = x.select("vec_id", "v", block(c_blocks, 2).alias("cb"), F.explode(F.sequence(F.lit(0), F.lit(q_blocks - 1))).alias("qb"))
 
     def run(q: pa.Table, c: pa.Table) -> pa.Table:
         if not (q.num_rows and c.num_rows):
             found = [np.empty(0, np.int64)] * 3
         else:
-            ids = [t.column("vec_id").to_numpy() for t in (q, c)]
+            ids = [q.column("query_id").to_numpy(), c.column("vec_id").to_numpy()]
             vs = [matrix(t.column("v").combine_chunks()) for t in (q, c)]
             found = best(ids[0], vs[0], ids[1], vs[1], k)
-        return pa.table({name: pa.array(v, pa.int64()) for name, v in zip(("query_id", "vec_id", "score"), found, strict=True)})
+        part = c.column("cb")[0].as_py() // MERGED_BLOCKS if c.num_rows else 0
+        return pa.table({name: pa.array(v, pa.int64()) for name, v in zip(("query_id", "vec_id", "score", "part"), (*found, np.full(len(found[0]), part)), strict=True)})
 
     found = queries.groupBy("qb", "cb").cogroup(candidates.groupBy("qb", "cb")).applyInArrow(run, FOUND)
-    ranked = found.withColumn("rank", F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")))
-    return ranked.where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+    place = lambda *keys: F.row_number().over(Window.partitionBy("query_id", *keys).orderBy(F.desc("score"), "vec_id"))
+    if c_blocks > MERGED_BLOCKS:
+        found = found.withColumn("rank", place("part")).where(F.col("rank") <= k)
+    return found.withColumn("rank", place()).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 
 
 def op9(vectors: DataFrame) -> DataFrame:

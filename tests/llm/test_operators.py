@@ -613,3 +613,18 @@ def test_names_inside_articles_are_whole_names():
 def test_a_very_long_page():
     text = " ".join(f"word{i}" for i in range(200_000))
     assert html_extract.main_text(f"<nav>{text}</nav><article><p>{text}</p></article>") == text
+
+
+def test_top_k_in_two_levels_and_with_repeated_ids(spark, monkeypatch):
+    g = np.random.default_rng(8)
+    monkeypatch.setattr(topk, "CANDIDATE_ROWS", 40)
+    monkeypatch.setattr(topk, "MOST_CANDIDATE_ROWS", 40)
+    monkeypatch.setattr(topk, "MERGED_BLOCKS", 2)
+    rows = [(i, [float(x) if g.random() < 0.4 else 0.0 for x in g.integers(-8, 9, 12) / 4]) for i in range(400)]
+    d = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    assert {tuple(r) for r in topk.op9(d).collect()} == slow_top(rows)
+    twice = [*rows, (50, [9.0] * 12), (50, [-9.0] * 12), (51, [8.0] * 12)]
+    once = [r for r in rows if r[0] != 50] + [(50, [-9.0] * 12)]
+    found = {tuple(r) for r in topk.op9(spark.createDataFrame(twice, "vec_id long, embedding array<double>")).where("query_id = 50").collect()}
+    want = sorted((-sum(math.floor(256 * a) * math.floor(256 * -9.0) for a in v), i) for i, v in [*once, (51, [8.0] * 12)] if i != 50)[:5]
+    assert found == {(50, r + 1, i, -s) for r, (s, i) in enumerate(want)}
