@@ -53,7 +53,7 @@ def mixture(docs: DataFrame, weights: tuple = WEIGHTS, share: float = SHARE, max
     x = docs.select(
         F.struct(*[docs[f"`{c}`"] for c in docs.columns]).alias("_row"), docs[source_col].alias("source"), (word_count(docs[text_col]) if size is None else size).alias("size"), hash32(seed, docs[id_col]).alias("_h")
     )
-    light = x.select("source", "size", "_h")
+    light = materialize(x.select("source", "size", "_h"))  # words are counted once
     low = 32 - COARSE_BITS
     coarse = materialize(light.groupBy("source", F.shiftright("_h", low).alias("_b")).agg(F.sum("size").alias("_s")))
     plan = water_fill(coarse.groupBy("source").agg(F.sum("_s").alias("source_size")), weights, share, max_epochs)
@@ -90,7 +90,7 @@ def mixed_documents(docs: DataFrame, **options) -> DataFrame:
 
 
 def op1(docs: DataFrame) -> DataFrame:
-    light = docs.select("doc_id", "source", word_count(docs["text"]).alias("_size"))
+    light = materialize(docs.select("doc_id", "source", word_count(docs["text"]).alias("_size")))
     return mixture(light, size=light["_size"]).select(F.col("_row.doc_id").alias("doc_id"), "size", "source_size", "target", "taken", "copies")
 
 
