@@ -12,6 +12,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from .common import materialize, tidy
+
 #: Bounds of what is learned from: documents of each language, characters of each, bytes of a dictionary.
 FIT_DOCS, FIT_CHARS, DICTIONARY_BYTES = 400, 2000, 1 << 16
 #: More languages than this are refused rather than dropped.
@@ -30,22 +32,22 @@ def held_out(doc_id: Column) -> Column:
 
 
 def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> dict[str, bytes]:
-    """Raw dictionaries by language, from documents that are not held out, in the order of a hash of the text; copies count once."""
-    x = docs.where(docs[lang_col].isNotNull() & docs[text_col].isNotNull() & ~held_out(docs[id_col])).select(docs[lang_col].alias("lang"), docs[text_col].alias("text"))
-    distinct = x.select("lang", F.xxhash64("text").alias("h")).distinct()
-    sizes = {r["lang"]: r["n"] for r in distinct.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).limit(MOST_LANGUAGES + 1).collect()}
-    if len(sizes) > MOST_LANGUAGES:
+    """Raw dictionaries by language, from the FIT_DOCS distinct texts of each that have the lowest hashes, of documents that are not held out.
+
+    Copies count once, so a language of few distinct texts is learned from all of them however
+    often they are repeated. Null texts and languages teach nothing; ties of hashes go by the text;
+    FIT_CHARS of a long text count; an empty table gives no dictionary.
+    """
+    x = docs.where(docs[lang_col].isNotNull() & docs[text_col].isNotNull() & ~held_out(docs[id_col]))
+    x = x.select(docs[lang_col].alias("lang"), docs[text_col].alias("text"), F.xxhash64(docs[text_col]).alias("h"))
+    place = F.row_number().over(Window.partitionBy("lang").orderBy("h"))
+    lowest = materialize(x.select("lang", "h").distinct().withColumn("r", place).where(F.col("r") <= FIT_DOCS).select("lang", "h"))
+    if lowest.select("lang").distinct().count() > MOST_LANGUAGES:
         raise ValueError(f"more than {MOST_LANGUAGES} languages")
-    if not sizes:
-        return {}
-    # a share by hash that leaves about twice the distinct texts wanted, and all where there are fewer
-    share = F.create_map(*[F.lit(v) for lang, n in sizes.items() for v in (lang, min(1.0, 2 * FIT_DOCS / n))])
-    place = F.pmod(F.xxhash64("text"), F.lit(1 << 30)) / F.lit(float(1 << 30))
-    some = x.where(place < F.element_at(share, F.col("lang"))).select("lang", F.substring("text", 1, FIT_CHARS).alias("text"), place.alias("place"))
-    some = some.groupBy("lang", "text").agg(F.min("place").alias("place"))
-    ranked = some.withColumn("r", F.row_number().over(Window.partitionBy("lang").orderBy("place", "text"))).where(F.col("r") <= FIT_DOCS)
+    some = x.join(F.broadcast(lowest), ["lang", "h"])  # at most MOST_LANGUAGES times FIT_DOCS rows of a name and a number
+    some = some.groupBy("lang", "h").agg(F.min(F.substring("text", 1, FIT_CHARS)).alias("text"))
     texts: dict[str, list[str]] = {}
-    for r in ranked.orderBy("lang", "r").collect():  # bounded by MOST_LANGUAGES, FIT_DOCS and FIT_CHARS
+    for r in some.orderBy("lang", "h").collect():  # bounded by MOST_LANGUAGES, FIT_DOCS and FIT_CHARS
         texts.setdefault(r["lang"], []).append(r["text"])
     return {lang: _content(t) for lang, t in texts.items()}
 
@@ -101,7 +103,7 @@ def identified(docs: DataFrame, dictionaries: dict[str, bytes], id_col: str = "d
             found = [coder.predict(t.as_py()) for t in b.column(1)]
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array([f[0] for f in found], pa.string()), pa.array([f[1] for f in found], pa.float64()), pa.array([f[2] for f in found], pa.bool_())], ["doc_id", "lang_pred", "score", "accepted"])
 
-    return docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].alias("text")).mapInArrow(run, "doc_id long, lang_pred string, score double, accepted boolean")
+    return docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].alias("text")).mapInArrow(tidy(run), "doc_id long, lang_pred string, score double, accepted boolean")
 
 
 def op10(docs: DataFrame) -> DataFrame:
