@@ -49,7 +49,7 @@ def shards(docs: DataFrame, n_shards: int = SHARDS, id_col: str = "doc_id", text
     """One row per document: _row (all its columns), size, shard, slot; law ``rows``.
 
     Dimensions: the id scaled between its extremes, the binary logarithm of the size, and the
-    source's rank in code point order. The order is (curve index, hash of the id, id); its runs of
+    source's rank in code point order. The order is (curve index, hash of id, size and source, id); its runs of
     equal row count are the shards, so counts are at most one apart and each shard covers few cells
     of the grid. A hot cell is dealt into 2**SALT_BITS parts by the hash, and places are counts of
     what lies before, so nothing is gathered.
@@ -73,7 +73,7 @@ def shards(docs: DataFrame, n_shards: int = SHARDS, id_col: str = "doc_id", text
         by_source = F.pmod(F.xxhash64("_source"), F.lit(top + 1))
     by_id = F.coalesce(F.floor((F.col("_id") - F.lit(lo)) / F.lit(span) * top), F.lit(0))
     by_size = F.least(F.greatest(F.floor(F.log2(F.col("size"))) - 4, F.lit(0)), F.lit(top))
-    salt = F.pmod(F.xxhash64("_id"), F.lit(1 << SALT_BITS))
+    salt = F.pmod(F.xxhash64("_id", "size", "_source"), F.lit(1 << SALT_BITS))
     x = x.withColumn("_key", (curve([by_id, by_size, by_source]).cast("long") * (1 << SALT_BITS) + salt).cast("int"))
     ranked = gapless_rank(x, "_key", [F.col("_id").asc_nulls_first(), F.col("size")], "_place")
     shard = F.floor(F.col("_place") * n_shards / F.lit(max(n, 1)))
