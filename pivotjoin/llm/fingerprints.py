@@ -11,6 +11,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import tidy
+
 #: Bytes of a feature, and feature places among which the rarest gets a point.
 WINDOW = 64
 #: Points that select a feature; a longer text without such a feature gives its best one.
@@ -26,6 +28,8 @@ LOW, HIGH = 100, 990
 FILTER_BITS, FILTER_FEATURES, HASHES = 2048, 160, 5
 #: Bytes that are worked on at once.
 BATCH = 1 << 18
+#: Bytes of texts in a range of documents that one task sorts.
+RANGE_BYTES = 1 << 28
 #: Fixed-point scale, so that sums of entropy terms are exact in any order.
 SCALE = 1 << 32
 
@@ -216,7 +220,7 @@ def fit_ranks(docs: DataFrame, text_col: str = "text") -> np.ndarray:
             counts += entropy_counts([t.as_py() or b"" for t in b.column(0).cast(pa.binary())])
         yield pa.RecordBatch.from_arrays([pa.array(np.flatnonzero(counts)), pa.array(counts[counts > 0])], ["step", "n"])
 
-    found = docs.select(docs[text_col].alias("text")).mapInArrow(run, "step long, n long").groupBy("step").agg(F.sum("n").alias("n")).collect()
+    found = docs.select(docs[text_col].alias("text")).mapInArrow(tidy(run), "step long, n long").groupBy("step").agg(F.sum("n").alias("n")).collect()
     counts = np.zeros(STEPS + 1, np.int64)
     for r in found:
         counts[r["step"]] = r["n"]
@@ -231,7 +235,7 @@ def fingerprints(docs: DataFrame, rank: np.ndarray, id_col: str = "doc_id", text
             found = digests([t.as_py() or b"" for t in b.column(1).cast(pa.binary())], rank)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array([encode(d) for d in found])], ["doc_id", "fingerprint"])
 
-    return docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].alias("text")).mapInArrow(run, "doc_id long, fingerprint string")
+    return docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].alias("text")).mapInArrow(tidy(run), "doc_id long, fingerprint string")
 
 
 EDITED = "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double"
@@ -261,15 +265,16 @@ def edited_pairs(docs: DataFrame, rank: np.ndarray, id_col: str = "doc_id", text
 
     Documents move once, into ranges of the id; the first one of a range goes to the range before
     too, so each range knows what follows its last document. The bounds of the ranges are ids of
-    the table. Null ids come first; rows of equal id follow one another in the order of their
+    the table; there are as many as shuffle partitions, and more where these would hold above RANGE_BYTES in the mean. Null ids come first; rows of equal id follow one another in the order of their
     texts; the only row of a table is its own successor; an empty table gives no rows.
     """
     spark = docs.sparkSession
     light = docs.select(docs[id_col].cast("long").alias("id"), F.coalesce(docs[text_col], F.lit("")).alias("text"))
-    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    size = light.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-size // RANGE_BYTES))
     least = -(1 << 63)
     ids = light.select(F.coalesce("id", F.lit(least)).alias("key"))
-    got = ids.agg(F.min("key").alias("first"), F.percentile_approx("key", [i / parts for i in range(1, parts)] or [0.5], 100 * parts).alias("cuts")).first()
+    got = ids.agg(F.min("key").alias("first"), F.percentile_approx("key", [i / parts for i in range(1, parts)] or [0.5], 10 * parts).alias("cuts")).first()
     if got["first"] is None:
         return spark.createDataFrame([], EDITED)
     cuts = np.array(sorted(set(got["cuts"]) | {got["first"]}), np.int64)
@@ -301,7 +306,7 @@ def edited_pairs(docs: DataFrame, rank: np.ndarray, id_col: str = "doc_id", text
         if held:
             yield _edited(held, follower, rank)
 
-    return dealt.select("id", "text", "ahead").mapInArrow(run, EDITED)
+    return dealt.select("id", "text", "ahead").mapInArrow(tidy(run), EDITED)
 
 
 def op4(docs: DataFrame) -> DataFrame:
