@@ -628,3 +628,114 @@ def test_top_k_in_two_levels_and_with_repeated_ids(spark, monkeypatch):
     found = {tuple(r) for r in topk.op9(spark.createDataFrame(twice, "vec_id long, embedding array<double>")).where("query_id = 50").collect()}
     want = sorted((-sum(math.floor(256 * a) * math.floor(256 * -9.0) for a in v), i) for i, v in [*once, (51, [8.0] * 12)] if i != 50)[:5]
     assert found == {(50, r + 1, i, -s) for r, (s, i) in enumerate(want)}
+
+
+# -- brute force where SQL cannot say it -------------------------------------------------------------
+def slow_digest(text, rank):
+    """Bit sets of a text's filters, feature by feature."""
+    f = fingerprints
+    if not text:
+        return []
+    n = len(text)
+    if n < f.TINY:
+        rows = [text[k : k + f.TINY_WINDOW].ljust(f.WINDOW, b"\0") for k in range(max(n - f.TINY_WINDOW, 0) + 1)]
+    else:
+        places = n - f.WINDOW + 1
+        h = []
+        for i in range(places):
+            c = Counter(text[i : i + f.WINDOW])
+            h.append((f._TOP - sum(int(f._TERM[v]) for v in c.values())) * f.STEPS // f._TOP)
+        key = [(int(rank[v]), i) for i, v in enumerate(h)]
+        if n < f.SHORT:
+            w = min(f.SHORT_NEIGHBOURS, places)
+            chosen = sorted({min(key[i : i + w])[1] for i in range(places - w + 1)})
+        else:
+            spans = range(places - f.WINDOW + 1) if places >= f.WINDOW else []
+            points = Counter(min(key[i : i + f.WINDOW])[1] for i in spans) if spans else Counter([min(key)[1]])
+            points = {i: v for i, v in points.items() if key[i][0] <= f.STEPS + 1}
+            chosen = sorted(i for i, v in points.items() if v >= f.LEAST_POINTS)
+            if not chosen:
+                most = max(points.values(), default=0)
+                chosen = [min((i for i, v in points.items() if v == most), default=0)]
+        rows = [text[i : i + f.WINDOW] for i in chosen]
+    bits = [set(f._bits(np.frombuffer(r, np.uint8)[None])[0].tolist()) for r in rows]
+    return [set().union(*bits[i : i + f.FILTER_FEATURES]) for i in range(0, len(bits), f.FILTER_FEATURES)]
+
+
+def slow_likeness(a, b):
+    if not a or not b:
+        return float(len(a) == len(b))
+    if len(a) > len(b):
+        a, b = b, a
+    total = 0
+    for x in a:
+        most = 0.0
+        for y in b:
+            chance = len(x) * len(y) / fingerprints.FILTER_BITS
+            top = min(len(x), len(y))
+            floor = min(chance + 3 * math.sqrt(chance * (1 - max(len(x), len(y)) / fingerprints.FILTER_BITS)), top - 1)
+            most = max(most, min(1.0, max(0.0, (len(x & y) - floor) / (top - floor))))
+        total += most
+    return total / len(a)
+
+
+def test_digests_by_brute_force(docs):
+    texts = sorted({(r["text"] or "").encode() for r in docs.collect()}, key=lambda t: (len(t), t))
+    rank = fingerprints.ranks(fingerprints.entropy_counts(texts))
+    some = [*texts[:6], *(t for t in texts if 128 <= len(t) < 400)][:14] + [t for t in texts if len(t) > 1500][:4]
+    made = fingerprints.digests(some, rank)
+    slow = [slow_digest(t, rank) for t in some]
+    for d, s in zip(made, slow, strict=True):
+        assert [set(np.flatnonzero(np.unpackbits(row)).tolist()) for row in d] == s
+    for i in range(len(some)):
+        for j in range(i):
+            if len(made[i]) != len(made[j]):
+                assert abs(fingerprints.likeness(made[i], made[j]) - slow_likeness(slow[i], slow[j])) < 1e-9
+
+
+def test_toxic_matches_by_brute_force():
+    lexicon = toxicity.Lexicon({" scum ": 3.0, " idio": 2.0, " trash ": 1.5}, (-2.0, 3.0, 0.1))
+    a = lexicon.automaton()
+    g = np.random.default_rng(11)
+    words = ["scum", "sсum", "idiot", "1d10ts", "trash", "trash can", "the", "discum", "idol", "TRASH!", "s-c-u-m", "id1otic"]
+    for _ in range(200):
+        text = " ".join(words[i] for i in g.integers(0, len(words), 12))
+        x = toxicity.fold(text)
+        spare = [(i, i + len(p)) for e in lexicon.exceptions for p in [toxicity.fold(e)] for i in range(len(x)) if x.startswith(p, i)]
+        total = sum(w for t, w in lexicon.weights.items() for i in range(len(x)) if x.startswith(t, i) and not any(s <= i and i + len(t) <= e for s, e in spare))
+        assert lexicon.features(a, text) == pytest.approx((math.log1p(total), math.log1p(x.count(" ") - 1)))
+
+
+def test_languages_by_brute_force(docs):
+    import zstandard
+
+    d = langid.fit(docs)
+    coder = langid.Coder(d)
+    for r in docs.limit(40).collect():
+        data = langid.letters(r["text"] or "")
+        sizes = {}
+        for name, content in d.items():
+            c = zstandard.ZstdCompressor(level=langid.LEVEL, dict_data=zstandard.ZstdCompressionDict(content, dict_type=zstandard.DICT_TYPE_RAWCONTENT), write_content_size=False, write_checksum=False, write_dict_id=False)
+            sizes[name] = sum(len(c.compress(data[i : i + langid.PIECE_BYTES])) for i in range(0, len(data), langid.PIECE_BYTES))
+        least = min(sizes.values(), default=0)
+        got = coder.predict(r["text"])[0]
+        assert got == ("und" if not data else min(n for n, s in sizes.items() if s == least))
+
+
+def test_a_language_of_few_texts_among_copies_is_learned(spark):
+    rows = spark.range(60_000).selectExpr("id AS doc_id", "concat('der text ', repeat('ab ', 1 + id % 3)) AS text", "'de' AS lang")
+    rows = rows.unionByName(spark.range(900).selectExpr("100000 + id AS doc_id", "concat('the text ', id) AS text", "'en' AS lang"))
+    assert set(langid.fit(rows)) == {"de", "en"}
+
+
+def test_curve_key_of_real_rows(docs):
+    """Shards follow the curve: the key in SQL is the index of the same cell by the rule."""
+    bits = 2
+    x = docs.select((F.col("doc_id") % 4).alias("a"), (F.length("text") % 4).alias("b"), (F.crc32("text") % 4).alias("c"))
+    for r in x.select("a", "b", "c", sharding.curve([F.col("a"), F.col("b"), F.col("c")], bits).alias("k")).collect():
+        assert r["k"] == sharding.hilbert_index((r["a"], r["b"], r["c"]), bits)
+
+
+def test_shards_of_a_hot_id(spark):
+    d = spark.range(3000).selectExpr("CAST(NULL AS LONG) AS doc_id", "repeat('x', CAST(id % 50 AS INT)) AS text", "'s' AS source")
+    check_shards(sharding.op2(d).collect(), 3000)
