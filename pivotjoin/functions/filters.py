@@ -6,7 +6,8 @@ import math
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
+
+from ..operators.tables import materialize, running_sum
 
 #: Subtracted before rounding up, so that sums just above a whole number do not count as the next.
 TINY = 1e-9
@@ -18,17 +19,21 @@ def tokens(text: Column) -> Column:
 
 
 def token_order(sets: DataFrame, set_col: str = "obj") -> DataFrame:
-    """(token, n, rank): how many sets have each token, and its place from the rarest."""
+    """(token, n, rank): how many sets have each token, and its place from the rarest, from 1; equally rare ones by the token."""
     counts = sets.select(F.explode(set_col).alias("token")).groupBy("token").agg(F.count(F.lit(1)).alias("n"))
-    return counts.select("token", "n", F.row_number().over(Window.orderBy("n", "token")).cast("long").alias("rank"))
+    return running_sum(counts, ["n", "token"], F.lit(1), "rank").select("token", "n", F.col("rank").cast("long").alias("rank"))
+
 
+def ranked_sets(sets: DataFrame, keys: tuple[str, ...] = ("id",), set_col: str = "obj") -> DataFrame:
+    """The same sets with the ranks of their tokens, from the rarest: equal tokens are equal numbers. Sets without tokens stay empty.
 
-def rarest_first(sets: DataFrame, id_col: str = "id", set_col: str = "obj") -> DataFrame:
-    """(id, toks, size): tokens of each set from the rarest, by the order (frequency, token). No token list is gathered."""
-    each = sets.select(F.col(id_col).alias("id"), F.explode(set_col).alias("token"))
-    counts = each.groupBy("token").agg(F.count(F.lit(1)).alias("n"))
-    both = each.join(counts, "token").groupBy("id").agg(F.array_sort(F.collect_list(F.struct("n", "token"))).alias("t"))
-    return both.select("id", F.col("t.token").alias("toks"), F.size("t").alias("size"))
+    Tokens are shuffled to their ranks, and ranks to their sets; no list of all tokens is gathered.
+    """
+    sets = materialize(sets.select(*keys, F.col(set_col).alias("obj")))
+    each = sets.select(*keys, F.explode("obj").alias("token"))
+    ranks = materialize(token_order(sets, "obj").select("token", "rank"))
+    found = each.join(ranks, "token").groupBy(*keys).agg(F.array_sort(F.collect_list("rank")).alias("obj"))
+    return found.unionByName(sets.where(F.size("obj") == 0).select(*keys, F.array().cast("array<long>").alias("obj")))
 
 
 def needed_overlap(size_x: Column, size_y: Column, delta: float) -> Column:
@@ -54,10 +59,20 @@ def length_candidates(strings: DataFrame, delta: int, id_col: str = "id", obj: s
     return both.select(F.col("x.id").alias("id_x"), F.col("y.id").alias("id_y"))
 
 
+def enough_left(x: str, y: str, delta: float) -> Column:
+    """Whether what follows a common token at the places x.pos and y.pos (from 0) of two sets in one order, with it, can suffice. It does for the first common one of every pair within delta."""
+    left = F.least(F.col(f"{x}.size") - F.col(f"{x}.pos"), F.col(f"{y}.size") - F.col(f"{y}.pos"))
+    return left >= needed_overlap(F.col(f"{x}.size"), F.col(f"{y}.size"), delta)
+
+
+def prefix(size: Column, delta: float, obj: str = "obj") -> Column:
+    """The first tokens of a set in the common order; two sets within delta share one of them."""
+    return F.slice(obj, F.lit(1), F.greatest(prefix_length(size, delta), F.lit(0)).cast("int"))
+
+
 def prefix_postings(sets: DataFrame, delta: float) -> DataFrame:
     """(id, token, pos, size) of the tokens in each set's prefix."""
-    r = rarest_first(sets)
-    return r.select("id", "size", F.posexplode(F.slice("toks", F.lit(1), F.greatest(prefix_length(F.col("size"), delta), F.lit(0)).cast("int"))).alias("pos", "token"))
+    return ranked_sets(sets).select("id", F.size("obj").alias("size"), F.posexplode(prefix(F.size("obj"), delta)).alias("pos", "token"))
 
 
 def prefix_candidates(sets: DataFrame, delta: float, positions: bool = False) -> DataFrame:
@@ -66,30 +81,40 @@ def prefix_candidates(sets: DataFrame, delta: float, positions: bool = False) ->
     With ``positions`` the tokens still to come must suffice: the first shared token of the
     prefixes, at places i and j, leaves at most 1 + min(rest of x, rest of y) in common.
     """
-    p = prefix_postings(sets, delta)
-    both = p.alias("x").join(p.alias("y"), F.col("x.token") == F.col("y.token")).where((F.col("x.id") < F.col("y.id")) & size_close(F.col("x.size"), F.col("y.size"), delta))
-    found = both.groupBy(F.col("x.id").alias("id_x"), F.col("y.id").alias("id_y")).agg(F.min("x.pos").alias("i"), F.min("y.pos").alias("j"), F.first("x.size").alias("sx"), F.first("y.size").alias("sy"))
-    if positions:
-        found = found.where(F.least(F.col("sx") - F.col("i"), F.col("sy") - F.col("j")) >= needed_overlap(F.col("sx"), F.col("sy"), delta))
-    return found.select("id_x", "id_y")
+    p = materialize(prefix_postings(sets, delta))
+    on = (F.col("x.token") == F.col("y.token")) & (F.col("x.id") < F.col("y.id")) & size_close(F.col("x.size"), F.col("y.size"), delta)
+    both = p.alias("x").join(p.alias("y"), on & enough_left("x", "y", delta) if positions else on)
+    return both.select(F.col("x.id").alias("id_x"), F.col("y.id").alias("id_y")).distinct()
+
+
+def segment_index(strings: DataFrame, delta: int, keep: tuple[str, ...] = ("id",), obj: str = "obj") -> DataFrame:
+    """(keep, n, i, seg): the delta + 1 segments of each string of length n; segment i starts at floor(i n / (delta + 1))."""
+    x = strings.select(*keep, F.col(obj).alias("s"), F.length(obj).alias("n"))
+    seg = lambda i: F.struct(i.alias("i"), F.substring(F.col("s"), _bound(i, F.col("n"), delta) + 1, _bound(i + 1, F.col("n"), delta) - _bound(i, F.col("n"), delta)).alias("seg"))
+    return x.select(*keep, "n", F.explode(F.transform(F.sequence(F.lit(0), F.lit(delta)), seg)).alias("p")).select(*keep, "n", "p.i", "p.seg")
+
+
+def segment_probes(strings: DataFrame, delta: int, keep: tuple[str, ...] = ("id",), obj: str = "obj") -> DataFrame:
+    """(keep, n, i, seg): what each string holds where a segment i of a string of length n could be, moved by at most delta."""
+    x = strings.select(*keep, F.col(obj).alias("s"), F.length(obj).alias("len"))
+    x = x.select(*keep, "s", "len", F.explode(F.sequence(F.greatest(F.col("len") - delta, F.lit(0)), F.col("len") + delta)).alias("n")).select(*keep, "s", "len", "n", F.explode(F.sequence(F.lit(0), F.lit(delta))).alias("i"))
+    start = _bound(F.col("i"), F.col("n"), delta)
+    size = _bound(F.col("i") + 1, F.col("n"), delta) - start
+    places = F.sequence(F.greatest(start - delta, F.lit(0)), F.greatest(start - delta, F.lit(0), F.least(start + delta, F.col("len") - size)))
+    return x.select(*keep, "n", "i", F.explode(F.array_distinct(F.transform(places, lambda k: F.substring(F.col("s"), k + 1, size)))).alias("seg"))
+
+
+def _bound(i: Column, n: Column, delta: int) -> Column:
+    return F.floor(i * n / (delta + 1)).cast("int")
 
 
 def segment_candidates(strings: DataFrame, delta: int, id_col: str = "id", obj: str = "obj") -> DataFrame:
     """(id_x, id_y): one of delta + 1 segments of one string is found in the other, moved by at most delta.
 
-    Segments of a string of length n start at floor(i n / (delta + 1)). Strings shorter than
-    delta + 1 have an empty segment, which every string near in length holds.
+    Strings shorter than delta + 1 have an empty segment, which every string near in length holds.
     """
-    x = strings.select(F.col(id_col).alias("id"), F.col(obj).alias("s"), F.length(obj).alias("len"))
-    parts = delta + 1
-    bound = lambda i, n: F.floor(i * n / parts).cast("int")
-    index = x.select("id", "len", F.explode(F.transform(F.sequence(F.lit(0), F.lit(delta)), lambda i: F.struct(i.alias("i"), F.substring(F.col("s"), bound(i, F.col("len")) + 1, bound(i + 1, F.col("len")) - bound(i, F.col("len"))).alias("seg")))).alias("p"))
-    index = index.select("id", F.col("len").alias("n"), F.col("p.i").alias("i"), F.col("p.seg").alias("seg"))
-    probe = x.select("id", "s", "len", F.explode(F.sequence(F.greatest(F.col("len") - delta, F.lit(0)), F.col("len") + delta)).alias("n")).select("id", "s", "len", "n", F.explode(F.sequence(F.lit(0), F.lit(delta))).alias("i"))
-    start, size = bound(F.col("i"), F.col("n")), bound(F.col("i") + 1, F.col("n")) - bound(F.col("i"), F.col("n"))
-    places = F.sequence(F.greatest(start - delta, F.lit(0)), F.greatest(start - delta, F.lit(0), F.least(start + delta, F.col("len") - size)))
-    probe = probe.select("id", "n", "i", F.explode(F.array_distinct(F.transform(places, lambda k: F.substring(F.col("s"), k + 1, size)))).alias("seg"))
-    both = index.alias("x").join(probe.alias("y"), ["n", "i", "seg"]).where(F.col("x.id") != F.col("y.id"))
+    x = strings.select(F.col(id_col).alias("id"), F.col(obj).alias("obj"))
+    both = segment_index(x, delta).alias("x").join(segment_probes(x, delta).alias("y"), ["n", "i", "seg"]).where(F.col("x.id") != F.col("y.id"))
     return both.select(F.least("x.id", "y.id").alias("id_x"), F.greatest("x.id", "y.id").alias("id_y")).distinct()
 
 

@@ -50,9 +50,11 @@ class Metric:
         return pairwise(x, y)
 
     def to_axes(self, obj: Column, axes: Sequence) -> Column:
-        """Array of the distances to a few fixed objects. Strings, sets and numbers stay in the JVM."""
+        """Array of the distances to a few fixed objects. Strings, sets of strings and numbers stay in the JVM."""
         if not len(axes):
             return F.array().cast("array<double>")
+        if self.name == "jaccard" and all(isinstance(t, int) for a in axes for t in a):
+            return _jaccard_to(axes)(obj)
         if self.kind != "vector" and self.column is not None:
             return F.array(*[self.column(obj, literal(a)).cast("double") for a in axes])
         block, fixed = self.block, list(axes)
@@ -198,6 +200,28 @@ def _jaccard(x: Column, y: Column) -> Column:
     return F.when(either == 0, F.lit(0.0)).otherwise(1.0 - both / either)
 
 
+def _jaccard_to(axes: Sequence[Sequence[int]]):
+    """UDF: distances of sets of whole numbers to a few fixed ones."""
+    fixed = [np.unique(np.array(a, np.int64)) for a in axes]
+
+    @F.arrow_udf("array<double>")
+    def mapped(parts: Iterator[pa.Array]) -> Iterator[pa.Array]:
+        for part in parts:
+            flat, size = part.flatten().to_numpy(zero_copy_only=False), part.value_lengths().to_numpy(zero_copy_only=False).astype(np.int64)
+            ends = np.cumsum(size)
+            out = np.zeros((len(size), len(fixed)))
+            for j, a in enumerate(fixed):
+                at = np.searchsorted(a, flat)
+                hit = (a[np.minimum(at, len(a) - 1)] == flat) & (at < len(a)) if len(a) else np.zeros(len(flat), bool)
+                upto = np.concatenate(([0], np.cumsum(hit)))
+                both = upto[ends] - upto[ends - size]
+                either = size + len(a) - both
+                out[:, j] = np.where(either > 0, 1.0 - both / np.maximum(either, 1), 0.0)
+            yield rows_to_arrow(out)
+
+    return mapped
+
+
 def _jaccard_sizes(x: Column, y: Column, delta: float) -> Column:
     s = max(0.0, 1.0 - delta)
     return (F.size(x) * F.lit(s) <= F.size(y) + F.lit(1e-6)) & (F.size(y) * F.lit(s) <= F.size(x) + F.lit(1e-6))
@@ -262,17 +286,20 @@ def check_metric(m: str | Metric, df: DataFrame, obj: str, sample: int = 40) ->
 
 
 def register_sql_functions(spark) -> None:
-    """l1_distance, l2_distance, linf_distance, jaccard_distance and ed_distance for SQL."""
-    for name, m in (("l1_distance", L1), ("l2_distance", L2), ("linf_distance", LINF)):
-        block = m.block
-
-        def pairwise(a, b, block=block):
-            return [float(block([p], [q])[0, 0]) for p, q in zip(a, b, strict=True)]
+    """l1_distance, l2_distance, linf_distance, jaccard_distance and ed_distance for SQL: Arrow batches, whole matrices at a time where rows are vectors of one length."""
+    import pandas as pd
 
-        import pandas as pd
+    def rowwise(m: Metric):
+        def pairwise(a, b):
+            x, y = (pa.array(v) for v in (a, b))
+            p, q = objects(x), objects(y)
+            if isinstance(p, np.ndarray) and isinstance(q, np.ndarray):
+                return pd.Series(m.rowwise(p, q))
+            return pd.Series([float(m.block([i], [j])[0, 0]) for i, j in zip(p, q, strict=True)])
 
-        spark.udf.register(name, F.pandas_udf(lambda a, b, f=pairwise: pd.Series(f(a, b)), "double"))
-    import pandas as pd
+        return pairwise
 
+    for name, m in (("l1_distance", L1), ("l2_distance", L2), ("linf_distance", LINF)):
+        spark.udf.register(name, F.pandas_udf(rowwise(m), "double"))
     spark.udf.register("jaccard_distance", F.pandas_udf(lambda a, b: pd.Series([float(jaccard_block([p], [q])[0, 0]) for p, q in zip(a, b, strict=True)]), "double"))
     spark.udf.register("ed_distance", F.pandas_udf(lambda a, b: pd.Series([float(edit_block([p], [q])[0, 0]) for p, q in zip(a, b, strict=True)]), "double"))

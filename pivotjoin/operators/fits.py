@@ -10,11 +10,11 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
 from ..functions.families import FAMILIES, Family, MultiNormal, Params
 from ..functions.metrics import as_matrix, objects
 from ..functions.numerics import bisect, chi2_isf, chi2_sf
+from .tables import running_sum
 
 #: Fixed values of the portable hash: a multiplicative generator, repeatable in any SQL engine.
 MIX_A, MIX_B, MIX_P = 48_271, 69_621, 2_147_483_647
@@ -314,6 +314,5 @@ def fits_table(spark, fits: Sequence[NodeFit]) -> DataFrame:
 def ecdf(df: DataFrame, value: str) -> DataFrame:
     """(value, share): share of rows at or below each distinct value, from counts of values."""
     counts = df.groupBy(F.col(value).alias("value")).agg(F.count(F.lit(1)).alias("n"))
-    upto = Window.orderBy("value").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    everything = Window.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
-    return counts.select("value", (F.sum("n").over(upto) / F.sum("n").over(everything)).alias("share"))
+    total = df.count()
+    return running_sum(counts, ["value"], F.col("n"), "upto").select("value", (F.col("upto") / F.lit(float(max(total, 1)))).alias("share"))

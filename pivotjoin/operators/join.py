@@ -12,9 +12,9 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.filters import prefix_length, size_close
+from ..functions.filters import enough_left, prefix, ranked_sets, segment_index, segment_probes, size_close
 from ..functions.metrics import Metric, as_matrix, metric_of, objects, padded
-from ..plans.config import SAMPLERS, SPLITTERS, JoinConfig
+from ..plans.config import MOST_REGIONS, SAMPLERS, SPLITTERS, JoinConfig
 from . import sampling
 from .fits import NodeFit, fit_nodes, with_nodes
 from .split import Tree, choose_axes, cluster_labels, grow
@@ -43,6 +43,8 @@ class JoinPlan:
     fits: list[NodeFit] = field(default_factory=list)
     boxes: tuple[np.ndarray, np.ndarray] | None = None
     seconds: dict[str, float] = field(default_factory=dict)
+    #: Where the plan departs from what was asked for.
+    notes: list[str] = field(default_factory=list)
 
 
 def validate_objects(df: DataFrame, id_col: str, obj_col: str, metric: Metric, on_bad: str = "drop") -> DataFrame:
@@ -70,7 +72,7 @@ def make_plan(objs: DataFrame, metric: Metric, delta: float, config: JoinConfig)
     """Sample pivots, map them, label them, split. ``objs``: (id, obj)."""
     if config.sampler not in SAMPLERS or config.splitter not in SPLITTERS:
         raise ValueError("unknown sampler or splitter")
-    began, seconds = time.time(), {}
+    began, seconds, notes = time.time(), {}, []
     spark = objs.sparkSession
     rows = objs.count()
     k, p, n = config.sized(rows)
@@ -78,6 +80,7 @@ def make_plan(objs: DataFrame, metric: Metric, delta: float, config: JoinConfig)
     space = config.space or ("origin" if metric.kind == "vector" else "target")
     if draws and rows < 8 * max(1, config.nodes):
         config, draws = replace(config, sampler="random"), False  # too few to fit laws to
+        notes.append(f"{rows} objects are too few to fit {config.nodes} laws to: random pivots")
     pool_size = max(AXIS_POOL if draws else k * config.oversample, n)
     pool = [r["obj"] for r in sampling.random_pivots(objs, min(pool_size, rows), seed=config.seed).select("obj").collect()]
     axes = choose_axes(pool, n, metric, seed=config.seed)
@@ -85,7 +88,7 @@ def make_plan(objs: DataFrame, metric: Metric, delta: float, config: JoinConfig)
     if draws:
         data = objs
         if space == "target":
-            data = objs.select("id", metric.to_axes(F.col("obj"), axes).alias("obj"))
+            data = materialize(objs.select("id", metric.to_axes(F.col("obj"), axes).alias("obj")))  # read by the sums, the cells and the draws
         elif metric.kind == "scalar":
             data = objs.select("id", F.array(F.col("obj").cast("double")).alias("obj"))
         data = with_nodes(data, "id", config.node_by, config.nodes, config.seed)
@@ -122,8 +125,10 @@ def make_plan(objs: DataFrame, metric: Metric, delta: float, config: JoinConfig)
         # coordinates do not tell these objects apart at this threshold: fewer regions, down to one that is dealt into blocks
         p = max(1, tree.regions // 2)
         tree = grow(coords, p, config.splitter, labels, config.seed)
+    if tree.regions < p or p < config.sized(rows)[1]:
+        notes.append(f"{tree.regions} of {config.sized(rows)[1]} regions: pivots do not differ more, or more than {config.max_copies} copies were expected")
     seconds["split"] = time.time() - began
-    plan = JoinPlan(metric, delta, config, rows, k, p, n, axes, tree, as_matrix(coords), labels, fits, None, seconds)
+    plan = JoinPlan(metric, delta, config, rows, k, p, n, axes, tree, as_matrix(coords), labels, fits, None, seconds, notes)
     if config.bounds == "pivot_box":
         plan.boxes = _boxes_of(plan.coords, tree.home(plan.coords), tree.regions)
     return plan
@@ -216,17 +221,26 @@ def route(objs: DataFrame, plan: JoinPlan, which: str | None = None) -> DataFram
     return x.select(F.explode(region_lists(plan, which or plan.config.replication)).alias("region"), "home", "id", "obj", "coord")
 
 
-def _grid(routed: DataFrame, plan: JoinPlan, counts: dict[int, int] | None = None) -> DataFrame:
+def _parts(sized: list[DataFrame], max_region: int) -> DataFrame:
+    """(region, parts) of regions of more than max_region rows in one of the tables: how many blocks each is dealt into. A row a region."""
+    counts = [d.groupBy("region").agg(F.count(F.lit(1)).alias("n")) for d in sized]
+    n = counts[0]
+    for c in counts[1:]:
+        n = n.unionByName(c)
+    n = n.groupBy("region").agg(F.max("n").alias("n")).where(F.col("n") > max_region)
+    return F.broadcast(materialize(n.select("region", F.ceil(F.col("n") / max_region).cast("int").alias("parts")), MOST_REGIONS))
+
+
+def _dealt(rows: DataFrame, parts: DataFrame) -> DataFrame:
+    """Adds own, the block of a row's region that it is dealt to, and parts, the number of blocks."""
+    x = rows.join(parts, "region", "left").withColumn("parts", F.coalesce("parts", F.lit(1)))
+    return x.withColumn("own", F.pmod(F.xxhash64("id", F.lit(11)), F.col("parts")).cast("int"))
+
+
+def _grid(routed: DataFrame, plan: JoinPlan) -> DataFrame:
     """Adds the cell (a, b) of a region's grid and own: regions of more than max_region rows are dealt into blocks, and each pair of blocks is a cell."""
-    if counts is None:
-        counts = {r["region"]: r["count"] for r in routed.groupBy("region").count().where(F.col("count") > plan.config.max_region).collect()}
-    parts = F.lit(1)
-    if counts:
-        sizes = F.create_map(*[F.lit(v) for h, c in counts.items() for v in (h, math.ceil(c / plan.config.max_region))])
-        parts = F.coalesce(F.element_at(sizes, F.col("region")), F.lit(1))
-    own = F.pmod(F.xxhash64("id", F.lit(11)), parts).cast("int")
-    x = routed.withColumn("own", own).withColumn("_o", F.explode(F.sequence(F.lit(0), parts - 1)))
-    return x.withColumn("a", F.least("own", "_o")).withColumn("b", F.greatest("own", "_o")).drop("_o")
+    x = _dealt(routed, _parts([routed], plan.config.max_region)).withColumn("_o", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
+    return x.withColumn("a", F.least("own", "_o")).withColumn("b", F.greatest("own", "_o")).drop("_o", "parts")
 
 
 def _block_pairs(metric: Metric, delta: float, xs, ys, cx: np.ndarray, cy: np.ndarray, allowed) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -295,31 +309,29 @@ def verify_blocks(routed: DataFrame, plan: JoinPlan) -> DataFrame:
     return _grid(routed, plan).groupBy("region", "a", "b").applyInArrow(run, PAIRS)
 
 
-def with_rarest_first(sets: DataFrame, keys: list[str] | None = None) -> DataFrame:
-    """The same sets with their tokens from the rarest (ties by token); sets without tokens stay empty."""
-    keys = keys or ["id"]
-    each = sets.select(*keys, F.explode("obj").alias("token"))
-    counts = each.groupBy("token").agg(F.count(F.lit(1)).alias("n"))
-    found = each.join(counts, "token").groupBy(*keys).agg(F.array_sort(F.collect_list(F.struct("n", "token"))).alias("t")).select(*keys, F.col("t.token").alias("obj"))
-    none = sets.where(F.size("obj") == 0).select(*keys, "obj")
-    return found.unionByName(none)
-
-
 def coord_prune(x: Column, y: Column, delta: float) -> Column:
     """Coordinates of a pair within delta differ by at most delta on every axis."""
     return F.forall(F.zip_with(x, y, lambda a, b: F.abs(a - b) <= F.lit(padded(delta))), lambda v: v)
 
 
 def verify_sql(routed: DataFrame, plan: JoinPlan) -> DataFrame:
-    """Pairs within delta by an equi-join on the region, in the JVM; adaptive execution splits hot regions."""
+    """Pairs within delta by an equi-join in the JVM: on the cell of a region's grid, or on what the filters of sets and strings share inside a region."""
     routed = materialize(routed)  # both sides read it: mapping is not done twice
-    x, y = routed.where(F.col("home") == F.col("region")).alias("x"), routed.alias("y")
-    px, py = F.col("x.obj"), F.col("y.obj")
     if uses_prefixes(plan):
-        return _prefix_pairs(x, y, plan)
-    once = F.when(F.col("y.home") == F.col("y.region"), F.col("x.id") < F.col("y.id")).otherwise(F.col("y.home") > F.col("y.region"))
-    both = x.join(y, (F.col("x.region") == F.col("y.region")) & once)
-    return _checked(both, plan, px, py)
+        return _prefix_pairs(routed.where(F.col("home") == F.col("region")).alias("x"), routed.alias("y"), plan)
+    if plan.config.segments and plan.metric.kind == "string" and plan.delta >= 0:
+        return _segment_pairs(routed.where(F.col("home") == F.col("region")), routed, plan)
+    dealt = _grid(routed, plan)
+    x, y = dealt.where(F.col("home") == F.col("region")).alias("x"), dealt.alias("y")
+    cell = (F.col("x.region") == F.col("y.region")) & (F.col("x.a") == F.col("y.a")) & (F.col("x.b") == F.col("y.b"))
+    # off the diagonal of the grid only rows of different blocks meet
+    both = x.join(y, cell & ((F.col("x.a") == F.col("x.b")) | (F.col("x.own") != F.col("y.own"))) & _once())
+    return _checked(both, plan, F.col("x.obj"), F.col("y.obj"))
+
+
+def _once() -> Column:
+    """Of two home objects each pair once; a copy meets home objects of an earlier region than its own."""
+    return F.when(F.col("y.home") == F.col("y.region"), F.col("x.id") < F.col("y.id")).otherwise(F.col("y.home") > F.col("y.region"))
 
 
 def uses_prefixes(plan: JoinPlan) -> bool:
@@ -327,21 +339,21 @@ def uses_prefixes(plan: JoinPlan) -> bool:
 
 
 def _prefix_pairs(x: DataFrame, y: DataFrame, plan: JoinPlan, ordered: bool = True) -> DataFrame:
-    """Sets (tokens from the rarest): inside a region only those that share a token of both prefixes are compared.
+    """Sets of token ranks: inside a region only those are compared that share a token of both prefixes with enough behind it.
 
-    Postings carry ids and sizes; the sets themselves join the few candidates afterwards.
+    Postings carry ids, sizes and places; the sets themselves join the few candidates afterwards.
     """
     delta = plan.delta
 
     def posted(side: DataFrame, name: str) -> DataFrame:
         size = F.size("obj")
-        prefix = F.slice("obj", F.lit(1), F.greatest(prefix_length(size, delta), F.lit(0)).cast("int"))
         # a set without tokens has one mark of its own: two such sets are at distance 0
-        return side.select("region", "home", "id", size.alias("size"), F.explode(F.when(size == 0, F.array(F.lit(""))).otherwise(prefix)).alias("token")).alias(name)
+        tokens = F.when(size == 0, F.array(F.lit(-1).cast("long"))).otherwise(prefix(size, delta))
+        return side.select("region", "home", "id", size.alias("size"), F.posexplode(tokens).alias("pos", "token")).alias(name)
 
-    on = (F.col("x.region") == F.col("y.region")) & (F.col("x.token") == F.col("y.token")) & size_close(F.col("x.size"), F.col("y.size"), delta)
+    on = (F.col("x.region") == F.col("y.region")) & (F.col("x.token") == F.col("y.token")) & size_close(F.col("x.size"), F.col("y.size"), delta) & enough_left("x", "y", delta)
     if ordered:
-        on = on & F.when(F.col("y.home") == F.col("y.region"), F.col("x.id") < F.col("y.id")).otherwise(F.col("y.home") > F.col("y.region"))
+        on = on & _once()
     found = posted(x, "x").join(posted(y, "y"), on).select(F.col("x.id").alias("i"), F.col("y.id").alias("j")).distinct()
     a = x.select(F.col("id").alias("i"), F.col("obj").alias("p"), F.col("coord").alias("c"))
     b = (x if ordered else y.dropDuplicates(["id"])).select(F.col("id").alias("j"), F.col("obj").alias("q"), F.col("coord").alias("e"))
@@ -355,6 +367,21 @@ def _prefix_pairs(x: DataFrame, y: DataFrame, plan: JoinPlan, ordered: bool = Tr
     return both.select(ends[0].alias("id_x"), ends[1].alias("id_y"), "distance")
 
 
+def _segment_pairs(home: DataFrame, routed: DataFrame, plan: JoinPlan) -> DataFrame:
+    """Strings: inside a region only those are compared of which one holds a segment of the other near its place."""
+    keep, delta = ("region", "home", "id"), int(padded(plan.delta))
+    x, y = segment_index(home, delta, keep).alias("x"), segment_probes(routed, delta, keep).alias("y")
+    on = F.lit(True)
+    for c in ("region", "n", "i", "seg"):
+        on = on & (F.col(f"x.{c}") == F.col(f"y.{c}"))
+    # the segments of one string are asked of the other: of two home objects in either order
+    other = F.when(F.col("y.home") == F.col("y.region"), F.col("x.id") != F.col("y.id")).otherwise(F.col("y.home") > F.col("y.region"))
+    found = x.join(y, on & other).select(F.least("x.id", "y.id").alias("i"), F.greatest("x.id", "y.id").alias("j")).distinct()
+    objs = home.select("id", "obj", "coord")
+    both = found.join(objs.alias("x"), F.col("i") == F.col("x.id")).join(objs.alias("y"), F.col("j") == F.col("y.id"))
+    return _checked(both, plan, F.col("x.obj"), F.col("y.obj"))
+
+
 def _checked(both: DataFrame, plan: JoinPlan, px: Column, py: Column, ordered: bool = True) -> DataFrame:
     m, delta = plan.metric, plan.delta
     if plan.config.filters:
@@ -389,8 +416,10 @@ def metric_self_join(df: DataFrame, id_col: str, obj_col: str, metric: str | Met
     if config.collapse:
         return _collapsed(objs, m, delta, config)
     if m.name == "jaccard" and config.filters and delta < 1:
-        objs = materialize(with_rarest_first(objs))
+        objs = materialize(ranked_sets(objs))
     plan = make_plan(objs, m, delta, config)
+    if config.per_region and plan.rows > config.per_region:
+        plan = refined(objs, plan, config.per_region)
     return verify(route(objs, plan), plan)
 
 
@@ -427,9 +456,11 @@ def metric_join(left: DataFrame, right: DataFrame, id_cols: tuple[str, str], obj
     if m.name == "jaccard" and config.filters and delta < 1:
         # one order of tokens for both sides
         both = a.select(F.lit(0).alias("side"), "id", "obj").unionByName(b.select(F.lit(1).alias("side"), "id", "obj"))
-        both = materialize(with_rarest_first(both, ["side", "id"]))
+        both = materialize(ranked_sets(both, ("side", "id")))
         a, b = (both.where(F.col("side") == s).select("id", "obj") for s in (0, 1))
     plan = make_plan(a, m, delta, config)
+    if config.per_region and plan.rows > config.per_region:
+        plan = refined(a, plan, config.per_region)
     x = mapped(a, plan)
     if config.bounds == "data_box":
         plan.boxes = data_boxes(x, plan)
@@ -437,18 +468,12 @@ def metric_join(left: DataFrame, right: DataFrame, id_cols: tuple[str, str], obj
     whole = mapped(b, plan).select(F.explode(region_lists(plan, "whole")).alias("region"), "home", "id", "obj", "coord")
     if engine_of(plan) == "sql" and uses_prefixes(plan):
         return _prefix_pairs(materialize(kernel), materialize(whole), plan, ordered=False)
+    kernel, whole = materialize(kernel), materialize(whole)
+    parts, every = _parts([kernel, whole], config.max_region), F.explode(F.sequence(F.lit(0), F.col("parts") - 1))
+    kernel, whole = (_dealt(d, parts).withColumn(b, every).withColumnRenamed("own", a).drop("parts") for d, a, b in ((kernel, "a", "b"), (whole, "b", "a")))
     if engine_of(plan) == "sql":
-        both = kernel.alias("x").join(whole.alias("y"), F.col("x.region") == F.col("y.region"))
-        return _checked(both, plan, F.col("x.obj"), F.col("y.obj"), ordered=False)
-    counts = {}
-    for d in (kernel, whole):
-        for r in d.groupBy("region").count().where(F.col("count") > config.max_region).collect():
-            counts[r["region"]] = max(counts.get(r["region"], 0), r["count"])
-    parts = F.lit(1)
-    if counts:
-        parts = F.coalesce(F.element_at(F.create_map(*[F.lit(v) for h, c in counts.items() for v in (h, math.ceil(c / config.max_region))]), F.col("region")), F.lit(1))
-    own, every = F.pmod(F.xxhash64("id", F.lit(11)), parts).cast("int"), F.explode(F.sequence(F.lit(0), parts - 1))
-    kernel, whole = kernel.withColumn("a", own).withColumn("b", every), whole.withColumn("b", own).withColumn("a", every)
+        cell = (F.col("x.region") == F.col("y.region")) & (F.col("x.a") == F.col("y.a")) & (F.col("x.b") == F.col("y.b"))
+        return _checked(kernel.alias("x").join(whole.alias("y"), cell), plan, F.col("x.obj"), F.col("y.obj"), ordered=False)
 
     def run(p: pa.Table, q: pa.Table) -> pa.Table:
         out = [np.empty(0, np.int64), np.empty(0, np.int64), np.empty(0)]
@@ -477,24 +502,27 @@ def brute_force_join(df: DataFrame, id_col: str, obj_col: str, metric: str | Met
 def refined(objs: DataFrame, plan: JoinPlan, per_region: int, pivots_per_region: int = 400) -> JoinPlan:
     """A second level: every region of more than ``per_region`` objects is split again by a bounded sample of its own.
 
-    The cells of the cells still tile the space, so the result stays exact; regions are as many as
-    the data need although the first split saw few pivots.
+    The cells of the cells still tile the space, so the result stays exact. Both the regions (at most
+    pivots_per_region / 8 for each of the first split) and the sample are bounded whatever the rows; a region that
+    stays larger is dealt into blocks.
     """
-    x = mapped(objs, plan)
+    x = materialize(mapped(objs, plan).select("id", "home", "coord"))
     counts = {r["home"]: r["count"] for r in x.groupBy("home").count().collect()}
     big = {h: c for h, c in counts.items() if c > per_region}
     if not big:
         return plan
-    share = F.create_map(*[F.lit(v) for h, c in big.items() for v in (h, min(1.0, pivots_per_region / c))])
-    h = F.pmod(F.xxhash64("id", F.lit(plan.config.seed)), F.lit(1 << 30)) / F.lit(float(1 << 30))
-    sample = x.where(F.col("home").isin(list(big)) & (h < F.element_at(share, F.col("home")))).select("home", "coord").collect()
+    shares = F.broadcast(x.sparkSession.createDataFrame([(int(h), min(1.0, pivots_per_region / c)) for h, c in big.items()], "home int, share double"))  # a row a region
+    place = F.pmod(F.xxhash64("id", F.lit(plan.config.seed)), F.lit(1 << 30)) / F.lit(float(1 << 30))
+    sample: dict[int, list] = {}
+    for r in x.join(shares, "home").where(place < F.col("share")).orderBy("home", "id").select("home", "coord").collect():  # about pivots_per_region each
+        sample.setdefault(r["home"], []).append(r["coord"])
     t = plan.tree
     axis, cut, left, right = (list(v) for v in (t.axis, t.cut, t.left, t.right))
     leaf_of = {int(t.left[i]): i for i in range(len(t.axis)) if t.axis[i] < 0}
     regions = t.regions
     for region, count in big.items():
-        pts = np.array([r["coord"] for r in sample if r["home"] == region], float).reshape(-1, t.width)
-        sub = grow(pts, math.ceil(count / per_region), "iterative", None, plan.config.seed + region)
+        pts = np.array(sample.get(region, []), float).reshape(-1, t.width)
+        sub = grow(pts, min(math.ceil(count / per_region), max(1, pivots_per_region // 8)), "iterative", None, plan.config.seed + region)
         if sub.regions < 2:
             continue
         base = len(axis)

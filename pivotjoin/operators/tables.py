@@ -9,8 +9,9 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 #: Rows of a few numbers that are worth a file of their own.
 FILE_ROWS = 100_000
@@ -58,6 +59,19 @@ def discard(*tables: DataFrame) -> None:
         remove(t.sparkSession, t._written)
 
 
+def running_sum(df: DataFrame, order: list[str], amount: Column, out: str) -> DataFrame:
+    """Adds ``out``: the sum of ``amount`` over all rows up to this one in the order, whose keys are distinct.
+
+    Rows are dealt into ranges, and what lies before a range is a sum of few numbers, so no task sees the whole table.
+    """
+    x = materialize(df.repartitionByRange(*order).withColumn("_range", F.spark_partition_id()))
+    sums = x.groupBy("_range").agg(F.sum(amount).alias("_sum"))
+    ahead = Window.orderBy("_range").rowsBetween(Window.unboundedPreceding, -1)  # one row a range
+    sums = sums.select("_range", F.coalesce(F.sum("_sum").over(ahead), F.lit(0)).alias("_before"))
+    upto = Window.partitionBy("_range").orderBy(*order).rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    return x.withColumn("_upto", F.sum(amount).over(upto)).join(F.broadcast(sums), "_range").withColumn(out, F.col("_before") + F.col("_upto")).drop("_range", "_upto", "_before")
+
+
 def _finished(links: DataFrame) -> DataFrame:
     """Components of few links, in one task."""
 

@@ -6,6 +6,8 @@ from dataclasses import dataclass
 
 SAMPLERS = ("random", "stratified", "local", "distribution_aware", "generative")
 SPLITTERS = ("iterative", "learned", "widest")
+#: Regions that a first split makes unless more are asked for.
+MOST_REGIONS = 1024
 
 
 @dataclass(frozen=True)
@@ -22,7 +24,10 @@ class JoinConfig:
     bounds: 'data_box' and 'cell' are exact, 'pivot_box' loses pairs and is kept for measuring that.
     replication: copies go to 'lower' regions than home, or to 'both' sides as published.
     engine: 'block' (numpy, vectors) or 'sql'. max_region: rows of a region in one task; larger
-    ones are dealt into a grid. collapse: compare equal objects once.
+    ones are dealt into a grid. filters: length, prefix and position filters inside regions; segments:
+    that of segments too, for strings. collapse: compare equal objects once.
+    max_copies: a plan that expects more rows per object than this uses fewer regions; None takes it as it is.
+    per_region: regions of more objects are split again by a sample of their own; None leaves them.
     """
 
     sampler: str = "generative"
@@ -46,14 +51,19 @@ class JoinConfig:
     replication: str = "lower"
     engine: str | None = None
     filters: bool = True
+    segments: bool = False
     collapse: bool = False
     max_region: int = 20_000
     max_copies: float | None = 4.0
+    per_region: int | None = 200_000
     seed: int = 7
 
     def sized(self, rows: int) -> tuple[int, int, int]:
-        """k, p, n for so many objects: the published defaults, shrunk on small inputs, and p grown with the data."""
-        p = self.p or max(1, min(max(60, rows // 50_000), rows // 50 or 1))
+        """k, p, n for so many objects: the published defaults, shrunk on small inputs, and p grown with the data up to MOST_REGIONS.
+
+        What comes to the driver is so bounded; beyond, regions are split again (per_region) and dealt into blocks (max_region).
+        """
+        p = self.p or max(1, min(max(60, rows // 50_000), MOST_REGIONS, rows // 50 or 1))
         k = self.k or min(max(3200, 8 * p), max(4 * p, rows // 4, 1))
         n = self.n or min(10, max(1, k))
         return min(k, max(rows, 1)), p, n

@@ -13,7 +13,7 @@ from .functions.metrics import lp, metric_of
 from .operators import baselines, fits, sampling
 from .operators.join import JoinPlan, brute_force_join, make_plan, mapped, metric_join, metric_self_join, route, validate_objects
 from .operators.split import Tree, entropy, gain_ratio, split_gain
-from .operators.tables import connected_components
+from .operators.tables import connected_components, running_sum
 from .plans import measures
 from .plans.config import JoinConfig
 from .sources.io import load
@@ -88,6 +88,10 @@ _VARIANTS = {
 }
 for _name, _config in _VARIANTS.items():
     _self(f"join_{_name}", _narrow, "l1", 0.1, _NARROW_SQL, **_config)
+_self("join_region_grid_edit", w.urls, "edit", 4, w.self_join_sql("urls", "edit", 4), max_region=50)
+_self("join_region_segments_edit", w.urls, "edit", 2, w.self_join_sql("urls", "edit", 2), segments=True)
+_self("join_refined", _narrow, "l1", 0.1, _NARROW_SQL, p=4, per_region=60)
+_self("join_refined_jaccard", w.document_sets, "jaccard", 0.1, w.set_join_sql("document_sets", None, 0.1), p=4, per_region=100)
 _self("join_linf", _narrow, "linf", 0.04, w.self_join_sql("prefix4", "linf", 0.04))
 _self("join_l3", _narrow, lp(3), 0.05, w.self_join_sql("prefix4", "l3", 0.05))
 _self("join_hamming", w.line_items, "hamming", 1.0, w.self_join_sql("line_items", "hamming", 1.0))
@@ -327,11 +331,8 @@ def _(spark, sf_dir):
     d = load(spark, sf_dir, "documents").select(F.col("doc_id").alias("id"), "n_chars")
     full = fits.ecdf(d, "n_chars")
     part = sampling.random_pivots(d, 50).groupBy(F.col("n_chars").alias("value")).agg(F.count(F.lit(1)).alias("n"))
-    from pyspark.sql.window import Window
-
-    both = full.join(part, "value", "left")
-    run = F.sum(F.coalesce("n", F.lit(0))).over(Window.orderBy("value").rowsBetween(Window.unboundedPreceding, Window.currentRow))
-    return both.select(F.abs(run / F.lit(50.0) - F.col("share")).alias("gap")).agg(F.round(F.max("gap"), 6).alias("error"))
+    both = running_sum(full.join(part, "value", "left"), ["value"], F.coalesce("n", F.lit(0)), "run")
+    return both.select(F.abs(F.col("run") / F.lit(50.0) - F.col("share")).alias("gap")).agg(F.round(F.max("gap"), 6).alias("error"))
 
 
 query("ecdf", "SELECT n_chars AS value, round(max(c), 9) AS share FROM (SELECT n_chars, cume_dist() OVER (ORDER BY n_chars) AS c FROM documents) GROUP BY n_chars")(lambda spark, sf_dir: fits.ecdf(load(spark, sf_dir, "documents"), "n_chars").select("value", F.round("share", 9).alias("share")))

@@ -406,3 +406,48 @@ def test_components_by_rounds_and_in_one_task(spark):
     found = {tuple(r) for r in connected_components(e).collect()}
     assert found == {tuple(r) for r in connected_components(e, local_links=0, most_links=len(links)).collect()}
     assert {c for i, c in found if 1000 <= i < 1200} == {1000} and {c for i, c in found if i >= 5000} == {5000}
+
+
+def test_hot_region_is_dealt_into_blocks(spark):
+    """Most strings and numbers in one place: no task gets the region, and every pair is found once."""
+    import numpy as np
+
+    from pivotjoin.operators import join as j
+
+    g = np.random.default_rng(3)
+    words = ["abcdefgh"[: g.integers(4, 9)] + "xyz"[g.integers(0, 3)] * int(g.integers(0, 3)) for _ in range(150)]
+    strings = spark.createDataFrame([(i, w) for i, w in enumerate(words)], "id long, obj string")
+    numbers = spark.createDataFrame([(i, float(v)) for i, v in enumerate(g.integers(0, 5, 150))], "id long, obj double")
+    for df, metric, delta in ((strings, "edit", 1), (numbers, "abs1", 1.0)):
+        config = JoinConfig(max_region=20, p=2, sampler="random")
+        objs = j.validate_objects(df, "id", "obj", j.metric_of(metric))
+        plan = j.make_plan(objs, j.metric_of(metric), delta, config)
+        cells = j._grid(j.route(objs, plan), plan).groupBy("region", "a", "b").count().agg({"count": "max"}).first()[0]
+        assert cells <= 80  # two blocks of about 20, more where few hashes meet
+        truth = {tuple(r) for r in j.brute_force_join(df, "id", "obj", metric, delta).collect()}
+        assert {tuple(r) for r in j.metric_self_join(df, "id", "obj", metric, delta, config).collect()} == truth
+        both = j.metric_join(df, df, ("id", "id"), ("obj", "obj"), metric, delta, config).select("id_x", "id_y").collect()
+        assert len(both) == len(set(map(tuple, both))) == 2 * len(truth) + 150
+
+
+def test_plans_say_where_they_depart(spark):
+    from pivotjoin.operators import join as j
+
+    few = spark.range(10).selectExpr("id", "array(CAST(id AS DOUBLE)) AS obj")
+    objs = j.validate_objects(few, "id", "obj", j.metric_of("l1"))
+    assert any("random" in n for n in j.make_plan(objs, j.metric_of("l1"), 1.0, JoinConfig()).notes)
+    assert JoinConfig().sized(10**10)[1] == 1024 and JoinConfig().sized(10**10)[0] <= 10_000
+
+
+def test_running_sum_and_ranked_sets(spark):
+    from pivotjoin.functions.filters import ranked_sets
+    from pivotjoin.operators.tables import running_sum
+
+    x = spark.range(1000).selectExpr("(id * 7919) % 1009 AS k", "id % 13 AS v")
+    rows = sorted(running_sum(x, ["k"], F.col("v"), "s").collect(), key=lambda r: r["k"])
+    total = 0
+    for r in rows:
+        total += r["v"]
+        assert r["s"] == total
+    sets = spark.createDataFrame([(1, ["a", "b"]), (2, ["b", "c"]), (3, []), (4, ["b"])], "id long, obj array<string>")
+    assert {r["id"]: r["obj"] for r in ranked_sets(sets).collect()} == {1: [1, 3], 2: [2, 3], 3: [], 4: [3]}
