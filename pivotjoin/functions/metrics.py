@@ -183,14 +183,21 @@ EDIT = Metric("edit", "string", lambda x, y: F.levenshtein(x, y).cast("double"),
 
 
 def jaccard_block(xs: Sequence[Sequence], ys: Sequence[Sequence]) -> np.ndarray:
-    bs = [frozenset(y) for y in ys]
+    """Common tokens are counted for all xs at once, one y after the other."""
+    sizes = np.array([len(x) for x in xs], np.int64)
+    number = {t: i for i, t in enumerate({t for y in ys for t in y})}
+    flat = np.array([number.get(t, -1) for x in xs for t in x], np.int64)
+    ends = np.cumsum(sizes)
     out = np.zeros((len(xs), len(ys)))
-    for i, x in enumerate(xs):
-        a = frozenset(x)
-        for j, b in enumerate(bs):
-            both = len(a & b)
-            either = len(a) + len(b) - both
-            out[i, j] = 1.0 - both / either if either else 0.0
+    mark = np.zeros(len(number) + 1, bool)  # the last place is that of tokens that no y has
+    for j, y in enumerate(ys):
+        at = [number[t] for t in y]
+        mark[at] = True
+        upto = np.concatenate(([0], np.cumsum(mark[flat])))
+        mark[at] = False
+        both = upto[ends] - upto[ends - sizes]
+        either = sizes + len(y) - both
+        out[:, j] = np.where(either > 0, 1.0 - both / np.maximum(either, 1), 0.0)
     return out
 
 

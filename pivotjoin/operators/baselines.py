@@ -9,9 +9,10 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from ..functions import filters
-from ..functions.metrics import Metric, as_matrix, metric_of, objects, padded
+from ..functions.metrics import Metric, as_matrix, metric_of, objects, padded, rows_to_arrow
 from ..plans.config import JoinConfig
 from .join import PAIRS, JoinPlan, metric_self_join, validate_objects, verify
 from .sampling import random_pivots
@@ -68,36 +69,59 @@ def nearest_pivot_join(df: DataFrame, id_col: str, obj_col: str, metric: str | M
     return verify(_cells(objs, pivots, m, delta), _stub(m, delta, JoinConfig(seed=seed), pivots))
 
 
-def repartition_join(df: DataFrame, id_col: str, obj_col: str, metric: str | Metric, delta: float, p: int = 16, heavy: int = 100, parts: int = 8, seed: int = 7) -> DataFrame:
-    """Cells of the nearest pivot; heavy ones are dealt again by pivots of their own.
+def _own_distances(m: Metric, of: dict[int, list]):
+    """UDF (region, obj) -> distances to the region's own pivots, filled up to one length with infinity."""
+    block, width = m.block, max(map(len, of.values()))
+
+    @F.arrow_udf("array<double>")
+    def far(region: pa.Array, obj: pa.Array) -> pa.Array:
+        at = region.to_numpy(zero_copy_only=False)
+        out = np.full((len(at), width), np.inf)
+        for r in np.unique(at).tolist():
+            rows = np.flatnonzero(at == r)
+            out[rows, : len(of[r])] = block(objects(obj.take(pa.array(rows))), of[r])
+        return rows_to_arrow(out)
+
+    return far
+
+
+def repartition_join(df: DataFrame, id_col: str, obj_col: str, metric: str | Metric, delta: float, p: int | None = None, heavy: int = 100, parts: int = 64, seed: int = 7) -> DataFrame:
+    """Cells of the nearest pivot; heavy ones are dealt again by pivots of their own, all of them in one pass.
 
     Each object of a heavy cell has a home in the second level too, and copies by the same rule, so
-    a pair meets once in each level.
+    a pair meets once in each level. ``p``: first cells, None by the number of objects; a cell gets a pivot of its own
+    for every ``heavy`` objects, ``parts`` at most.
     """
     m = metric_of(metric)
     objs = validate_objects(df, id_col, obj_col, m)
-    pivots = _pivots(objs, p, seed)
+    pivots = _pivots(objs, p or JoinConfig(k=1, n=1).sized(objs.count())[1], seed)
     if not pivots:
         return objs.sparkSession.createDataFrame([], PAIRS)
-    first = materialize(_cells(objs, pivots, m, delta))
-    big = [r["region"] for r in first.groupBy("region").count().where(F.col("count") > heavy).collect()]
     plan = _stub(m, delta, JoinConfig(seed=seed), pivots)
-    light = verify(first.where(~F.col("region").isin(big)) if big else first, plan)
-    for region in big:
-        inside = first.where(F.col("region") == region)
-        own = _pivots(inside.where(F.col("home") == region).select("id", "obj"), parts, seed + region + 1)
-        x = inside.select("id", "obj", F.col("home").alias("first"), "coord").withColumn("far", m.to_axes(F.col("obj"), own)).withColumn("sub_home", _nearest("far"))
-        reach = F.element_at("far", F.col("sub_home") + 1) + F.lit(2 * padded(delta))
-        x = x.withColumn("sub", F.explode(F.filter(F.sequence(F.lit(0), F.col("sub_home")), lambda j: (j == F.col("sub_home")) | (F.element_at(F.col("far"), j + 1) <= reach))))
-        a, b = x.where("sub = sub_home").alias("x"), x.alias("y")
-        once = F.when(F.col("y.sub_home") == F.col("y.sub"), F.col("x.id") < F.col("y.id")).otherwise(F.col("y.sub_home") > F.col("y.sub"))
-        # in the first level: both at home here, or one at home and the other a copy from a later cell
-        ours = (F.col("x.first") == region) & (F.col("y.first") >= region) | (F.col("y.first") == region) & (F.col("x.first") > region)
-        both = a.join(b, (F.col("x.sub") == F.col("y.sub")) & once & ours)
-        px, py = F.col("x.obj"), F.col("y.obj")
-        both = both.where(m.at_most(px, py, delta))
-        light = light.unionByName(both.select(F.least("x.id", "y.id").alias("id_x"), F.greatest("x.id", "y.id").alias("id_y"), m.distance(px, py).cast("double").alias("distance")))
-    return light
+    first = materialize(_cells(objs, pivots, m, delta))
+    sizes = first.groupBy("region").count().where(F.col("count") > heavy).select("region", F.least(F.lit(parts), F.ceil(F.col("count") / heavy)).cast("int").alias("own"))
+    sizes = F.broadcast(materialize(sizes, len(pivots)))  # a row a pivot
+    light = verify(first.join(sizes, "region", "left_anti"), plan)
+    deep = first.join(sizes, "region")
+    rank = F.row_number().over(Window.partitionBy("region").orderBy(F.xxhash64("id", F.lit(seed + 1))))
+    of: dict[int, list] = {}
+    for r in deep.where("home = region").withColumn("r", rank).where("r <= own").select("region", "obj").collect():  # at most parts for each pivot
+        if r["obj"] not in (mine := of.setdefault(r["region"], [])):
+            mine.append(r["obj"])
+    if not of:
+        return light
+    deep = deep.where(F.col("region").isin(list(of))).select("region", "id", "obj", "home").withColumn("far", _own_distances(m, of)("region", "obj")).withColumn("sub_home", _nearest("far"))
+    reach = F.element_at("far", F.col("sub_home") + 1) + F.lit(2 * padded(delta))
+    deep = materialize(deep.withColumn("sub", F.explode(F.filter(F.sequence(F.lit(0), F.col("sub_home")), lambda j: (j == F.col("sub_home")) | (F.element_at(F.col("far"), j + 1) <= reach)))).drop("far"))
+    x, y = deep.where("sub = sub_home").alias("x"), deep.alias("y")
+    once = F.when(F.col("y.sub_home") == F.col("y.sub"), F.col("x.id") < F.col("y.id")).otherwise(F.col("y.sub_home") > F.col("y.sub"))
+    # in the first level: both at home here, or one at home and the other a copy from a later cell
+    here = F.col("x.region")
+    ours = (F.col("x.home") == here) & (F.col("y.home") >= here) | (F.col("y.home") == here) & (F.col("x.home") > here)
+    both = x.join(y, (here == F.col("y.region")) & (F.col("x.sub") == F.col("y.sub")) & once & ours)
+    px, py = F.col("x.obj"), F.col("y.obj")
+    both = both.where(m.at_most(px, py, delta))
+    return light.unionByName(both.select(F.least("x.id", "y.id").alias("id_x"), F.greatest("x.id", "y.id").alias("id_y"), m.distance(px, py).cast("double").alias("distance")))
 
 
 def _spread(m: Metric, delta: float, of: dict[str, list]):
@@ -120,28 +144,31 @@ def _spread(m: Metric, delta: float, of: dict[str, list]):
     return spread
 
 
-def multi_round_join(df: DataFrame, id_col: str, obj_col: str, metric: str | Metric, delta: float, max_part: int = 100, pivots: int = 4, max_rounds: int = 4, seed: int = 7) -> DataFrame:
+def multi_round_join(df: DataFrame, id_col: str, obj_col: str, metric: str | Metric, delta: float, max_part: int = 100, pivots: int = 4, max_rounds: int = 20, seed: int = 7) -> DataFrame:
     """Parts by the nearest pivot and windows along their borders; what is still too large is split in another round.
 
     A window holds the objects of two parts that are within delta of their border; only pairs of
     different sides count there. ``tags`` keeps the sides of all windows an object is in, so a pair is
-    found in one part alone. Every round is a job of its own on a written table.
+    found in one part alone. Every round is a job of its own on a written table; parts that are
+    still above half of what they came from (objects that no pivot tells apart) are compared as they are.
     """
     m = metric_of(metric)
     objs = validate_objects(df, id_col, obj_col, m)
+    if m.name == "jaccard":
+        objs = materialize(filters.ranked_sets(objs))
     spark = objs.sparkSession
     state = objs.select(F.lit("0").alias("part"), F.array().cast("array<int>").alias("tags"), "id", "obj")
     done: list[DataFrame] = []
+    before: dict[str, int] = {}
     for step in range(max_rounds):
         state = materialize(state)
-        big = [r["part"] for r in state.groupBy("part").count().where(F.col("count") > max_part).collect()]
+        sizes = {r["part"]: r["count"] for r in state.groupBy("part").count().where(F.col("count") > max_part).collect()}  # at most N / max_part rows
+        big = [p for p, n in sizes.items() if 2 * n <= before.get(p.rpartition(".")[0], 2 * n) and step < max_rounds - 1]
         done.append(state.where(~F.col("part").isin(big)) if big else state)
         if not big:
             break
+        before = sizes
         left = state.where(F.col("part").isin(big))
-        if step == max_rounds - 1:
-            done.append(left)
-            break
         chosen = left.withColumn("r", F.row_number().over(_window(seed + step))).where(F.col("r") <= pivots).select("part", "obj").collect()
         of: dict[str, list] = {}
         for r in chosen:
@@ -161,8 +188,6 @@ def multi_round_join(df: DataFrame, id_col: str, obj_col: str, metric: str | Met
 
 
 def _window(seed: int):
-    from pyspark.sql.window import Window
-
     return Window.partitionBy("part").orderBy(F.xxhash64("id", F.lit(seed)))
 
 
@@ -175,28 +200,56 @@ def segment_signature_join(df: DataFrame, id_col: str, obj_col: str, metric: str
     return filters.verified(_with_empty(filters.prefix_candidates(objs, delta, positions=True), objs), objs, m, delta)
 
 
-def _with_empty(candidates: DataFrame, objs: DataFrame) -> DataFrame:
-    """Empty sets share no token but are at distance 0: a chain of them would do for classes, but all their pairs are results."""
+def _empty_pairs(objs: DataFrame, block: int = 1000) -> DataFrame:
+    """(id_x, id_y) of all empty sets: they share no token but are at distance 0. They are dealt into blocks, and each pair of blocks is a key."""
     empty = objs.where(F.size("obj") == 0).select("id")
-    both = empty.alias("x").join(empty.alias("y"), F.col("x.id") < F.col("y.id"))
-    return candidates.unionByName(both.select(F.col("x.id").alias("id_x"), F.col("y.id").alias("id_y")))
+    blocks = max(1, -(-empty.count() // block))
+    x = empty.withColumn("own", F.pmod(F.xxhash64("id"), F.lit(blocks)).cast("int")).withColumn("_o", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
+    x = x.select("id", "own", F.least("own", "_o").alias("a"), F.greatest("own", "_o").alias("b"))
+    x, y = x.alias("x"), x.alias("y")
+    both = x.join(y, (F.col("x.a") == F.col("y.a")) & (F.col("x.b") == F.col("y.b")) & (F.col("x.id") < F.col("y.id")) & ((F.col("x.a") == F.col("x.b")) | (F.col("x.own") != F.col("y.own"))))
+    return both.select(F.col("x.id").alias("id_x"), F.col("y.id").alias("id_y"))
+
+
+def _with_empty(candidates: DataFrame, objs: DataFrame) -> DataFrame:
+    return candidates.unionByName(_empty_pairs(objs))
+
+
+def set_fragments(sets: DataFrame, fragments: int) -> DataFrame:
+    """(id, size, fragment, head, tail, items): sets of token ranks cut at common ranks into parts of about equal load; head and tail tokens lie before and after a part."""
+    load = sets.select(F.explode("obj").alias("t")).agg(F.percentile_approx("t", [i / fragments for i in range(1, fragments)] or [1.0], 1000 * fragments).alias("cuts")).first()["cuts"] or []
+    cuts = sorted(set(load[: fragments - 1]))
+    bounds = list(zip([0, *cuts], [*cuts, (1 << 62)], strict=True))
+    between = lambda a, b: F.filter("obj", lambda t: (t > F.lit(a)) & (t <= F.lit(b)))
+    parts = F.array(*[F.struct(F.lit(i).alias("fragment"), between(a, b).alias("items")) for i, (a, b) in enumerate(bounds)])
+    x = sets.select("id", F.size("obj").alias("size"), "obj", F.explode(parts).alias("p")).where(F.size("p.items") > 0)
+    head = F.array_position("obj", F.element_at("p.items", 1)).cast("int") - 1
+    return x.select("id", "size", "p.fragment", head.alias("head"), (F.col("size") - head - F.size("p.items")).alias("tail"), "p.items")
 
 
 def fragment_set_join(df: DataFrame, id_col: str, obj_col: str, delta: float, fragments: int = 8) -> DataFrame:
-    """Sets are cut into fragments of the tokens; overlaps are counted in each fragment and added up.
+    """Sets are cut into fragments of the tokens' order; overlaps are counted in each fragment and added up.
 
-    Only pairs that share a token of both prefixes are counted, so frequent tokens make no pairs.
+    A fragment proposes the pairs that share one of its tokens in both sets' prefixes with enough
+    behind it. Then each fragment counts what a pair has in common there: a pair goes as soon as a count is
+    below what the tokens before and after the fragment leave to be reached.
     """
     if delta >= 1:
         raise ValueError("below 1 only: sets without a common token are not compared")
-    m = metric_of("jaccard")
-    objs = validate_objects(df, id_col, obj_col, m)
-    each = objs.select("id", F.size("obj").alias("size"), F.explode("obj").alias("token")).withColumn("fragment", F.pmod(F.xxhash64("token"), F.lit(fragments)))
-    left = filters.prefix_candidates(objs, delta).join(each.alias("x"), F.col("id_x") == F.col("x.id")).select("id_x", "id_y", "fragment", "token", F.col("size").alias("sx"))
-    right = each.select(F.col("id").alias("id_y"), "fragment", "token", F.col("size").alias("sy"))
-    part = left.join(right, ["id_y", "fragment", "token"]).groupBy("id_x", "id_y", "fragment", "sx", "sy").agg(F.count(F.lit(1)).alias("n"))
-    total = part.groupBy("id_x", "id_y", "sx", "sy").agg(F.sum("n").alias("n"))
-    found = total.select("id_x", "id_y", (1.0 - F.col("n") / (F.col("sx") + F.col("sy") - F.col("n"))).alias("distance")).where(F.col("distance") <= F.lit(padded(delta)))
-    none = objs.where(F.size("obj") == 0).select("id")
-    zero = none.alias("x").join(none.alias("y"), F.col("x.id") < F.col("y.id")).select(F.col("x.id").alias("id_x"), F.col("y.id").alias("id_y"), F.lit(0.0).alias("distance"))
-    return found.unionByName(zero)
+    objs = validate_objects(df, id_col, obj_col, metric_of("jaccard"))
+    objs = materialize(objs)
+    parts = materialize(set_fragments(filters.ranked_sets(objs), fragments))
+    posted = parts.select("fragment", "id", "size", "head", F.posexplode("items").alias("at", "token")).withColumn("pos", F.col("head") + F.col("at"))
+    posted = materialize(posted.where(F.col("pos") < filters.prefix_length(F.col("size"), delta)).select("fragment", "token", "id", "size", "pos"))
+    x, y = posted.alias("x"), posted.alias("y")
+    on = (F.col("x.fragment") == F.col("y.fragment")) & (F.col("x.token") == F.col("y.token")) & (F.col("x.id") < F.col("y.id"))
+    pairs = x.join(y, on & filters.size_close(F.col("x.size"), F.col("y.size"), delta) & filters.enough_left("x", "y", delta))
+    pairs = materialize(pairs.select(F.col("x.id").alias("id_x"), F.col("y.id").alias("id_y")).distinct())
+    x, y = parts.alias("x"), parts.alias("y")
+    both = pairs.join(x, F.col("id_x") == F.col("x.id")).join(y, (F.col("id_y") == F.col("y.id")) & (F.col("x.fragment") == F.col("y.fragment")))
+    common = F.size(F.array_intersect("x.items", "y.items"))
+    least = filters.needed_overlap(F.col("x.size"), F.col("y.size"), delta) - F.least("x.head", "y.head") - F.least("x.tail", "y.tail")
+    counted = both.select("id_x", "id_y", common.alias("n"), least.alias("least"), (F.col("x.size") + F.col("y.size")).alias("sizes"))
+    total = counted.groupBy("id_x", "id_y", "sizes").agg(F.sum("n").alias("n"), F.bool_and(F.col("n") >= F.col("least")).alias("possible")).where("possible")
+    found = total.select("id_x", "id_y", (1.0 - F.col("n") / (F.col("sizes") - F.col("n"))).alias("distance")).where(F.col("distance") <= F.lit(padded(delta)))
+    return found.unionByName(_empty_pairs(objs).withColumn("distance", F.lit(0.0)))

@@ -108,6 +108,24 @@ query("baseline_segment_signature", w.self_join_sql("urls", "edit", 4))(lambda s
 query("baseline_prefix_signature", w.set_join_sql("document_sets", None, 0.25))(lambda spark, sf_dir: rounded(baselines.segment_signature_join(w.document_sets(spark, sf_dir), "id", "obj", "jaccard", 0.25)))
 query("baseline_fragment_set", w.set_join_sql("document_sets", None, 0.25))(lambda spark, sf_dir: rounded(baselines.fragment_set_join(w.document_sets(spark, sf_dir), "id", "obj", 0.25)))
 
+# the competitors on strings, on sets and on whole vectors
+for _name, _join in {"multi_round": baselines.multi_round_join, "kd_split": baselines.kd_split_join}.items():
+    query(f"baseline_{_name}_edit", w.self_join_sql("urls", "edit", 4))(lambda spark, sf_dir, f=_join: rounded(f(w.urls(spark, sf_dir), "id", "obj", "edit", 4)))
+    query(f"baseline_{_name}_jaccard", w.set_join_sql("document_sets", None, 0.25))(lambda spark, sf_dir, f=_join: rounded(f(w.document_sets(spark, sf_dir), "id", "obj", "jaccard", 0.25)))
+for _name in ("multi_round", "repartition", "nearest_pivot", "kd_split"):
+    query(f"baseline_{_name}_whole", w.self_join_sql("descriptors", "l1", 7.0))(lambda spark, sf_dir, f=_BASELINES[_name]: rounded(f(w.descriptors(spark, sf_dir), "id", "obj", "l1", 7.0)))
+for _sampler, _splitter in (("random", "iterative"), ("distribution_aware", "iterative"), ("generative", "iterative")):
+    _self(f"join_{_sampler.replace('distribution_aware', 'distaware')}_{_splitter}_whole", w.descriptors, "l1", 7.0, w.self_join_sql("descriptors", "l1", 7.0), sampler=_sampler, splitter=_splitter)
+# the other thresholds of the workloads
+for _delta in (6.6, 7.5):
+    _self(f"w2_embedding_l1_{_delta}", w.descriptors, "l1", _delta, w.self_join_sql("descriptors", "l1", _delta))
+for _delta in (2, 8):
+    _self(f"w3_url_edit_{_delta}", w.urls, "edit", _delta, w.self_join_sql("urls", "edit", _delta))
+for _delta in (0.1, 0.4):
+    _self(f"w4_document_jaccard_{_delta}", w.document_sets, "jaccard", _delta, w.set_join_sql("document_sets", None, _delta))
+for _delta in (6.0, 8.0):
+    _self(f"w1_activity_l2_{_delta:g}", w.activity, "l2", _delta, w.self_join_sql("activity", "l2", _delta))
+
 # -- filters -------------------------------------------------------------------------------------
 _RANKED = f"""WITH d AS MATERIALIZED ({w.SQL["document_sets"]}), e AS (SELECT id, len(obj) AS size, unnest(obj) AS token FROM d), f AS (SELECT token, count(*) AS n FROM e GROUP BY token),
  r AS (SELECT id, size, token, row_number() OVER (PARTITION BY id ORDER BY n, token) - 1 AS pos FROM e JOIN f USING (token)),
