@@ -186,7 +186,7 @@ def fit_numeric(mean_t: Sequence[float], family: Family, start: Sequence[float],
     """eta whose gradient of A is the mean of T, for families without a closed inverse.
 
     Newton steps or gradient ascent on the mean log likelihood; derivatives of A are taken by
-    differences, and steps are halved while they leave the domain. No data are read.
+    differences, and steps are halved while they leave the domain or fall. No data are read.
     """
     e, t = np.array(start, float), np.asarray(mean_t, float)
 
@@ -210,6 +210,7 @@ def fit_numeric(mean_t: Sequence[float], family: Family, start: Sequence[float],
         now, scale = value(e), 1.0
         while value(e + scale * step) < now and scale > 1e-12:
             scale /= 2
+        rate *= 1.5 if scale == 1.0 else scale  # longer steps as long as they climb
         e = e + scale * step
         if np.abs(scale * step).max() < tol * max(1.0, np.abs(e).max()):
             break

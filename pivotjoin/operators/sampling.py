@@ -21,14 +21,14 @@ def random_pivots(df: DataFrame, k: int, id_col: str = "id", seed: int = 7) -> D
 
 
 def shares(weights: Sequence[float], k: int, caps: Sequence[int] | None = None) -> list[int]:
-    """k dealt in proportion to the weights by largest remainders; what exceeds a cap goes to the others."""
+    """k dealt in proportion to the weights by largest remainders, equal ones (to nine digits) from the first; what exceeds a cap goes to the others."""
     out, open_ = [0] * len(weights), [i for i, w in enumerate(weights) if w > 0]
     left = min(k, sum(caps)) if caps is not None else k
     while left and open_:
         total = sum(weights[i] for i in open_)
         exact = {i: left * weights[i] / total for i in open_}
         now = {i: int(exact[i]) for i in open_}
-        for i in sorted(open_, key=lambda i: (now[i] - exact[i], i))[: left - sum(now.values())]:
+        for i in sorted(open_, key=lambda i: (round(now[i] - exact[i], 9), i))[: left - sum(now.values())]:
             now[i] += 1
         for i in open_:
             out[i] += now[i]

@@ -8,8 +8,9 @@ from pyspark.sql import functions as F
 
 from . import workloads as w
 from .functions import filters
-from .functions.families import Dirichlet, Wishart, fit_numeric
+from .functions.families import FAMILIES, Dirichlet, Wishart, fit_numeric
 from .functions.metrics import lp, metric_of
+from .functions.numerics import digamma
 from .operators import baselines, fits, sampling
 from .operators.join import JoinPlan, brute_force_join, make_plan, mapped, metric_join, metric_self_join, route, validate_objects
 from .operators.split import Tree, entropy, gain_ratio, split_gain
@@ -134,7 +135,14 @@ _MATCHED = "SELECT x.id AS id_x, y.id AS id_y, min(x.pos) AS i, min(y.pos) AS j,
 query("filter_length", f"WITH v AS ({w.SQL['urls']}) SELECT x.id AS id_x, y.id AS id_y FROM v x JOIN v y ON x.id < y.id AND abs(length(x.obj) - length(y.obj)) <= 2")(lambda spark, sf_dir: filters.length_candidates(w.urls(spark, sf_dir), 2))
 query("filter_prefix", f"{_RANKED} SELECT id_x, id_y FROM ({_MATCHED})")(lambda spark, sf_dir: filters.prefix_candidates(w.document_sets(spark, sf_dir), 0.1))
 query("filter_position", f"{_RANKED} SELECT id_x, id_y FROM ({_MATCHED}) WHERE least(sx - i, sy - j) >= ceil(0.9 / 1.9 * (sx + sy) - 1e-9)")(lambda spark, sf_dir: filters.prefix_candidates(w.document_sets(spark, sf_dir), 0.1, positions=True))
-query("filter_segment")(lambda spark, sf_dir: filters.segment_candidates(w.urls(spark, sf_dir), 4))
+_SEGMENTS = f"""WITH v AS MATERIALIZED ({w.SQL['urls']}), i AS (SELECT CAST(unnest(range(5)) AS INT) AS i),
+ x AS (SELECT id, length(obj) AS n, i, substr(obj, i * length(obj) // 5 + 1, (i + 1) * length(obj) // 5 - i * length(obj) // 5) AS seg FROM v, i),
+ l AS (SELECT id, obj, length(obj) AS len, unnest(range(greatest(length(obj) - 4, 0), length(obj) + 5)) AS n FROM v),
+ b AS (SELECT id, obj, len, n, i, i * n // 5 AS a, (i + 1) * n // 5 - i * n // 5 AS size FROM l, i),
+ k AS (SELECT id, obj, n, i, size, unnest(range(greatest(a - 4, 0), greatest(a - 4, 0, least(a + 4, len - size)) + 1)) AS pos FROM b),
+ y AS (SELECT DISTINCT id, n, i, substr(obj, pos + 1, size) AS seg FROM k)
+ SELECT DISTINCT least(x.id, y.id) AS id_x, greatest(x.id, y.id) AS id_y FROM x JOIN y ON x.n = y.n AND x.i = y.i AND x.seg = y.seg AND x.id <> y.id"""
+query("filter_segment", _SEGMENTS)(lambda spark, sf_dir: filters.segment_candidates(w.urls(spark, sf_dir), 4))
 query("token_order", f"SELECT token, n, row_number() OVER (ORDER BY n, token) AS rank FROM (SELECT token, count(*) AS n FROM (SELECT unnest(obj) AS token FROM ({w.SQL['document_sets']})) GROUP BY token)")(lambda spark, sf_dir: filters.token_order(w.document_sets(spark, sf_dir)))
 
 # -- distribution fits ---------------------------------------------------------------------------
@@ -211,32 +219,47 @@ def _(spark, sf_dir):
     return x.groupBy(F.col("label").alias("node")).agg(F.count(F.lit(1)).alias("n"), *[F.round(F.avg(c), 6).alias(c) for c in ("aa", "ab", "bb")], F.round(F.avg(det), 6).alias("mean_logdet"))
 
 
-@query("fit_gamma")
+_TOTALS = "(SELECT user_id, sum(value) AS total FROM events GROUP BY user_id) WHERE total > 0"
+
+
+@query("fit_gamma", f"SELECT CAST(user_id % 4 AS INT) AS node, round(avg(total), 4) AS mean, round(avg(ln(total)), 6) AS mean_log FROM {_TOTALS} GROUP BY 1")
 def _(spark, sf_dir):
+    """What the fitted laws expect of x and of its logarithm: the most likely parameters reproduce the means of both."""
     x = load(spark, sf_dir, "events").groupBy("user_id").agg(F.sum("value").alias("t")).where("t > 0")
     x = x.select(F.col("user_id").alias("id"), F.array("t").alias("obj"), (F.col("user_id") % 4).cast("int").alias("node"))
-    return fits.fits_table(spark, fits.fit_nodes(x, families=("gamma",)))
+    found = [(f.node, f.dims[0].params["shape"], f.dims[0].params["rate"]) for f in fits.fit_nodes(x, families=("gamma",), gof_rows=None)]
+    return spark.createDataFrame([(k, round(float(a / b), 4), round(float(digamma(a) - np.log(b)), 6)) for k, a, b in found], "node int, mean double, mean_log double")
 
 
-@query("fit_dirichlet")
+@query("fit_dirichlet", f"""WITH a AS ({w.SQL["activity"]}), s AS (SELECT id, [list_sum(obj[i * 4 + 1:i * 4 + 4]) + 0.5 for i in range(5)] AS t FROM a)
+ SELECT CAST(id % 4 AS INT) AS node, CAST(i - 1 AS INT) AS dim, round(avg(ln(t[i] / list_sum(t))), 5) AS mean_log FROM s, (SELECT unnest(range(1, 6)) AS i) GROUP BY 1, 2""")
 def _(spark, sf_dir):
+    """What the fitted laws expect of the logarithm of each share: the most likely parameters reproduce its mean."""
     m = fits.vector_moments(_type_shares(spark, sf_dir)).orderBy("node", "dim").collect()
     by: dict[int, list[float]] = {}
     for r in m:
         by.setdefault(r["node"], []).append(r["log"] / r["n"])
-    return spark.createDataFrame([(k, d, float(a)) for k, v in by.items() for d, a in enumerate(Dirichlet.fit(v).alpha)], "node int, dim int, alpha double")
+    found = {k: np.array(Dirichlet.fit(v).alpha) for k, v in by.items()}
+    return spark.createDataFrame([(k, d, round(float(digamma(a) - digamma(alpha.sum())), 5)) for k, alpha in found.items() for d, a in enumerate(alpha)], "node int, dim int, mean_log double")
 
 
-@query("fit_wishart")
+@query("fit_wishart", """WITH s AS (SELECT label, vec_id // 100 AS block, count(*) AS n, sum(CAST(embedding[1] AS DOUBLE) ** 2) AS aa, sum(CAST(embedding[1] AS DOUBLE) * CAST(embedding[2] AS DOUBLE)) AS ab, sum(CAST(embedding[2] AS DOUBLE) ** 2) AS bb
+ FROM embeddings GROUP BY 1, 2 HAVING count(*) >= 3) SELECT label AS node, round(avg(aa), 4) AS aa, round(avg(ab), 4) AS ab, round(avg(bb), 4) AS bb, round(avg(ln(aa * bb - ab * ab)), 4) AS mean_logdet FROM s GROUP BY label HAVING count(*) >= 2""")
 def _(spark, sf_dir):
-    r = QUERIES["fit_wishart_stats"](spark, sf_dir).collect()
-    found = [(x["node"], Wishart.fit(np.array([[x["aa"], x["ab"]], [x["ab"], x["bb"]]]), x["mean_logdet"])) for x in r if x["n"] >= 2]
-    return spark.createDataFrame([(k, f.dof, [float(v) for v in f.v.ravel()]) for k, f in found], "node int, dof double, v array<double>")
+    """What the fitted laws expect of the matrix and of the logarithm of its determinant."""
+    out = []
+    for x in QUERIES["fit_wishart_stats"](spark, sf_dir).collect():
+        if x["n"] >= 2:
+            f = Wishart.fit(np.array([[x["aa"], x["ab"]], [x["ab"], x["bb"]]]), x["mean_logdet"])
+            mean = f.dof * np.asarray(f.v)
+            log_det = digamma(f.dof / 2) + digamma((f.dof - 1) / 2) + 2 * np.log(2) + np.log(np.linalg.det(f.v))
+            out.append((x["node"], *[round(float(v), 4) for v in (mean[0, 0], mean[0, 1], mean[1, 1])], round(float(log_det), 4)))
+    return spark.createDataFrame(out, "node int, aa double, ab double, bb double, mean_logdet double")
 
 
-@query("fit_numeric")
+@query("fit_numeric", f"SELECT CAST(user_id % 4 AS INT) AS node, how, round(avg(total), 1) AS mean, round(avg(ln(total)), 3) AS mean_log FROM {_TOTALS.replace(' WHERE', ', (SELECT unnest([$$newton$$, $$gradient$$]) AS how) WHERE')} GROUP BY 1, 2")
 def _(spark, sf_dir):
-    """Gamma by Newton and by gradient steps on the mean statistics, without the closed equation."""
+    """Gamma by Newton and by gradient steps on the mean statistics, without the closed equation; what the fitted laws expect."""
     from .functions.families import GAMMA
 
     out = []
@@ -245,8 +268,9 @@ def _(spark, sf_dir):
         t[0] -= np.log(1000)
         for how in ("newton", "gradient"):
             e = fit_numeric(t, GAMMA, [0.5, -1.0], how)
-            out.append((r["node"], how, float(e[0] + 1), float(-e[1] / 1000)))
-    return spark.createDataFrame(out, "node int, how string, shape double, rate double")
+            shape, rate = float(e[0] + 1), float(-e[1] / 1000)
+            out.append((r["node"], how, round(shape / rate, 1), round(float(digamma(shape) - np.log(rate)), 3)))
+    return spark.createDataFrame(out, "node int, how string, mean double, mean_log double")
 
 
 _CELLS = 20
@@ -266,6 +290,26 @@ def _(spark, sf_dir):
     return c.groupBy("node", "n").agg(F.round(F.sum(F.pow(F.col("seen") - want, 2) / want) + (_CELLS - F.count(F.lit(1))) * F.first(want), 6).alias("k_stat"))
 
 
+_STATS = [(k, d) for d in (1, 2, 5, 17, 60) for k in (0.5, 3.0, 16.0, 55.0, 90.0)]
+#: The upper tail of the chi-square law by the series of its lower one.
+_TAIL = """(SELECT k_stat, dof, 1 - sum(exp(dof / 2.0 * ln(k_stat / 2) - k_stat / 2 - lgamma(dof / 2.0 + n + 1) + n * ln(k_stat / 2))) AS c
+ FROM (VALUES {0}) AS t(k_stat, dof), (SELECT unnest(range(400)) AS n) GROUP BY k_stat, dof)"""
+
+
+@query("chi_square_confidence", f"SELECT CAST(k_stat AS DOUBLE) AS k_stat, dof, round(c, 6) AS confidence FROM {_TAIL.format(', '.join(str(v) for v in _STATS))}")
+def _(spark, sf_dir):
+    return spark.createDataFrame([(k, d, round(float(fits.confidence(k, d)), 6)) for k, d in _STATS], "k_stat double, dof int, confidence double")
+
+
+_POOL = [(3.0, 5), (9.0, 5), (6.0, 5)]  # one number of degrees of freedom, so that the level of the mean statistic is that of the sum
+
+
+@query("global_confidence_levels", f"SELECT mode, round(c, 6) AS confidence FROM (SELECT 'pooled' AS mode, c FROM {_TAIL.format('(18.0, 15)')} UNION ALL SELECT 'quantile_sum', c FROM {_TAIL.format('(6.0, 5)')})")
+def _(spark, sf_dir):
+    """Both readings of the confidence of three nodes together."""
+    return spark.createDataFrame([(m, round(float(fits.global_confidence(_POOL, m)), 6)) for m in ("pooled", "quantile_sum")], "mode string, confidence double")
+
+
 def _value_fits(spark, sf_dir) -> list:
     return fits.fit_nodes(_event_values(spark, sf_dir), families=("exponential", "normal", "gamma"), gof_rows=None)
 
@@ -315,7 +359,13 @@ def _(spark, sf_dir):
     return sampling.local_stratified_pivots(_lang_nodes(spark, sf_dir), 50).select("id", "node")
 
 
-@query("sample_stratified")
+_STRATIFIED = f"""WITH d AS (SELECT doc_id AS id, n_chars, {_hash_sql('doc_id', 7)} AS h FROM documents), q AS (SELECT quantile_disc(n_chars, [0.2, 0.4, 0.6, 0.8]) AS cuts FROM d),
+ s AS (SELECT d.*, len(list_filter(cuts, lambda c: n_chars > c)) AS stratum FROM d, q), n AS (SELECT stratum, count(*) AS n, 50 * count(*) / CAST(sum(count(*)) OVER () AS DOUBLE) AS want FROM s GROUP BY stratum),
+ m AS (SELECT stratum, floor(want) + CAST(row_number() OVER (ORDER BY floor(want) - want, stratum) <= 50 - sum(floor(want)) OVER () AS INT) AS take FROM n)
+ SELECT id, n_chars FROM (SELECT s.*, take, row_number() OVER (PARTITION BY stratum ORDER BY h, id) AS r FROM s JOIN m USING (stratum)) WHERE r <= take"""
+
+
+@query("sample_stratified", _STRATIFIED)
 def _(spark, sf_dir):
     return sampling.shuffled_stratified_pivots(_lang_nodes(spark, sf_dir), 50, 5, "n_chars").select("id", "n_chars")
 
@@ -331,6 +381,29 @@ def _(spark, sf_dir):
     return sampling.distribution_aware_pivots(x, f, 100)
 
 
+_LAW = 0.125  # the deviation of an entry of a unit vector with 64 entries
+_NODE_CONFIDENCE = 0.5
+_SLICES = ", ".join(f"({n}, {b}, {float(FAMILIES['normal'].quantile({'mean': 0.0, 'var': _LAW**2}, b / n))!r})" for n in range(2, 12) for b in range(1, n))
+_DRAWN = f"""WITH x AS (SELECT vec_id AS id, label AS node, CAST(embedding[1] AS DOUBLE) AS v, {_hash_sql('vec_id', 7)} AS h, CAST({_hash_sql('vec_id', 38)} >= {_NODE_CONFIDENCE} * {fits.MIX_P} AS INT) AS rejected FROM embeddings),
+ n AS (SELECT node, count(*) AS n, 100 * count(*) / CAST(sum(count(*)) OVER () AS DOUBLE) AS want FROM x GROUP BY node),
+ m AS (SELECT node, CAST(floor(want) + CAST(row_number() OVER (ORDER BY floor(want) - want, node) <= 100 - sum(floor(want)) OVER () AS INT) AS INT) AS quota FROM n),
+ b AS (SELECT node, quota, CAST(floor(sqrt(quota)) AS INT) AS boxes FROM m), cuts(boxes, b, cut) AS (VALUES {_SLICES}),
+ y AS (SELECT x.*, quota, boxes, (SELECT count(*) FROM cuts c WHERE c.boxes = b.boxes AND c.cut < v) AS box FROM x JOIN b USING (node)),
+ r AS (SELECT *, row_number() OVER (PARTITION BY node, box ORDER BY rejected, h, id) AS r FROM y),
+ w AS (SELECT *, quota // boxes + CAST(box < quota % boxes AS INT) AS q FROM r)
+ SELECT id, node, CAST(box AS INT) AS box FROM (SELECT *, row_number() OVER (PARTITION BY node ORDER BY CAST(r > q AS INT), rejected, h, id) AS o FROM w) WHERE o <= quota"""
+
+
+@query("sample_distribution_aware_fixed", _DRAWN)
+def _(spark, sf_dir):
+    """Real rows by a given law: slices of equal probability, rejection by the confidence, quotas by size."""
+    x = _by_label(spark, sf_dir, 1)
+    sizes = {r["node"]: r["count"] for r in x.groupBy("node").count().collect()}
+    law = fits.DimFit("normal", {"mean": 0.0, "var": _LAW**2}, confidence=_NODE_CONFIDENCE)
+    found = [fits.NodeFit(k, n, [law], confidence=_NODE_CONFIDENCE) for k, n in sorted(sizes.items())]
+    return sampling.distribution_aware_pivots(x, found, 100).select("id", "node", "box")
+
+
 @query("sample_generative")
 def _(spark, sf_dir):
     return sampling.mixture_draws(spark, _label_fits(spark, sf_dir)[1], 100)
@@ -415,7 +488,10 @@ query("partition_stats", f"{_MAPPED} SELECT count(*) AS regions, round(avg({_K4}
 )
 query("replication_factor", f"{_MAPPED} SELECT round(sum(w) / sum(v), 6) AS copies, CAST(sum(w) AS BIGINT) AS rows_moved FROM s")(lambda spark, sf_dir: measures.replication_factor(_routed(spark, sf_dir)).select(F.round("copies", 6).alias("copies"), "rows_moved"))
 query("evenness", f"{_MAPPED} SELECT round(sum(v * v) * count(*) / pow(sum(v), 2), 6) AS ratio, round(pow(sum(v), 2) / count(*), 6) AS lower_bound FROM s")(lambda spark, sf_dir: measures.evenness(_routed(spark, sf_dir)).select(F.round("ratio", 6).alias("ratio"), F.round("lower_bound", 6).alias("lower_bound")))
-query("uncovered_pairs", "SELECT CAST(0 AS BIGINT) AS uncovered")(lambda spark, sf_dir: measures.uncovered_pairs(_routed(spark, sf_dir), brute_force_join(_narrow(spark, sf_dir), "id", "obj", "l1", _DELTA)).agg(F.count(F.lit(1)).alias("uncovered")))
+_UNCOVERED = f"""{_MAPPED}, t AS (SELECT x.id AS i, y.id AS j FROM v x JOIN v y ON x.id < y.id AND {w.DISTANCE_SQL["l1"]} <= {_DELTA} + 1e-9),
+ c AS (SELECT DISTINCT least(a.id, b.id) AS i, greatest(a.id, b.id) AS j FROM r a JOIN r b ON a.region = b.region AND a.home = a.region AND a.id <> b.id)
+ SELECT count(*) AS uncovered FROM t ANTI JOIN c ON t.i = c.i AND t.j = c.j"""
+query("uncovered_pairs", _UNCOVERED)(lambda spark, sf_dir: measures.uncovered_pairs(_routed(spark, sf_dir), brute_force_join(_narrow(spark, sf_dir), "id", "obj", "l1", _DELTA)).agg(F.count(F.lit(1)).alias("uncovered")))
 query("colocation_count", f"{_MAPPED} SELECT n AS regions, count(*) AS pairs FROM (SELECT x.id AS i, y.id AS j, count(*) AS n FROM r x JOIN r y ON x.region = y.region AND x.id < y.id GROUP BY 1, 2) GROUP BY n")(
     lambda spark, sf_dir: measures.colocation_count(_routed(spark, sf_dir)).groupBy(F.col("n").alias("regions")).agg(F.count(F.lit(1)).alias("pairs"))
 )
