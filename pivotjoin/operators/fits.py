@@ -130,7 +130,11 @@ def cell_number(n: int, w: int) -> int:
     return max(w + 2, min(int(2 * n**0.4), n // 5))
 
 
-def make_cells(fit: DimFit, cells: int) -> np.ndarray:
+def make_cells(fit: DimFit, cells: int, by: str = "probability") -> np.ndarray:
+    """Cuts between cells of equal probability, or of equal width over all but two thousandths of the law."""
+    if by == "width":
+        ends = [fit.law.quantile(fit.params, q) for q in (0.001, 0.999)]
+        return np.linspace(*ends, cells + 1)[1:-1]
     return np.array([fit.law.quantile(fit.params, j / cells) for j in range(1, cells)])
 
 
@@ -197,12 +201,12 @@ def test_rows(df: DataFrame, id_col: str, sizes: dict[int, int], gof_rows: int |
     return df.where(portable_hash(F.col(id_col), seed + 101) < F.element_at(share, F.col("node")) * F.lit(MIX_P))
 
 
-def fit_nodes(df: DataFrame, id_col: str = "id", obj: str = "obj", families: Sequence[str] = ("normal", "exponential", "gamma"), model: str = "marginal", cells: int | None = None, gof_rows: int | None = 10_000, seed: int = 7, dof: str = "printed") -> list[NodeFit]:
+def fit_nodes(df: DataFrame, id_col: str = "id", obj: str = "obj", families: Sequence[str] = ("normal", "exponential", "gamma"), model: str = "marginal", cells: int | None = None, gof_rows: int | None = 10_000, seed: int = 7, dof: str = "printed", cells_by: str = "probability") -> list[NodeFit]:
     """Fit and test the law of each node (column ``node``). Two passes; what comes to the driver is sums per node and dimension.
 
     model 'marginal': per dimension the family of the highest confidence, statistics and degrees
     of freedom summed. 'mvn_full', 'mvn_diag': one normal law, tested on shells of equal probability.
-    ``dof``: 'printed' subtracts the parameters, 'upper' does not.
+    ``cells_by``: see ``make_cells``. ``dof``: 'printed' subtracts the parameters, 'upper' does not.
     """
     moments = vector_moments(df, obj).collect()
     sizes = {r["node"]: r["n"] for r in moments if r["dim"] == 0}
@@ -213,7 +217,7 @@ def fit_nodes(df: DataFrame, id_col: str = "id", obj: str = "obj", families: Seq
     cuts = {}
     for (k, d), fits in candidates.items():
         for c, f in enumerate(fits):
-            cuts[k, d, c] = make_cells(f, cells or cell_number(min(sizes[k], gof_rows or sizes[k]), f.law.w))
+            cuts[k, d, c] = make_cells(f, cells or cell_number(min(sizes[k], gof_rows or sizes[k]), f.law.w), cells_by)
     seen: dict[tuple[int, int, int], np.ndarray] = {key: np.zeros(len(at) + 1) for key, at in cuts.items()}
     for r in cell_counts(some, cuts, obj).collect():
         seen[r["node"], r["dim"], r["candidate"]][r["cell"]] = r["n"]

@@ -83,7 +83,7 @@ def make_plan(objs: DataFrame, metric: Metric, delta: float, config: JoinConfig)
         notes.append(f"{rows} objects are too few to fit {config.nodes} laws to: random pivots")
     pool_size = max(AXIS_POOL if draws else k * config.oversample, n)
     pool = [r["obj"] for r in sampling.random_pivots(objs, min(pool_size, rows), seed=config.seed).select("obj").collect()]
-    axes = choose_axes(pool, n, metric, seed=config.seed)
+    axes = choose_axes(pool, n, metric, config.axes, config.seed)
     pivots, coords, fits = pool[: k * config.oversample], None, []
     if draws:
         data = objs
@@ -93,11 +93,11 @@ def make_plan(objs: DataFrame, metric: Metric, delta: float, config: JoinConfig)
             data = objs.select("id", F.array(F.col("obj").cast("double")).alias("obj"))
         data = with_nodes(data, "id", config.node_by, config.nodes, config.seed)
         model = config.model if space == "origin" else "mvn_full"
-        fits = fit_nodes(data, "id", "obj", config.families, model, config.cells, config.gof_rows, config.seed)
+        fits = fit_nodes(data, "id", "obj", config.families, model, config.cells, config.gof_rows, config.seed, cells_by=config.cells_by)
         if config.sampler == "generative":
             made = sampling.generative_pivots(spark, fits, k, config.seed)
         else:
-            made = np.array([r["obj"] for r in sampling.distribution_aware_pivots(data, fits, k, "id", "obj", config.seed, config.c_min).orderBy("id").collect()], float)
+            made = np.array([r["obj"] for r in sampling.distribution_aware_pivots(data, fits, k, "id", "obj", config.seed, config.c_min, config.boxes).orderBy("id").collect()], float)
         if space == "target":
             pivots, coords = None, made
             if config.snap:

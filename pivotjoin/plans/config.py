@@ -17,7 +17,9 @@ class JoinConfig:
     sampler, oversample: where pivots come from, and how many times k of them.
     k pivots, p regions, n axes of the target space.
     node_by, nodes: strata of the data: 'hash', 'range', 'partition' or a column.
-    families, model, cells, gof_rows, c_min: fits and their test.
+    axes: 'random' pivots, or each 'farthest' from those before.
+    families, model, cells, gof_rows, c_min: fits and their test; cells_by: cells of equal 'probability' or 'width'.
+    boxes: slices that real pivots are drawn from, 'equal_probability' or 'equal_width'.
     space: where fits and pivots live, 'origin' (vectors) or 'target' (any metric); snap: replace a
     generated pivot by the nearest of as many real ones.
     n_labels, label_space: clusters of pivots for the learned split.
@@ -38,7 +40,10 @@ class JoinConfig:
     n: int | None = None
     node_by: str = "hash"
     nodes: int = 4
+    axes: str = "random"
     families: tuple[str, ...] = ("normal", "exponential", "gamma")
+    cells_by: str = "probability"
+    boxes: str = "equal_probability"
     model: str = "marginal"
     cells: int | None = None
     gof_rows: int = 10_000

@@ -64,6 +64,19 @@ def uncovered_pairs(routed: DataFrame, truth: DataFrame) -> DataFrame:
     return t.join(meet.unionByName(back).distinct(), ["id_x", "id_y"], "left_anti")
 
 
+def label_purity(routed: DataFrame, labels: DataFrame) -> DataFrame:
+    """(region, n, purity, entropy) of home objects: the share of the most frequent label, and the labels' entropy. ``labels``: (id, label)."""
+    x = routed.where("home = region").select("region", "id").join(labels, "id").groupBy("region", "label").agg(F.count(F.lit(1)).alias("c"))
+    x = x.groupBy("region").agg(F.sum("c").alias("n"), F.max("c").alias("most"), F.sum(F.col("c") * F.log("c")).alias("s"))
+    return x.select("region", "n", (F.col("most") / F.col("n")).alias("purity"), (F.log("n") - F.col("s") / F.col("n")).alias("entropy"))
+
+
+def region_extent(routed: DataFrame, width: int) -> DataFrame:
+    """(region, extent1, ...): how far apart a region's home objects are along each axis."""
+    x = routed.where("home = region")
+    return x.groupBy("region").agg(*[(F.max(F.col("coord")[d]) - F.min(F.col("coord")[d])).alias(f"extent{d + 1}") for d in range(width)])
+
+
 def result_quality(found: DataFrame, truth: DataFrame) -> DataFrame:
     """Recall and precision of a result, and how often it repeats a pair."""
     f, t = found.select("id_x", "id_y").withColumn("f", F.lit(1)), truth.select("id_x", "id_y").distinct().withColumn("t", F.lit(1))
@@ -165,6 +178,27 @@ def optimal_cover_cost(near: np.ndarray, p: int) -> int:
     return int(best)
 
 
+def limited(spark, f: Callable[[], object], seconds: float) -> float | None:
+    """Seconds of a run, or None if it was stopped after its time was over."""
+    from threading import Timer
+    from uuid import uuid4
+
+    tag, over = f"limited_{uuid4().hex}", []
+    spark.addTag(tag)
+    timer = Timer(seconds, lambda: (over.append(True), spark.interruptTag(tag)))
+    timer.start()
+    began = time.time()
+    try:
+        f()
+    except Exception:
+        if not over:
+            raise
+    finally:
+        timer.cancel()
+        spark.removeTag(tag)
+    return None if over else time.time() - began
+
+
 def repeated(f: Callable[[], object], times: int = 3) -> float:
     """Mean seconds of a number of runs."""
     began = time.time()

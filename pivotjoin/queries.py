@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 from . import workloads as w
 from .functions import filters
 from .functions.families import FAMILIES, Dirichlet, Wishart, fit_numeric
-from .functions.metrics import lp, metric_of
+from .functions.metrics import check_metric, lp, metric_of
 from .functions.numerics import digamma
 from .operators import baselines, fits, sampling
 from .operators.join import JoinPlan, brute_force_join, make_plan, mapped, metric_join, metric_self_join, route, validate_objects
@@ -85,7 +85,7 @@ for _sampler in ("random", "distribution_aware", "generative"):
         _self(f"join_{_sampler.replace('distribution_aware', 'distaware')}_{_splitter}", _narrow, "l1", 0.1, _NARROW_SQL, sampler=_sampler, splitter=_splitter)
 _VARIANTS = {
     "stratified": {"sampler": "stratified"}, "local": {"sampler": "local"}, "bounds_cell": {"bounds": "cell"}, "bounds_data_box": {"bounds": "data_box"}, "replication_both": {"replication": "both"}, "engine_block": {"engine": "block"}, "engine_sql": {"engine": "sql"},
-    "target_space": {"space": "target"}, "snapped": {"snap": True}, "joint_normal": {"model": "mvn_full"}, "collapse": {"collapse": True}, "region_grid": {"max_region": 40}, "column_nodes": {"node_by": "range"},
+    "target_space": {"space": "target"}, "farthest_axes": {"axes": "farthest"}, "equal_width_boxes": {"sampler": "distribution_aware", "boxes": "equal_width"}, "equal_width_cells": {"cells_by": "width"}, "snapped": {"snap": True}, "joint_normal": {"model": "mvn_full"}, "collapse": {"collapse": True}, "region_grid": {"max_region": 40}, "column_nodes": {"node_by": "range"},
 }
 for _name, _config in _VARIANTS.items():
     _self(f"join_{_name}", _narrow, "l1", 0.1, _NARROW_SQL, **_config)
@@ -150,8 +150,7 @@ query("token_order", f"SELECT token, n, row_number() OVER (ORDER BY n, token) AS
 
 def _event_values(spark, sf_dir) -> DataFrame:
     e = load(spark, sf_dir, "events")
-    # event types are numbered by their order; there are five
-    kinds = [r[0] for r in e.select("event_type").distinct().orderBy("event_type").limit(100).collect()]
+    kinds = w.event_kinds(e)  # numbered by their order
     node = F.element_at(F.create_map(*[F.lit(v) for i, k in enumerate(kinds) for v in (k, i)]), F.col("event_type"))
     return e.select(F.col("event_id").alias("id"), F.array("value").alias("obj"), node.alias("node"))
 
@@ -497,6 +496,39 @@ query("colocation_count", f"{_MAPPED} SELECT n AS regions, count(*) AS pairs FRO
 )
 
 
+_PURITY = f"""{_MAPPED}, l AS (SELECT h.home AS region, label, count(*) AS n FROM h JOIN embeddings e ON e.vec_id = h.id GROUP BY 1, 2),
+ t AS (SELECT region, sum(n) AS n, max(n) AS most, -sum(n * ln(n)) AS s FROM l GROUP BY region)
+ SELECT CAST(region AS INT) AS region, CAST(n AS BIGINT) AS n, round(most / CAST(n AS DOUBLE), 6) AS purity, round(ln(n) + s / n, 6) AS entropy FROM t"""
+
+
+@query("label_purity", _PURITY)
+def _(spark, sf_dir):
+    """By region, how far its home objects have one label."""
+    labels = load(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("id"), "label")
+    x = measures.label_purity(_routed(spark, sf_dir), labels)
+    return x.select("region", "n", F.round("purity", 6).alias("purity"), F.round("entropy", 6).alias("entropy"))
+
+
+@query("region_extent", f"{_MAPPED} SELECT CAST(home AS INT) AS region, round(max(c1) - min(c1), 6) AS extent1, round(max(c2) - min(c2), 6) AS extent2 FROM h GROUP BY home")
+def _(spark, sf_dir):
+    """How wide each region's home objects are along the axes: what its copies are counted around."""
+    return measures.region_extent(_routed(spark, sf_dir), 2).select("region", *[F.round(f"extent{d}", 6).alias(f"extent{d}") for d in (1, 2)])
+
+
+@query("error_bound_strata", "SELECT k, m, round(sqrt(ln(2.0 * m / 0.05) / (2.0 * (k // 10))), 9) AS eps FROM (SELECT CAST(unnest([100, 800, 3200]) AS INT) AS k), (SELECT CAST(unnest([10, 64]) AS INT) AS m)")
+def _(spark, sf_dir):
+    """Of stratified samples the stratum with the fewest decides: ten strata, of which one has a tenth."""
+    rows = [(k, m, round(sampling.error_bound_local([k // 10, k // 5, k], m), 9)) for k in (100, 800, 3200) for m in (10, 64)]
+    return spark.createDataFrame(rows, "k int, m int, eps double")
+
+
+@query("metric_axioms", "SELECT * FROM (VALUES ('abs1', 0), ('edit', 0), ('jaccard', 0), ('l1', 0), ('l2', 0), ('linf', 0)) AS t(metric, broken)")
+def _(spark, sf_dir):
+    """Axioms that fail on a sample of each kind of objects."""
+    inputs = {"l1": w.descriptors, "l2": w.descriptors, "linf": w.descriptors, "edit": w.urls, "jaccard": w.conversation_sets, "abs1": lambda s, d: w.balances(s, d, "customer")}
+    return spark.createDataFrame([(m, len(check_metric(m, f(spark, sf_dir), "obj"))) for m, f in inputs.items()], "metric string, broken int")
+
+
 @query("pivot_box_recall")
 def _(spark, sf_dir):
     """Recall of the published boxes around pivots, which lose pairs."""

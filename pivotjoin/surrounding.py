@@ -255,12 +255,18 @@ def _(t: _Tables) -> DataFrame:
 
 # -- streams, run to the end ----------------------------------------------------------------------------
 def _drained(df: DataFrame, mode: str = "append") -> DataFrame:
+    """The stream's rows, from files in the shared folder: of all batches, or the last state in mode 'complete'. A batch that is run again writes the same file."""
     from uuid import uuid4
 
-    name = f"stream_{uuid4().hex}"
-    writer = df.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).option("checkpointLocation", f"{shared_dir(df.sparkSession)}/streams/{name}")
+    spark, base = df.sparkSession, f"{shared_dir(df.sparkSession)}/streams/{uuid4().hex}"
+    spark.createDataFrame([], df.schema).write.parquet(f"{base}/rows/none")
+
+    def keep(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{base}/rows/{'all' if mode == 'complete' else number}")
+
+    writer = df.writeStream.foreachBatch(keep).outputMode(mode).trigger(availableNow=True).option("checkpointLocation", f"{base}/state")
     writer.start().awaitTermination()  # without a limit: a table that is read before the end is partial
-    return df.sparkSession.table(name)
+    return spark.read.schema(df.schema).parquet(f"{base}/rows/*")
 
 
 def _stream(t: _Tables, name: str) -> DataFrame:

@@ -12,10 +12,22 @@ from .sources.io import load
 PERIODS, PERIOD_DAYS = 4, 8
 
 
+#: More event types than this are refused rather than dropped: each has columns of its own.
+MOST_KINDS = 1000
+
+
+def event_kinds(events: DataFrame) -> list[str]:
+    """The event types in order."""
+    kinds = [r[0] for r in events.select("event_type").distinct().orderBy("event_type").limit(MOST_KINDS + 1).collect()]
+    if len(kinds) > MOST_KINDS:
+        raise ValueError(f"more than {MOST_KINDS} event types")
+    return kinds
+
+
 def activity(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Per user the counts of each event type in each of four periods of eight days, the last one open: integer ratings' stand-in."""
     e = load(spark, sf_dir, "events").where(F.col("user_id").isNotNull())
-    kinds = [r[0] for r in e.select("event_type").distinct().orderBy("event_type").limit(100).collect()]
+    kinds = event_kinds(e)
     period = F.least(F.floor(F.datediff(F.to_date("ts"), F.lit("2024-01-01").cast("date")) / PERIOD_DAYS), F.lit(PERIODS - 1))
     x = e.select("user_id", "event_type", period.alias("p"))
     slots = [F.count_if((F.col("event_type") == k) & (F.col("p") == p)).cast("double").alias(f"s{i}_{p}") for i, k in enumerate(kinds) for p in range(PERIODS)]

@@ -451,3 +451,11 @@ def test_running_sum_and_ranked_sets(spark):
         assert r["s"] == total
     sets = spark.createDataFrame([(1, ["a", "b"]), (2, ["b", "c"]), (3, []), (4, ["b"])], "id long, obj array<string>")
     assert {r["id"]: r["obj"] for r in ranked_sets(sets).collect()} == {1: [1, 3], 2: [2, 3], 3: [], 4: [3]}
+
+
+def test_runs_are_stopped_when_their_time_is_over(spark):
+    slow = F.udf(lambda i: __import__("time").sleep(30) or i, "long")
+    assert measures.limited(spark, lambda: spark.range(4).select(slow("id")).collect(), 2) is None
+    assert measures.limited(spark, lambda: spark.range(4).count(), 60) < 60
+    with pytest.raises(ZeroDivisionError):
+        measures.limited(spark, lambda: 1 / 0, 60)
