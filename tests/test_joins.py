@@ -459,3 +459,32 @@ def test_runs_are_stopped_when_their_time_is_over(spark):
     assert measures.limited(spark, lambda: spark.range(4).count(), 60) < 60
     with pytest.raises(ZeroDivisionError):
         measures.limited(spark, lambda: 1 / 0, 60)
+
+
+@pytest.mark.parametrize("delta", [0.1, 0.4])
+def test_counted_prefixes_lose_nothing(spark, delta):
+    from pivotjoin.functions import filters
+
+    rng = np.random.default_rng(3)
+    base = [rng.choice(400, int(n), replace=False) for n in rng.integers(1, 120, 25)]
+    sets = [sorted({int(t) if rng.random() > 0.1 else int(rng.integers(400, 800)) for t in rng.permutation(b)[: max(1, int(len(b) * share))]}) for b in base for share in (1.0, 0.9, 0.75, 0.6)]
+    sets += [[], [], [1], [1], *sets[:10]]
+    df = spark.createDataFrame([(i, [f"t{t}" for t in s]) for i, s in enumerate(sets)], "id long, obj array<string>")
+    want = pairs(brute_force_join(df, "id", "obj", "jaccard", delta))
+    for got in (metric_self_join(df, "id", "obj", "jaccard", delta), baselines.segment_signature_join(df, "id", "obj", "jaccard", delta), baselines.fragment_set_join(df, "id", "obj", delta)):
+        assert pairs(got) == want
+    found, classes = join_classes(df, "id", "obj", "jaccard", delta)
+    rep = {r["id"]: r["rep"] for r in classes.collect()}
+    assert sorted(rep) == list(range(len(sets))) and all(rep[i] == min(j for j, s in enumerate(sets) if s == sets[i]) for i in rep)
+    assert {(rep[x], rep[y]) for x, y, *_ in want} - {(i, i) for i in rep} <= {(r["id_x"], r["id_y"]) for r in found.collect()} | {(r["id_y"], r["id_x"]) for r in found.collect()}
+    # one rare token in common is no candidate
+    far = spark.createDataFrame([(i, [f"both{i // 2}", *(f"{i}_{j}" for j in range(200))]) for i in range(60)], "id long, obj array<string>")
+    assert filters.counted_candidates(filters.ranked_sets(far), 0.25).count() == 0
+
+
+def test_shuffles_of_a_written_table_are_deleted(spark):
+    from pivotjoin.operators import tables
+
+    before = spark.conf.get(tables.CLEANUP, "false")
+    assert tables.materialize(spark.range(1000).repartition(3).groupBy((F.col("id") % 7).alias("k")).count()).count() == 7
+    assert spark.conf.get(tables.CLEANUP, "false") == before
