@@ -488,3 +488,11 @@ def test_shuffles_of_a_written_table_are_deleted(spark):
     before = spark.conf.get(tables.CLEANUP, "false")
     assert tables.materialize(spark.range(1000).repartition(3).groupBy((F.col("id") % 7).alias("k")).count()).count() == 7
     assert spark.conf.get(tables.CLEANUP, "false") == before
+
+
+@pytest.mark.parametrize("name", ["allocate_samples", "chi_square_confidence", "error_bound_strata", "error_bound_table", "gap_factor", "global_confidence_levels", "sample_size_table"])
+def test_figures_come_from_a_table(spark, sf_dir, tmp_path, name):
+    for t in ("events", "orders"):
+        io.load(spark, sf_dir, t).where("user_id % 7 < 3" if t == "events" else "o_custkey % 7 < 3").write.parquet(f"{tmp_path}/{t}.parquet")
+    whole, part = (sorted(map(tuple, queries.QUERIES[name](spark, d).collect()), key=str) for d in (sf_dir, str(tmp_path)))
+    assert whole != part
