@@ -496,3 +496,13 @@ def test_figures_come_from_a_table(spark, sf_dir, tmp_path, name):
         io.load(spark, sf_dir, t).where("user_id % 7 < 3" if t == "events" else "o_custkey % 7 < 3").write.parquet(f"{tmp_path}/{t}.parquet")
     whole, part = (sorted(map(tuple, queries.QUERIES[name](spark, d).collect()), key=str) for d in (sf_dir, str(tmp_path)))
     assert whole != part
+
+
+def test_colocations_are_counted_without_pairs(spark):
+    at = {i: [(0,), (1,), (0, 1), (0, 1, 2), (2,)][i % 5] for i in range(33)}
+    routed = spark.createDataFrame([(r, i) for i, rs in at.items() for r in rs], "region int, id long")
+    pair = measures.colocation_count(routed).groupBy("n").count().collect()
+    assert {(r["regions"], r["pairs"]) for r in measures.colocation_histogram(routed).collect()} == {(r["n"], r["count"]) for r in pair}
+    # as many as only counts can tell: 5 * 10**9 pairs
+    many = spark.range(100_000).select(F.lit(0).alias("region"), "id")
+    assert measures.colocation_histogram(many).first()["pairs"] == 100_000 * 99_999 // 2
