@@ -506,3 +506,8 @@ def test_colocations_are_counted_without_pairs(spark):
     # as many as only counts can tell: 5 * 10**9 pairs
     many = spark.range(100_000).select(F.lit(0).alias("region"), "id")
     assert measures.colocation_histogram(many).first()["pairs"] == 100_000 * 99_999 // 2
+
+
+def test_coverage_is_measured_without_comparing_all_pairs(spark, sf_dir, monkeypatch):
+    monkeypatch.setattr(queries, "brute_force_join", lambda *a: pytest.fail("all pairs compared"))
+    assert queries.QUERIES["uncovered_pairs"](spark, sf_dir).first()[0] == 0
