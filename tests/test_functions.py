@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from pivotjoin.functions import families as fam
 from pivotjoin.functions import filters, numerics
-from pivotjoin.functions.metrics import ANGULAR, EDIT, HAMMING, JACCARD, L1, L2, LINF, check_metric, combine, edit_block, lp, metric_of, register_metric, register_sql_functions
+from pivotjoin.functions.metrics import ANGULAR, EDIT, HAMMING, JACCARD, L1, L2, LINF, check_metric, combine, edit_block, edit_near, lp, metric_of, register_metric, register_sql_functions
 
 
 @pytest.mark.parametrize("m", [L1, L2, LINF, HAMMING, ANGULAR, lp(3)])
@@ -170,3 +170,15 @@ def test_filters_lose_nothing(spark):
         near = {(i, j) for i in range(60) for j in range(i + 1, 60) if d[i, j] <= delta + 1e-12}
         for positions in (False, True):
             assert near <= {tuple(r) for r in filters.prefix_candidates(df, delta, positions).collect()}
+
+
+def test_edit_near():
+    """All pairs within delta with their distances, of strings with and without common beginnings; none twice."""
+    rng = np.random.default_rng(4)
+    make = lambda n, most: ["".join(rng.choice(list("ab\u00e9\U0001f600"), rng.integers(0, most))) for _ in range(n)]
+    xs, ys = make(60, 40) + ["", "ab", "ab"], make(50, 45) + ["", "ab" * 20]
+    d = edit_block(xs, ys)
+    for delta in (0, 1, 4, 8, 17, 31):
+        i, j, found = edit_near(xs, ys, delta)
+        assert sorted(zip(i.tolist(), j.tolist(), found.tolist(), strict=True)) == [(a, b, d[a, b]) for a, b in np.argwhere(d <= delta).tolist()]
+    assert edit_near(xs, ys, 32) is None and not len(edit_near(xs, [], 4)[0])
