@@ -511,3 +511,39 @@ def test_colocations_are_counted_without_pairs(spark):
 def test_coverage_is_measured_without_comparing_all_pairs(spark, sf_dir, monkeypatch):
     monkeypatch.setattr(queries, "brute_force_join", lambda *a: pytest.fail("all pairs compared"))
     assert queries.QUERIES["uncovered_pairs"](spark, sf_dir).first()[0] == 0
+
+
+def test_grid_moves_few_rows(spark):
+    """However small max_region is, a row goes to a bounded number of cells."""
+    from pivotjoin.operators.join import MOST_BLOCKS, _parts
+
+    rows = spark.range(6000).select(F.lit(0).alias("region"), "id")
+    assert _parts([rows], 10).first()["parts"] == MOST_BLOCKS
+    assert _parts([rows], 1000).first()["parts"] == 6
+
+
+def test_rounds_and_cells_that_do_not_pay(spark, monkeypatch):
+    """Objects that are about equally far from each other are compared in blocks; windows and cells that would hold nearly all of them are not written."""
+    rng = np.random.default_rng(3)
+    x = rng.normal(size=(400, 32))
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "id long, obj array<double>")
+    d = L1.block(x, x)
+    delta = float(np.quantile(d[d > 0], 0.01))
+    want = {(i, j) for i, j in np.argwhere(d <= delta).tolist() if i < j}
+    written = []
+    real = baselines.materialize
+    monkeypatch.setattr(baselines, "materialize", lambda t, *a: written.append((y := real(t, *a)).count()) or y)
+    for join in (baselines.multi_round_join, baselines.repartition_join):
+        assert pairs(join(df, "id", "obj", "l1", delta)) == want
+    assert max(written) <= 4 * len(x)
+
+
+def test_equality_inside_the_join(spark):
+    """Only rows of one value are compared, in both engines; a null value equals nothing."""
+    rows = [(i, [float(i % 10)], float(i % 10), None if i % 7 == 0 else i % 3) for i in range(90)]
+    df = spark.createDataFrame(rows, "id long, v array<double>, s double, k int")
+    want = {(i, j) for i, j in itertools.combinations(range(90), 2) if i % 10 == j % 10 and i % 3 == j % 3 and i % 7 and j % 7}
+    for col, metric in (("v", "l1"), ("s", "abs1")):
+        assert pairs(metric_self_join(df, "id", col, metric, 0.5, JoinConfig(max_region=20), by="k")) == want
+    with pytest.raises(ValueError):
+        metric_self_join(df, "id", "s", "abs1", 0.5, JoinConfig(collapse=True), by="k")
