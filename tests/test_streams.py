@@ -105,3 +105,12 @@ def test_drained_waits_for_the_end(spark, sf_dir, monkeypatch):
     jvm = spark._jvm
     path = jvm.org.apache.hadoop.fs.Path(f"{shared_dir(spark)}/streams")
     assert path.getFileSystem(spark._jsc.hadoopConfiguration()).exists(path)
+
+
+def test_stream_join_by_slices(spark):
+    """Rows meet those of their slice of time, on all sides of its borders; pairs farther apart in time do not count."""
+    at = [0, 1, 1799, 1800, 1801, 3600, 3601, 5400, 9000]
+    rows = spark.createDataFrame([(i, [0.0], t) for i, t in enumerate(at)], "id long, obj array<double>, t long").select("id", "obj", F.timestamp_seconds("t").alias("ts"), F.lit("a").alias("event_type"))
+    got = streams.stream_stream_join(rows, rows, "l1", 0.5, "30 minutes")
+    assert sorted((r["id_x"], r["id_y"]) for r in got.collect()) == [(i, j) for i in range(len(at)) for j in range(len(at)) if abs(at[i] - at[j]) <= 1800]
+    assert "slice_x" in got._jdf.queryExecution().optimizedPlan().toString()
