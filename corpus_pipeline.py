@@ -32,7 +32,10 @@ def drop_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group stays whose sets of five-word shingles have a Jaccard similarity of 0.8 or more: that of the smallest id. Texts without words are one group."""
+    """One document of each group stays whose sets of five-word shingles have a Jaccard similarity of 0.8 or more: that of the smallest id. Texts without words are one group.
+
+    SimHash fingerprints and their inverted index on byte positions find the pairs, whole sets check them; bands add the similar pairs that differ in too many bits.
+    """
     return simhash.drop_near_duplicates(docs, find=word_shingles.near_duplicates)
 
 

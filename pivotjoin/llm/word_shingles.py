@@ -1,4 +1,5 @@
-"""Near-duplicates by word shingles: bands of minima propose pairs, the whole shingle sets decide."""
+"""Near-duplicates of texts: SimHash fingerprints and their index on byte positions propose pairs, then bands of minima those
+that differ in more bits; the whole shingle sets decide."""
 
 from __future__ import annotations
 
@@ -11,6 +12,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from . import simhash
 from .common import discard, materialize, tidy
 from .graph import components
 
@@ -80,19 +82,22 @@ def _node(x: np.ndarray) -> int:
 
 
 def _prints(docs: DataFrame, id_col: str, text_col: str, width: int) -> DataFrame:
-    """(doc_id, node, n, keys) of each document: its set's hash, size and bands."""
+    """(doc_id, fp, node, n, keys) of each document: its SimHash fingerprint (see ``simhash.fingerprint``), its set's hash, size and bands."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            nodes, sizes, keys = [], [], []
+            prints, nodes, sizes, keys = [], [], [], []
             for t in b.column(1).cast(pa.binary()):
-                x = shingles(t.as_py(), width)
+                text = t.as_py()
+                x = shingles(text, width)
+                prints.append(simhash.fingerprint(text))
                 nodes.append(_node(x))
                 sizes.append(len(x))
                 keys.append(band_keys(x))
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(nodes, pa.int64()), pa.array(sizes, pa.int64()), pa.array(keys, pa.list_(pa.int64()))], ["doc_id", "node", "n", "keys"])
+            fps = pa.array(np.array(prints, np.uint64).view(np.int64))
+            yield pa.RecordBatch.from_arrays([b.column(0), fps, pa.array(nodes, pa.int64()), pa.array(sizes, pa.int64()), pa.array(keys, pa.list_(pa.int64()))], ["doc_id", "fp", "node", "n", "keys"])
 
-    return docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].alias("text")).mapInArrow(tidy(run), "doc_id long, node long, n long, keys array<long>")
+    return docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].alias("text")).mapInArrow(tidy(run), "doc_id long, fp long, node long, n long, keys array<long>")
 
 
 def signature(x: np.ndarray) -> np.ndarray:
@@ -171,16 +176,37 @@ def _close(n: Column, m: Column, percent: int) -> Column:
     return F.least(n, m) * 100 >= F.greatest(n, m) * percent
 
 
-def near_links(posted: DataFrame, sets: DataFrame, percent: int = PERCENT, rounds: int = ROUNDS, rows: int | None = None) -> DataFrame:
-    """(node, root) of all nodes that share a band with another: components of the verified pairs.
+def print_pairs(prints: DataFrame, rows: int | None = None) -> DataFrame:
+    """(u, v) of nodes, from (fp, node): pairs that SimHash finds, not yet verified.
+
+    Nodes of equal fingerprints meet the smallest one of these; fingerprints within the distance are found by the
+    inverted index on byte positions (``simhash.near_links``), where a posting list gives a forest, and their smallest nodes meet.
+    ``rows``: a bound of the rows of ``prints``, if known.
+    """
+    each = materialize(prints.select("fp", "node").distinct(), rows)
+    reps = materialize(each.groupBy("fp").agg(F.min("node").alias("rep")), rows)
+    equal = each.join(reps, "fp").where("node <> rep").select(F.col("rep").alias("u"), F.col("node").alias("v"))
+    near = simhash.near_links(reps.select("fp"), rows=rows)
+    x, y = (reps.select(F.col("fp").alias(c), F.col("rep").alias(f"rep_{c}")) for c in "uv")
+    near = near.join(x, "u").join(y, "v").where("rep_u <> rep_v").select(F.least("rep_u", "rep_v").alias("u"), F.greatest("rep_u", "rep_v").alias("v"))
+    found = materialize(equal.unionByName(near).distinct(), rows and rows * (1 + len(simhash.TRIPLES)))
+    discard(each, reps)
+    return found
+
+
+def near_links(posted: DataFrame, sets: DataFrame, percent: int = PERCENT, rounds: int = ROUNDS, rows: int | None = None, links: DataFrame | None = None) -> DataFrame:
+    """(node, root) of all nodes that share a band with another or have one of ``links``, verified pairs (u, v) that are known: components of all verified pairs.
 
-    At first the rows of a band are compared with one leader, in every round with another one; what
+    What the known links join is one component from the start. At first the rows of a band are compared with one leader, in every round with another one; what
     a large group of copies consists of is one component after that. Then all nodes that share a
     band with one of another component are joined by ``close_pairs``, so no pair that shares a band is left out.
-    ``rows``: a bound of the rows of ``posted``, if known.
+    ``rows``: a bound of the rows of ``posted`` and of ``links``, if known.
     """
-    links = roots = None
+    known, roots = links, None
     rooted = posted.select("key", "node", "n", F.col("node").alias("root"))
+    if known is not None:
+        roots = components(known, rows)
+        rooted = posted.join(roots, "node", "left").select("key", "node", "n", F.coalesce("root", "node").alias("root"))
     for at in range(rounds + 1):
         lead = F.min(F.struct(F.xxhash64(F.lit(at), "node").alias("h"), "node", "root", "n")).alias("lead")
         open_keys = materialize(rooted.groupBy("key").agg(F.min("root").alias("a"), F.max("root").alias("b"), lead).where("a <> b").select("key", "lead"), rows)
@@ -193,7 +219,7 @@ def near_links(posted: DataFrame, sets: DataFrame, percent: int = PERCENT, round
         found = materialize(verified(pairs, sets, percent), rows if at < rounds else None)
         discard(pairs, open_keys)
         links = found if links is None else links.unionByName(found)
-        roots = components(links, rows and rows * (at + 1) if at < rounds else None)
+        roots = components(links, rows and rows * (at + 1 + (known is not None)) if at < rounds else None)
         rooted = posted.join(roots, "node", "left").select("key", "node", "n", F.coalesce("root", "node").alias("root"))
     return roots
 
@@ -201,6 +227,8 @@ def near_links(posted: DataFrame, sets: DataFrame, percent: int = PERCENT, round
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = SHINGLE, percent: int = PERCENT) -> DataFrame:
     """(doc_id, component_id): every document with the smallest id it is linked to, directly or through others.
 
+    SimHash fingerprints, their inverted index, tally and distance find pairs first (``print_pairs``), and sets verify them. A pair of the
+    least similarity differs in more bits than an index on bytes can bear, so bands then propose what fingerprints have not linked.
     Texts with equal sets, those without words (null, empty, white space) among them, are linked;
     a null id stands in no other document's component and its row is returned too; repeated rows
     share a component; texts of any length count whole; an empty table gives no rows.
@@ -211,12 +239,15 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     each = reps.select("node", "n", F.explode("keys").alias("key"))
     shared = materialize(each.groupBy("key").agg(F.count(F.lit(1)).alias("c")).where("c > 1").select("key"), BANDS * rows)
     posted = materialize(each.join(shared, "key"), BANDS * rows)
-    wanted = materialize(posted.select("node").distinct().join(reps.select("node", "least"), "node"), rows)
+    close = print_pairs(prints, rows)
+    ends = close.select(F.col("u").alias("node")).unionByName(close.select(F.col("v").alias("node")))
+    wanted = materialize(posted.select("node").unionByName(ends).distinct().join(reps.select("node", "least"), "node"), rows)
     # one document of each set: others with the same set need not be sent
     sets = materialize(_sets(docs, wanted, id_col, text_col, width))
-    roots = near_links(posted, sets, percent, rows=BANDS * rows)
+    links = materialize(verified(close, sets, percent), BANDS * rows)
+    roots = near_links(posted, sets, percent, rows=BANDS * rows, links=links)
     classes = materialize(reps.join(roots, "node", "left").select("node", F.coalesce("root", "node").alias("root"), "least"), rows)
     tops = materialize(classes.groupBy("root").agg(F.min("least").alias("component_id")), rows)
     found = materialize(classes.join(tops, "root").select("node", "component_id"), rows)
-    discard(shared, posted, wanted, sets, reps, classes, tops)
+    discard(shared, posted, close, wanted, sets, links, reps, classes, tops)
     return prints.join(found, "node").select("doc_id", "component_id")

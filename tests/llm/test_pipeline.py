@@ -55,3 +55,20 @@ def test_near_copies_by_brute_force(spark, sf_dir):
                 a, b = sorted((root[i], root[j]))
                 root = {k: a if v == b else v for k, v in root.items()}
     assert {r["doc_id"]: r["component_id"] for r in word_shingles.near_duplicates(docs).collect()} == root
+
+
+def test_copies_come_from_fingerprints(spark, sf_dir, monkeypatch):
+    from pivotjoin.llm import simhash, word_shingles
+
+    words = [f"w{i}" for i in range(300)]
+    edits = [" ".join([*words[:i], "new", *words[i + 1 :]]) for i in range(20, 280, 5)]
+    bits = [(simhash.fingerprint(t.encode()) ^ simhash.fingerprint(" ".join(words).encode())).bit_count() for t in edits]
+    near, far = (next(t for t, b in zip(edits, bits, strict=True) if f(b)) for f in (lambda b: 0 < b <= simhash.DISTANCE, lambda b: b > simhash.DISTANCE))
+    repeated = "x y z " * 300  # equal fingerprints, other sets
+    texts = [" ".join(words), near, far, repeated + "a b c d e f g", repeated + "h i j k l m n", " ".join(words).upper()]
+    assert simhash.fingerprint(texts[3].encode()) == simhash.fingerprint(texts[4].encode())
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    assert {r["doc_id"] for r in corpus_pipeline.drop_copies(spark, docs, sf_dir).collect()} == {0, 3, 4}
+    real = word_shingles.near_links
+    monkeypatch.setattr(word_shingles, "near_links", lambda posted, *a, **k: real(posted.limit(0), *a, **k))  # no bands
+    assert {r["doc_id"] for r in corpus_pipeline.drop_copies(spark, docs, sf_dir).collect()} == {0, 2, 3, 4}
