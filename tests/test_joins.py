@@ -2,6 +2,7 @@
 
 import itertools
 import math
+from dataclasses import replace
 
 import numpy as np
 import pytest
@@ -547,3 +548,33 @@ def test_equality_inside_the_join(spark):
         assert pairs(metric_self_join(df, "id", col, metric, 0.5, JoinConfig(max_region=20), by="k")) == want
     with pytest.raises(ValueError):
         metric_self_join(df, "id", "s", "abs1", 0.5, JoinConfig(collapse=True), by="k")
+
+
+def test_l1_in_whole_steps_misses_nothing():
+    g = np.random.default_rng(5)
+    m = metric_of("l1")
+    for scale, shift in ((1.0, 0.0), (1e-6, 3.0), (1e5, -1e7)):
+        x, y = (g.normal(0, scale, (n, 64)) + shift for n in (70, 5000))
+        y[:70] = x + g.normal(0, scale / 40, (70, 64))
+        d = np.abs(x[:, None] - y[None]).sum(-1)
+        for delta in (np.quantile(d, 0.01), d[0, 0], d.max() * 2):
+            found = list(m.maybe(x, y, delta))
+            got = {(i, j) for a, b in found for i, j in zip(a.tolist(), b.tolist(), strict=True)}
+            want = set(zip(*(v.tolist() for v in np.nonzero(d <= delta)), strict=True))
+            assert want and want <= got and len(got) == sum(len(a) for a, _ in found)
+    assert m.maybe(x, x + 1e9, 1.0) is None and m.maybe(np.ones((2, 3)), np.ones((2, 3)), 1.0) is None
+
+
+def test_cells_that_coordinates_leave_whole_are_filtered_first(monkeypatch):
+    import pivotjoin.operators.join as j
+
+    g = np.random.default_rng(8)
+    x = g.uniform(0, 1, (3000, 64))
+    x[1500:] = x[:1500] + g.normal(0, 0.002, (1500, 64))
+    m, ids, at = metric_of("l1"), np.arange(3000) * 7, np.arange(3000)
+    compared = []
+    counting = replace(m, rowwise=lambda a, b: compared.append(len(a)) or m.rowwise(a, b))
+    none = np.zeros((3000, 0))
+    got = [(a, b) for t in j.met(counting, 1.0, ids, x, none, at, at, True) for a, b in zip(t.column(0).to_pylist(), t.column(1).to_pylist(), strict=True)]
+    assert sorted(got) == [(7 * i, 7 * (i + 1500)) for i in range(1500)]
+    assert sum(compared) < 10_000  # of 4,498,500
