@@ -578,3 +578,16 @@ def test_cells_that_coordinates_leave_whole_are_filtered_first(monkeypatch):
     got = [(a, b) for t in j.met(counting, 1.0, ids, x, none, at, at, True) for a, b in zip(t.column(0).to_pylist(), t.column(1).to_pylist(), strict=True)]
     assert sorted(got) == [(7 * i, 7 * (i + 1500)) for i in range(1500)]
     assert sum(compared) < 10_000  # of 4,498,500
+
+
+def test_repeated_vectors_are_compared_once(spark, monkeypatch):
+    import pivotjoin.operators.join as j
+
+    rows = [(i, [float(i % 3), float(i % 5), float(i % 2 * (i < 400))]) for i in range(600)]
+    df, planned = spark.createDataFrame(rows, "id long, obj array<double>"), []
+    real = j._planned_join
+    monkeypatch.setattr(j, "_planned_join", lambda objs, *a: planned.append(objs.count()) or real(objs, *a))
+    monkeypatch.setattr(j, "LISTED", 7)
+    want = sorted((a, b, float(d)) for a, x in rows for b, y in rows if a < b and (d := sum(p != q for p, q in zip(x, y, strict=True))) <= 1)
+    assert sorted(tuple(r) for r in metric_self_join(df, "id", "obj", "hamming", 1.0).collect()) == want
+    assert planned == [30]
