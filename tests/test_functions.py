@@ -182,3 +182,39 @@ def test_edit_near():
         i, j, found = edit_near(xs, ys, delta)
         assert sorted(zip(i.tolist(), j.tolist(), found.tolist(), strict=True)) == [(a, b, d[a, b]) for a, b in np.argwhere(d <= delta).tolist()]
     assert edit_near(xs, ys, 32) is None and not len(edit_near(xs, [], 4)[0])
+
+
+def test_counted_segments_of_cells(monkeypatch):
+    """Pairs of a cell that hold enough of each other's segments, whatever parts its blocks are met in."""
+    import pyarrow as pa
+
+    def held(x: str, y: str, segments: int, delta: int) -> int:
+        bounds = [(i * len(x) // segments, (i + 1) * len(x) // segments) for i in range(segments)]
+        return sum(any(y[p : p + b - a] == x[a:b] for p in range(max(a - delta, 0), min(a + delta, len(y) - b + a) + 1)) for a, b in bounds)
+
+    monkeypatch.setattr(filters, "MET_STRINGS", 7)
+    g = np.random.default_rng(5)
+    for n, m, delta, segments, least, letters in ((9, 11, 2, 3, 1, "ab\0"), (9, 9, 2, 9, 7, "ab"), (3, 4, 4, 5, 1, "a\U0001f600"), (16, 17, 1, 6, 5, "abé"), (0, 2, 2, 3, 1, "ab")):
+        xs, ys = (["".join(letters[c] for c in g.integers(0, len(letters), k)) for _ in range(40)] for k in (n, m))
+        for once in {False, n == m}:
+            rows = [(s, False) for s in xs] + ([] if once else [(s, True) for s in ys])
+            t = pa.table({"n": [n] * len(rows), "a": [0] * len(rows), "m": [m] * len(rows), "b": [0 if once else 1] * len(rows), "right": [r for _, r in rows], "obj": [s for s, _ in rows]})
+            for both, every in ((True, all), (False, any)):
+                got = [(i[p], j[q]) for i, j, ok in filters._met(t, delta, segments, least, both) for p, q in np.argwhere(ok)]
+                pairs = [(p, q) for p in range(40) for q in (range(40) if once else range(40, 80)) if p != q]
+                want = {(p, q) for p, q in pairs if every(held(rows[a][0], rows[b][0], segments, delta) >= least for a, b in ((p, q), (q, p)))}
+                assert {tuple(sorted(p)) for p in want} == {tuple(sorted(p)) for p in got} and len(got) == len(set(map(frozenset, got)))
+
+
+def moved(spark, f) -> int:
+    """Rows that are shuffled while f runs."""
+    sc = spark.sparkContext._jsc.sc()
+
+    def written() -> int:
+        sc.listenerBus().waitUntilEmpty()
+        stages = sc.statusStore().stageList(None, False, False, spark.sparkContext._gateway.new_array(spark._jvm.double, 0), None)
+        return sum(stages.apply(i).shuffleWriteRecords() for i in range(stages.size()))
+
+    before = written()
+    f()
+    return written() - before

@@ -591,3 +591,20 @@ def test_repeated_vectors_are_compared_once(spark, monkeypatch):
     want = sorted((a, b, float(d)) for a, x in rows for b, y in rows if a < b and (d := sum(p != q for p, q in zip(x, y, strict=True))) <= 1)
     assert sorted(tuple(r) for r in metric_self_join(df, "id", "obj", "hamming", 1.0).collect()) == want
     assert planned == [30]
+
+
+def test_segment_signatures_are_verified_where_they_meet(spark, monkeypatch):
+    """Candidates that share a common segment are verified without being shuffled; whole and broken thresholds, odd rows."""
+    from test_functions import moved
+
+    from pivotjoin.functions import filters
+
+    monkeypatch.setattr(filters, "BLOCK_STRINGS", 200)
+    g = np.random.default_rng(12)
+    strings = [f"https://{'m.' * (i % 2)}{g.integers(10**6):06d}/{'é' * (i % 4)}" for i in range(700)] + ["", "a", "abc", "abd", "ab\0"]
+    df = spark.createDataFrame([*enumerate(strings), (None, "abc"), (9999, None)], "id long, obj string")
+    d, got = edit_block(strings, strings), []
+    assert moved(spark, lambda: got.extend(tuple(r) for r in baselines.segment_signature_join(df, "id", "obj", "edit", 4).collect())) < 20_000
+    assert sorted(got) == [(i, j, float(d[i, j])) for i in range(705) for j in range(i + 1, 705) if d[i, j] <= 4]
+    assert pairs(baselines.segment_signature_join(df, "id", "obj", "edit", 2.5)) == {(i, j) for i in range(705) for j in range(i + 1, 705) if d[i, j] <= 2}
+    assert baselines.segment_signature_join(df, "id", "obj", "edit", -1).count() == 0
