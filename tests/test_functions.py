@@ -218,3 +218,23 @@ def moved(spark, f) -> int:
     before = written()
     f()
     return written() - before
+
+
+def test_segment_candidates_are_not_shuffled(spark, monkeypatch):
+    """A segment that all strings have makes all pairs candidates; they are given out where they are found."""
+    monkeypatch.setattr(filters, "BLOCK_STRINGS", 200)
+    strings = [(i, f"https://{i * 7919 % 900 + 100}{'x' * (i % 3)}") for i in range(700)]
+    df = spark.createDataFrame(strings, "id long, obj string")
+    got = []
+    assert moved(spark, lambda: got.extend(tuple(r) for r in filters.segment_candidates(df, 4).collect())) < 20_000
+    assert sorted(got) == [(i, j) for i in range(700) for j in range(i + 1, 700)]  # 244,650
+
+
+def test_segment_candidates_of_odd_rows(spark):
+    """Null strings and ids have no candidates, a row is none of its own, and pairs of repeated ids are given once."""
+    rows = [(1, "abcdef"), (2, None), (None, "abcdef"), (3, "abcdeg"), (3, "abcdeh"), (4, ""), (5, "a"), (5, "abcdef"), (6, "z" * 9)]
+    df = spark.createDataFrame(rows, "id long, obj string")
+    assert sorted(tuple(r) for r in filters.segment_candidates(df, 1).collect()) == [(1, 3), (1, 5), (3, 5), (4, 5)]
+    named = spark.createDataFrame([("b", "abc"), ("a", "abd")], "name string, text string")
+    assert [tuple(r) for r in filters.segment_candidates(named, 1, "name", "text").collect()] == [("a", "b")]
+    assert filters.segment_candidates(df.limit(0), 1).count() == 0
