@@ -153,6 +153,16 @@ def test_matrix_laws():
     assert fam.MultiNormal(np.zeros(20), np.eye(20)).w == 230
 
 
+@pytest.mark.parametrize("how", ["newton", "gradient"])
+def test_numeric_fit_ends_at_the_mean(how):
+    """Statistics of a group of events (sf0.001) whose likelihood is a narrow ridge: the fitted law expects them."""
+    mean, mean_log = 3294.43, 8.099749
+    e = fam.fit_numeric([mean_log - math.log(1000), mean / 1000], fam.GAMMA, [0.5, -1.0], how)
+    shape, rate = float(e[0] + 1), float(-e[1] / 1000)
+    assert abs(shape / rate - mean) < 1e-3 and abs(numerics.digamma(shape) - math.log(rate) - mean_log) < 1e-6
+    assert math.isclose(fam.fit_numeric([1e5], fam.EXPONENTIAL, [-2e-5], how)[0], -1e-5, rel_tol=0.01)  # near the end of the domain
+
+
 # -- filters -------------------------------------------------------------------------------------
 def test_filters_lose_nothing(spark):
     g = np.random.default_rng(6)
